@@ -5,9 +5,13 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from .common import read_table
+from .html_render import extract_text
 from .packing import pack
+from .sharding import shard_by_bytes
+from .simhash import near_duplicates
 from .token_files import token_digest
 from .transducer import codec_digest
 
@@ -24,8 +28,21 @@ def op3_minimum_slack_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(read_table(spark, sf_dir, "documents"), end_id=1)
 
 
+def op6_layout_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return extract_text(read_table(spark, sf_dir, "pages"))
+
+
+def op8_byte_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return shard_by_bytes(read_table(spark, sf_dir, "documents"), shards=8)
+
+
+def op10_pigeonring_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = near_duplicates(read_table(spark, sf_dir, "documents"), shingle=3, most_bits=2)
+    return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_files, op2_transducer_codec, op3_minimum_slack_packing)}
+    return {f.__name__: f for f in (op1_token_files, op2_transducer_codec, op3_minimum_slack_packing, op6_layout_text, op8_byte_shards, op10_pigeonring_simhash)}
 
 
 def oracle_sql() -> dict[str, str]:
