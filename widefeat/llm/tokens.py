@@ -1,7 +1,8 @@
 """Word-wise encoding with a public word-level BPE file of the tokenizers library.
 
-Ids of a text are the ids of its pre-tokens, one after another, as merges never cross a pre-token. Each
-distinct word is thus encoded once per worker and its ids are kept, in a store of bounded size.
+Ids of a text are the ids of its pre-tokens, one after another, as merges never cross a pre-token. Pre-tokens of a
+block of texts are found and hashed by numpy, all at once; only distinct ones that this worker doesn't know yet are
+encoded. Known ones are kept in a store of bounded size.
 """
 
 from __future__ import annotations
@@ -9,16 +10,22 @@ from __future__ import annotations
 import os
 import re
 from collections.abc import Callable, Iterable
+from functools import lru_cache
+from itertools import repeat
 
 import numpy as np
 
 DEFAULT_TOKENIZER = "word_bpe_49k.json"
+BLOCK_CHARS = 1_000_000
 
-# The file's own pre-token pattern. In the plain range NFC changes nothing and lower-casing has no special case.
-WORD_PATTERN = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|[0-9²³¹¼-¾]|(?:[^\s\w]|_)+")
-PLAIN_TEXT = re.compile(r"[\t\n\r\x20-\x7e¡-©«-±´¶-¸»¿-įı-ɏ]*")
-CHUNKS = re.compile(r"[ \t\n\r]+")
+# In the plain range NFC changes nothing and lower-casing has no special case.
+PLAIN = r"\t\n\r\x20-\x7e\u00a1-\u00a9\u00ab-\u00b1\u00b4\u00b6-\u00b8\u00bb\u00bf-\u012f\u0131-\u0233"
+PLAIN_TEXT = re.compile(f"[{PLAIN}]*")
+ODD_CHUNK = re.compile(rf"[^ \t\n\r]*(?:[^{PLAIN}]|<\|)[^ \t\n\r]*")
 SPECIAL_MARK = "<|"
+# Contractions of the file's pre-token pattern, by their letters.
+CONTRACTIONS_1, CONTRACTIONS_2 = "stmd", ("re", "ve", "ll")
+BLANK, LETTER, NUMBER, OTHER = range(4)
 
 
 def tokenizer_path(name: str = DEFAULT_TOKENIZER) -> str:
@@ -27,57 +34,233 @@ def tokenizer_path(name: str = DEFAULT_TOKENIZER) -> str:
     return public_tokenizers.path(name)
 
 
-class Raw(str):
-    """A chunk between blanks that is encoded as it stands, with all of the tokenizer's rules."""
+def is_plain(text: str) -> bool:
+    """Whether lower-casing and character classes alone give the pre-tokens of a text."""
+    return SPECIAL_MARK not in text and PLAIN_TEXT.fullmatch(text) is not None
 
-    __slots__ = ()
 
+@lru_cache(maxsize=1)
+def classes() -> np.ndarray:
+    """The class of each code point of the plain range and what it lower-cases to."""
+    import unicodedata
 
-def split_words(text: str) -> list[str]:
-    """Pre-tokens of a text; chunks with unusual characters or special tokens come as Raw."""
-    if SPECIAL_MARK not in text and PLAIN_TEXT.fullmatch(text):
-        return WORD_PATTERN.findall(text.lower())
-    out: list[str] = []
-    for chunk in CHUNKS.split(text):
-        if SPECIAL_MARK not in chunk and PLAIN_TEXT.fullmatch(chunk):
-            out += WORD_PATTERN.findall(chunk.lower())
-        else:
-            out.append(Raw(f"\0{chunk}"))
-    return out
+    kinds = {"L": LETTER, "N": NUMBER}
+    return np.asarray([BLANK if chr(c).isspace() else kinds.get(unicodedata.category(chr(c))[0], OTHER) for c in range(0x300)], dtype=np.uint8)
+
+
+def find_words(points: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Starts and ends of the pre-tokens in code points of plain lower-case text that ends with three blanks."""
+    kind = classes()[points]
+    before = np.concatenate([[np.uint8(BLANK)], kind[:-1]])
+    start = (kind != BLANK) & ((kind != before) | (kind == NUMBER))
+    quotes = np.flatnonzero((points == 39) & start)
+    if len(quotes) and len(points) > 4:
+        quotes = quotes[quotes < len(points) - 3]
+        one, two = points[quotes + 1], points[quotes + 2]
+        short = np.isin(one, [ord(c) for c in CONTRACTIONS_1])
+        long = np.zeros(len(quotes), bool)
+        for a, b in CONTRACTIONS_2:
+            long |= (one == ord(a)) & (two == ord(b))
+        for at, size in ((quotes[short], 2), (quotes[long], 3)):
+            start[at + 1] = False
+            start[at + size] = kind[at + size] != BLANK
+    edges = np.flatnonzero(start | ((kind == BLANK) & (before != BLANK)))
+    is_start = start[edges]
+    return edges[is_start], edges[np.flatnonzero(is_start) + 1]
+
+
+class Hashes:
+    """Two polynomial hashes of all words of a block from prefix sums, modulo 2**64."""
+
+    BASES = (0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93)
+
+    def __init__(self) -> None:
+        self.powers: list[np.ndarray] = []
+        self.inverses: list[np.ndarray] = []
+
+    def grow(self, n: int) -> None:
+        if self.powers and len(self.powers[0]) >= n:
+            return
+        self.powers, self.inverses = [], []
+        for base in self.BASES:
+            for table, factor in ((self.powers, base), (self.inverses, pow(base, -1, 1 << 64))):
+                column = np.full(n, factor, np.uint64)
+                column[0] = 1
+                table.append(np.cumprod(column))
+
+    def of(self, points: np.ndarray, start: np.ndarray, end: np.ndarray) -> list[np.ndarray]:
+        self.grow(len(points))
+        wide, out = points.astype(np.uint64) + np.uint64(1), []
+        for power, inverse in zip(self.powers, self.inverses, strict=True):
+            sums = np.cumsum(wide * power[: len(points)])
+            inside = sums[end - 1] - sums[start] + wide[start] * power[start]
+            h = (inside * inverse[start]) ^ (end - start).astype(np.uint64) * np.uint64(0xA24BAED4963EE407)
+            out.append(h ^ (h >> np.uint64(29)))
+        return out
+
+
+HASHES = Hashes()
+
+
+def block_of(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """Code points of the lower-cased texts, a blank after each and two more at the end, and where each text ends."""
+    points = np.frombuffer((" ".join(texts) + "   ").lower().encode("utf-32-le"), dtype="<u4")
+    return points, np.cumsum([len(t) + 1 for t in texts])
+
+
+def word_at(points: np.ndarray, a: int, b: int) -> str:
+    return points[a:b].tobytes().decode("utf-32-le")
+
+
+def blocks(texts: list[str]) -> Iterable[tuple[int, int]]:
+    """Ranges of texts of some BLOCK_CHARS together, one text at least."""
+    start = total = 0
+    for i, t in enumerate(texts):
+        if total and total + len(t) > BLOCK_CHARS:
+            yield start, i
+            start = i
+            total = 0
+        total += len(t) + 1
+    if start < len(texts):
+        yield start, len(texts)
 
 
 class WordEncoder:
-    """Texts to ids (little-endian unsigned 32-bit) through a bounded store of known words.
+    """Texts to ids (little-endian unsigned 32-bit).
 
-    `encode_words` gets distinct unknown words (Raw ones begin with NUL) and returns the ids of each as bytes.
+    `encode_words` gets distinct new pre-tokens and returns all their ids and how many each has; `encode_raw` gets
+    chunks between blanks with unusual characters or special tokens, which need all of the tokenizer's rules. When a store is full it keeps what the block in hand
+    uses and forgets the rest.
     """
 
-    def __init__(self, encode_words: Callable[[list[str]], Iterable[bytes]], most_words: int = 400_000):
-        self.encode_words, self.most_words, self.known = encode_words, most_words, {}
+    def __init__(self, encode_words: Callable[[list[str]], tuple[np.ndarray, np.ndarray]], encode_raw: Callable[[list[str]], Iterable[bytes]], most: int = 400_000):
+        self.encode_words, self.encode_raw, self.most, self.raw = encode_words, encode_raw, most, {}
+        self.forget()
+
+    def forget(self) -> None:
+        self.known: dict[int, int] = {}  # first hash to place in the tables below
+        self.second, self.first_id, self.n_ids, self.ids = (np.zeros(0, t) for t in (np.uint64, np.int64, np.int64, np.uint32))
+
+    def _places(self, hashes: np.ndarray) -> np.ndarray:
+        return np.fromiter(map(self.known.get, hashes.tolist(), repeat(-1)), np.int64, len(hashes))
+
+    def _learn(self, points: np.ndarray, start: np.ndarray, end: np.ndarray, first: np.ndarray, second: np.ndarray) -> None:
+        ids, sizes = self.encode_words([word_at(points, a, b) for a, b in zip(start.tolist(), end.tolist(), strict=True)])
+        self.known.update(zip(first.tolist(), range(len(self.second), len(self.second) + len(first)), strict=True))
+        self.first_id = np.concatenate([self.first_id, len(self.ids) + np.cumsum(sizes) - sizes])
+        self.n_ids, self.second = np.concatenate([self.n_ids, sizes]), np.concatenate([self.second, second])
+        self.ids = np.concatenate([self.ids, ids.astype(np.uint32, copy=False)])
+
+    def encode_plain(self, texts: list[str]) -> list[bytes]:
+        points, ends = block_of(texts)
+        start, end = find_words(points)
+        if not len(start):
+            return [b""] * len(texts)
+        first, second = HASHES.of(points, start, end)
+        distinct, example, inverse = np.unique(first, return_index=True, return_inverse=True)
+        places = self._places(distinct)
+        missing = np.flatnonzero(places < 0)
+        if len(missing):
+            if len(self.second) + len(missing) > self.most:
+                self.forget()
+                missing = np.arange(len(distinct))
+            at = example[missing]
+            self._learn(points, start[at], end[at], first[at], second[at])
+            places[missing] = np.arange(len(self.second) - len(missing), len(self.second))
+        place = places[inverse]
+        if not np.array_equal(self.second[place], second):  # two words share a first hash: never yet seen, but exact all the same
+            return list(self.encode_raw(texts))
+        sizes = self.n_ids[place]
+        after = np.cumsum(sizes)
+        ids = self.ids[np.repeat(self.first_id[place] - (after - sizes), sizes) + np.arange(after[-1])].astype("<u4", copy=False)
+        upto = np.searchsorted(start, ends)
+        cuts = 4 * np.concatenate([[0], np.concatenate([[0], after])[upto]])
+        whole = ids.tobytes()
+        return [whole[a:b] for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)]
+
+    def _raw(self, chunk: str) -> bytes:
+        if (found := self.raw.get(chunk)) is None:
+            if len(self.raw) >= self.most // 4:
+                self.raw.clear()
+            found = self.raw[chunk] = next(iter(self.encode_raw([chunk])))
+        return found
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
-        split = [split_words(t) if t else [] for t in texts]
-        wanted = set().union(*split)
-        if missing := list(wanted - self.known.keys()):
-            if len(self.known) + len(missing) > self.most_words:
-                self.known = {}
-                missing = list(wanted)
-            self.known.update(zip(missing, self.encode_words(missing), strict=True))
-        get = self.known.__getitem__
-        return [b"".join(map(get, words)) for words in split]
+        plain: list[str] = []
+        order: list[list[int | bytes]] = []  # of each text its parts: places in plain, or ids of odd chunks
+        for text in texts:
+            parts: list[int | bytes] = []
+            order.append(parts)
+            if not text:
+                continue
+            if is_plain(text):
+                parts.append(len(plain))
+                plain.append(text)
+                continue
+            at = 0
+            for odd in ODD_CHUNK.finditer(text):
+                parts += (len(plain), self._raw(odd[0]))
+                plain.append(text[at : odd.start()])
+                at = odd.end()
+            parts.append(len(plain))
+            plain.append(text[at:])
+        done = [x for a, b in blocks(plain) for x in self.encode_plain(plain[a:b])]
+        return [done[p[0]] if len(p) == 1 else b"".join(done[x] if isinstance(x, int) else x for x in p) for p in order]
 
 
+@lru_cache(maxsize=2)
 def library_encoder(path: str) -> WordEncoder:
-    """Words are encoded by the tokenizers library itself."""
+    """Words and chunks are encoded by the tokenizers library itself; kept for all tasks of a worker process.
+
+    Pre-tokens are handed to the file's BPE model many at a time, a blank between; the last id of each ends a word.
+    """
     os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-    from tokenizers import Tokenizer
+    from tokenizers import Tokenizer, pre_tokenizers
+
+    whole, words_only = Tokenizer.from_file(path), Tokenizer.from_file(path)
+    for t in (whole, words_only):
+        t.no_truncation()
+        t.no_padding()
+    words_only.normalizer = None
+    words_only.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
+    words_only.model._resize_cache(0)
+    suffix = whole.model.end_of_word_suffix
+    last = np.zeros(whole.get_vocab_size(), bool)
+    last[[i for token, i in whole.get_vocab().items() if token.endswith(suffix)]] = True
+
+    def encode_words(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        joined = [" ".join(words[i : i + 200]) for i in range(0, len(words), 200)]
+        ids = np.fromiter((i for x in words_only.encode_batch_fast(joined, add_special_tokens=False) for i in x.ids), np.uint32)
+        return ids, np.diff(np.flatnonzero(last[ids]), prepend=-1)
+
+    def encode_raw(chunks: list[str]) -> list[bytes]:
+        return [np.asarray(x.ids, dtype="<u4").tobytes() for x in whole.encode_batch_fast(chunks, add_special_tokens=False)]
+
+    return WordEncoder(encode_words, encode_raw)
+
 
-    tokenizer = Tokenizer.from_file(path)
-    tokenizer.no_truncation()
-    tokenizer.no_padding()
+class WordCounts:
+    """How often each plain pre-token occurs in the texts added."""
 
-    def encode_words(words: list[str]) -> list[bytes]:
-        found = tokenizer.encode_batch_fast([w.removeprefix("\0") for w in words], add_special_tokens=False)
-        return [np.asarray(x.ids, dtype="<u4").tobytes() for x in found]
+    def __init__(self) -> None:
+        self.place: dict[int, int] = {}
+        self.words: list[str] = []
+        self.counts = np.zeros(0, np.int64)
 
-    return WordEncoder(encode_words)
+    def add(self, texts: list[str | None]) -> None:
+        plain = [ODD_CHUNK.sub(" ", t) for t in texts if t]
+        for a, b in blocks(plain):
+            points, _ = block_of(plain[a:b])
+            start, end = find_words(points)
+            if not len(start):
+                continue
+            distinct, example, counts = np.unique(HASHES.of(points, start, end)[0], return_index=True, return_counts=True)
+            keys = distinct.tolist()
+            places = np.fromiter(map(self.place.get, keys, repeat(-1)), np.int64, len(keys))
+            missing = np.flatnonzero(places < 0)
+            at = example[missing]
+            self.place.update(zip(distinct[missing].tolist(), range(len(self.words), len(self.words) + len(missing)), strict=True))
+            places[missing] = np.arange(len(self.words), len(self.words) + len(missing))
+            self.words += [word_at(points, x, y) for x, y in zip(start[at].tolist(), end[at].tolist(), strict=True)]
+            self.counts = np.concatenate([self.counts, np.zeros(len(missing), np.int64)])
+            self.counts[places] += counts

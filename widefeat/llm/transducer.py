@@ -17,7 +17,6 @@ import heapq
 import json
 import mmap
 import os
-from collections import Counter
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
@@ -27,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import local_scratch, ship, text_slices
-from .tokens import Raw, WordEncoder, split_words, tokenizer_path
+from .tokens import WordCounts, WordEncoder, tokenizer_path
 
 MOST_WORDS = 50_000
 DIGEST = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
@@ -46,7 +45,7 @@ def byte_alphabet() -> list[str]:
 class ExactMerger:
     """BPE of one pre-token: the lowest-ranked adjacent pair is merged first, the leftmost of equals."""
 
-    LONG = 32
+    LONG, NONE = 32, (1 << 62, 0)
 
     def __init__(self, path: str):
         with open(path, encoding="utf-8") as f:
@@ -70,13 +69,16 @@ class ExactMerger:
         return self._short(ids) if len(ids) <= self.LONG else self._long(ids)
 
     def _short(self, ids: list[int]) -> list[int]:
-        ranks = self.ranks
-        while len(ids) > 1:
-            best = min(((*r, i) for i, p in enumerate(zip(ids, ids[1:], strict=False)) if (r := ranks.get(p))), default=None, key=lambda x: (x[0], x[2]))
-            if best is None:
-                break
-            _, merged, i = best
+        get, none = self.ranks.get, self.NONE
+        pairs = [get(p, none) for p in zip(ids, ids[1:], strict=False)]
+        while pairs and (best := min(pairs)) is not none:
+            i, merged = pairs.index(best), best[1]
             ids[i : i + 2] = [merged]
+            del pairs[i]
+            if i:
+                pairs[i - 1] = get((ids[i - 1], merged), none)
+            if i < len(pairs):
+                pairs[i] = get((merged, ids[i + 1]), none)
         return ids
 
     def _long(self, ids: list[int]) -> list[int]:
@@ -259,7 +261,7 @@ class TransducerCodec:
 
         self.merger, self.lexicon = ExactMerger(path), lexicon
         self.library = Tokenizer.from_file(path)
-        self.encoder = WordEncoder(self.encode_words)
+        self.encoder = WordEncoder(self.encode_words, self.encode_chunks)
         self.spelled = [self.merger.tokens.get(i, "") for i in range(max(self.merger.tokens) + 1)]
 
     def encode_raw(self, chunk: str) -> list[int]:
@@ -276,17 +278,27 @@ class TransducerCodec:
                 ids.append(self.merger.special[special])
         return ids
 
-    def encode_words(self, words: list[str]) -> list[bytes]:
-        plain = [b"" if w[0] == "\0" else w.encode() for w in words]
-        numbers = self.lexicon.find(plain).tolist() if self.lexicon is not None and words else [-1] * len(words)
-        out = []
-        for word, raw, k in zip(words, plain, numbers, strict=True):
-            if k >= 0:
-                out.append(self.lexicon.ids[self.lexicon.ids_start[k] : self.lexicon.ids_start[k + 1]].tobytes())
-            else:
-                ids = self.encode_raw(word[1:]) if word[0] == "\0" else self.merger.merge(raw)
-                out.append(np.asarray(ids, dtype="<u4").tobytes())
-        return out
+    def encode_chunks(self, chunks: list[str]) -> list[bytes]:
+        return [np.asarray(self.encode_raw(c), dtype="<u4").tobytes() for c in chunks]
+
+    def encode_words(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        letters = [w.encode() for w in words]
+        numbers = self.lexicon.find(letters) if self.lexicon is not None else np.full(len(words), -1)
+        found = np.flatnonzero(numbers >= 0)
+        merged = {i: self.merger.merge(letters[i]) for i in np.flatnonzero(numbers < 0).tolist()}
+        sizes = np.zeros(len(words), np.int64)
+        sizes[list(merged)] = [len(x) for x in merged.values()]
+        if len(found):
+            first = self.lexicon.ids_start[numbers[found]].astype(np.int64)
+            sizes[found] = self.lexicon.ids_start[numbers[found] + 1] - first
+        ids, starts = np.zeros(sizes.sum(), np.uint32), np.cumsum(sizes) - sizes
+        for at, many, source in ((found, self.lexicon, None), (np.asarray(list(merged), np.int64), None, merged)):
+            if len(at):
+                n = sizes[at]
+                within = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+                values = many.ids[np.repeat(first, n) + within] if source is None else np.fromiter((i for x in source.values() for i in x), np.uint32, n.sum())
+                ids[np.repeat(starts[at], n) + within] = values
+        return ids, sizes
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
         return self.encoder.encode(texts)
@@ -296,20 +308,14 @@ class TransducerCodec:
 
 
 def count_words(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Words and how often this partition has them; the counter is emptied when it is large."""
-    counts: Counter[str] = Counter()
-
-    def rows() -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array(counts.keys(), pa.string()), pa.array(counts.values(), pa.int64())], ["word", "n"])
-
+    """Words and how often this partition has them; counts are handed on when there are many."""
+    counts = WordCounts()
     for part in (p for b in batches for p in text_slices(b)):
-        for t in part.column("text").to_pylist():
-            if t:
-                counts.update(w for w in split_words(t) if type(w) is not Raw)
-        if len(counts) > 500_000:
-            yield rows()
-            counts.clear()
-    yield rows()
+        counts.add(part.column("text").to_pylist())
+        if len(counts.words) > 300_000:
+            yield pa.RecordBatch.from_arrays([pa.array(counts.words, pa.string()), pa.array(counts.counts)], ["word", "n"])
+            counts = WordCounts()
+    yield pa.RecordBatch.from_arrays([pa.array(counts.words, pa.string()), pa.array(counts.counts)], ["word", "n"])
 
 
 def frequent_words(docs: DataFrame, most_words: int = MOST_WORDS) -> list[str]:
@@ -325,6 +331,18 @@ def compile_lexicon(words: Iterable[str], tokenizer: str | None = None) -> Lexic
     return Lexicon.compile({w.encode(): merger.merge(w.encode()) for w in words})
 
 
+_kept: dict[tuple[str, int], TransducerCodec] = {}
+
+
+def kept_codec(path: str, blob) -> TransducerCodec:
+    """The codec of a broadcast lexicon, kept for all tasks of a worker process."""
+    key = (path, hash(blob.value))
+    if key not in _kept:
+        _kept.clear()
+        _kept[key] = TransducerCodec(path, Lexicon.mapped(blob.value))
+    return _kept[key]
+
+
 def codec_digest(docs: DataFrame, tokenizer: str | None = None, most_words: int = MOST_WORDS) -> DataFrame:
     """Encode and decode every text: doc_id, n_tokens, ids_sha256, decoded_sha256."""
     spark = docs.sparkSession
@@ -332,7 +350,7 @@ def codec_digest(docs: DataFrame, tokenizer: str | None = None, most_words: int
     blob = spark.sparkContext.broadcast(compile_lexicon(frequent_words(docs, most_words), path).to_bytes())
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = TransducerCodec(path, Lexicon.mapped(blob.value))
+        codec = kept_codec(path, blob)
         for part in (p for b in batches for p in text_slices(b)):
             encoded = codec.encode(part.column("text").to_pylist())
             decoded = [codec.decode(np.frombuffer(x, "<u4").tolist()).encode() for x in encoded]
