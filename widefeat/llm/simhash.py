@@ -104,11 +104,12 @@ def linked(distinct: DataFrame, most_bits: int = 2, segments: int = 7) -> DataFr
     pairs = left.join(right, ["start", "key"]).where((F.col("a") < F.col("b")) & within & (F.bit_count(difference) <= most_bits)).select("a", "b")
     if most_bits != 2:
         return pairs.distinct()
-    loose = [[0, *(signed(1 << b) for b in range(64) if not ring.chain(i, ring.exact) >> b & 1)] for i in range(segments)]
-    flips = F.coalesce(*(F.when(F.col("start") == i, F.array(*map(F.lit, x))) for i, x in enumerate(loose)))
-    near = members.where(~few).select("start", "fp", F.explode(flips).alias("flip")).select("start", "fp", F.col("fp").bitwiseXOR(F.col("flip")).alias("value"))
-    least = near.groupBy("start", "value").agg(F.min("fp").alias("a"), F.count("*").alias("n")).where("n > 1").drop("n")
-    stars = near.join(least, ["start", "value"]).where(F.col("fp") != F.col("a")).select("a", F.col("fp").alias("b"))
+    loose = F.coalesce(*(F.when(F.col("start") == i, F.lit(signed(~ring.chain(i, ring.exact) & (1 << 64) - 1))) for i in range(segments)))
+    crowded = members.where(~few).groupBy("fp").agg(F.bit_or(loose).alias("loose"))
+    flips = F.filter(F.array(*(F.lit(f) for f in [0, *(signed(1 << b) for b in range(64))])), lambda f: f.bitwiseAND(F.col("loose")) == f)
+    near = crowded.select("fp", F.explode(flips).alias("flip")).select("fp", F.col("fp").bitwiseXOR(F.col("flip")).alias("value"))
+    least = near.groupBy("value").agg(F.min("fp").alias("a"), F.count("*").alias("n")).where("n > 1").drop("n")
+    stars = near.join(least, "value").where(F.col("fp") != F.col("a")).select("a", F.col("fp").alias("b"))
     return pairs.union(stars).distinct()
 
 
@@ -132,7 +133,8 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, most_bits: int = 2, segme
     fps = staged(fingerprints(docs, shingle), "fingerprints")
     distinct = staged(fps.groupBy("fp").agg(F.min("doc_id").alias("least_id")), "distinct")
     labels = connect(linked(distinct, most_bits, segments))
-    named = distinct.join(labels, distinct.fp == labels.node, "left").select("fp", "least_id", "label")
-    component = named.where("label is not null").groupBy("label").agg(F.min("least_id").alias("of_label"))
-    ids = named.join(component, "label", "left").select("fp", F.coalesce("of_label", "least_id").alias("component_id"))
+    named = distinct.join(labels, distinct.fp == labels.node).select("fp", "least_id", "label")
+    component = named.groupBy("label").agg(F.min("least_id").alias("of_label"))
+    renamed = named.join(component, "label").select("fp", "of_label")
+    ids = distinct.join(renamed, "fp", "left").select("fp", F.coalesce("of_label", "least_id").alias("component_id"))
     return fps.join(ids, "fp").select("doc_id", "fp", "component_id")
