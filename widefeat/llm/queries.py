@@ -7,7 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import read_table
+from . import language_id, quality_rules, toxicity
+from .common import held_out, read_table
 from .html_render import extract_text
 from .packing import pack
 from .sharding import shard_by_bytes
@@ -28,6 +29,24 @@ def op3_minimum_slack_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(read_table(spark, sf_dir, "documents"), end_id=1)
 
 
+def op4_ftrl_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read_table(spark, sf_dir, "documents")
+    scores = toxicity.score(docs, toxicity.fit(docs, read_table(spark, sf_dir, "labels")))
+    return scores.select("doc_id", held_out("doc_id").alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"))
+
+
+def op5_decision_list_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read_table(spark, sf_dir, "documents")
+    judged = quality_rules.judge(docs, quality_rules.fit(docs, read_table(spark, sf_dir, "labels")))
+    return judged.select("doc_id", *quality_rules.COUNTS, "base_failed", "kept")
+
+
+def op7_language_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read_table(spark, sf_dir, "documents")
+    found = language_id.identify(docs, language_id.fit(docs))
+    return found.select("doc_id", held_out("doc_id").alias("held_out"), "lang_pred", "score")
+
+
 def op6_layout_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract_text(read_table(spark, sf_dir, "pages"))
 
@@ -42,7 +61,7 @@ def op10_pigeonring_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_files, op2_transducer_codec, op3_minimum_slack_packing, op6_layout_text, op8_byte_shards, op10_pigeonring_simhash)}
+    return {f.__name__: f for f in (op1_token_files, op2_transducer_codec, op3_minimum_slack_packing, op4_ftrl_toxicity, op5_decision_list_quality, op6_layout_text, op7_language_mixture, op8_byte_shards, op10_pigeonring_simhash)}
 
 
 def oracle_sql() -> dict[str, str]:
