@@ -135,3 +135,17 @@ def identify(docs: DataFrame, model: MixtureModel) -> DataFrame:
             )
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, PREDICTED)
+
+
+def keep(docs: DataFrame, model: MixtureModel) -> DataFrame:
+    """The rows of `docs` (any columns, text among them) whose language can be told."""
+    spark = docs.sparkSession
+    ship(spark)
+    sent = spark.sparkContext.broadcast(model)
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in (p for b in batches for p in text_slices(b)):
+            told = [sent.value.predict(t)[0] != UNDETERMINED for t in part.column("text").to_pylist()]
+            yield part.filter(pa.array(told, pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)

@@ -56,16 +56,18 @@ def repeated_words(words: Column) -> Column:
     return F.when(last >= 0, let(let(F.sort_array(windows), places), covered))
 
 
-def statistics(docs: DataFrame) -> DataFrame:
-    """doc_id, the five counts and the features of every text."""
+def statistics(docs: DataFrame, carried: Sequence[str] = ()) -> DataFrame:
+    """doc_id, the five counts and the features of every text; `carried` columns come along in the struct _row."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("_t"))
+    row = [F.struct(*carried).alias("_row")] if carried else []
+    along = ["_row"] if carried else []
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("_t"), *row)
     rows = rows.withColumn("_w", F.filter(F.split("_t", WORD_GAPS), lambda w: w != ""))
     n, covered = F.size("_w"), let(F.col("_w"), repeated_words)
     rows = rows.withColumn("_l", F.filter(F.split("_t", "\n"), lambda x: without(x, BLANKS) != ""))
     bare = without(F.col("_t"), BLANKS)
     rows = rows.select(
-        "doc_id", n.cast("long").alias("n_words"), F.char_length(bare).cast("long").alias("word_chars"),
+        "doc_id", *along, n.cast("long").alias("n_words"), F.char_length(bare).cast("long").alias("word_chars"),
         (F.char_length("_t") - F.char_length(without(F.col("_t"), SYMBOLS))).cast("long").alias("n_symbols"),
         (F.size("_l") - F.size(F.array_distinct("_l"))).cast("long").alias("n_dup_lines"), F.coalesce(covered, F.lit(0)).cast("long").alias("n_repeat_words"),
         F.size("_l").alias("_lines"), F.size(F.array_distinct("_w")).alias("_distinct"),
@@ -77,7 +79,7 @@ def statistics(docs: DataFrame) -> DataFrame:
         return F.coalesce(F.try_divide(F.col(a).cast("double"), F.col(b)), F.lit(0.0))
 
     return rows.select(
-        "doc_id", *COUNTS, share("word_chars", "n_words").alias("mean_word"), share("n_symbols", "word_chars").alias("symbol_share"), share("_upper", "_letters").alias("upper_share"),
+        "doc_id", *along, *COUNTS, share("word_chars", "n_words").alias("mean_word"), share("n_symbols", "word_chars").alias("symbol_share"), share("_upper", "_letters").alias("upper_share"),
         share("_marks", "n_words").alias("mark_share"), share("n_repeat_words", "n_words").alias("repeat_share"), share("_distinct", "n_words").alias("distinct_share"),
         share("n_dup_lines", "_lines").alias("dup_line_share"), share("_digits", "word_chars").alias("digit_share"), share("_letters", "word_chars").alias("letter_share"),
     )
@@ -200,3 +202,9 @@ def judge(docs: DataFrame, rules: Sequence[Rule]) -> DataFrame:
     rows = statistics(docs)
     which = F.coalesce(*(F.when(F.expr(r.sql()), F.lit(i)) for i, r in enumerate(rules)), F.lit(None).cast("int"))
     return rows.select("doc_id", *COUNTS, base_failed().alias("base_failed"), (~base_failed() & verdict(rules)).alias("kept"), which.alias("rule"))
+
+
+def keep(docs: DataFrame, rules: Sequence[Rule], columns: Sequence[str]) -> DataFrame:
+    """The given columns of the documents that are kept; each row is judged by itself."""
+    judged = statistics(docs, columns).select("_row", (~base_failed() & verdict(rules)).alias("_kept"))
+    return judged.select(F.inline(F.when(F.col("_kept"), F.array("_row"))))

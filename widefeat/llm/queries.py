@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import language_id, quality_rules, toxicity
+from .ann import nearest
 from .common import held_out, read_table
 from .html_render import extract_text
 from .packing import pack
@@ -55,13 +56,17 @@ def op8_byte_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_by_bytes(read_table(spark, sf_dir, "documents"), shards=8)
 
 
+def op9_anisotropic_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return nearest(read_table(spark, sf_dir, "embeddings"), k=5)
+
+
 def op10_pigeonring_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = near_duplicates(read_table(spark, sf_dir, "documents"), shingle=3, most_bits=2)
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_files, op2_transducer_codec, op3_minimum_slack_packing, op4_ftrl_toxicity, op5_decision_list_quality, op6_layout_text, op7_language_mixture, op8_byte_shards, op10_pigeonring_simhash)}
+    return {f.__name__: f for f in (op1_token_files, op2_transducer_codec, op3_minimum_slack_packing, op4_ftrl_toxicity, op5_decision_list_quality, op6_layout_text, op7_language_mixture, op8_byte_shards, op9_anisotropic_search, op10_pigeonring_simhash)}
 
 
 def oracle_sql() -> dict[str, str]:

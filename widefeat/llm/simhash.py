@@ -50,15 +50,16 @@ def fingerprint(text: str | None, shingle: int = 3) -> int:
 
 
 def fingerprints(docs: DataFrame, shingle: int = 3) -> DataFrame:
-    """doc_id and fp (the fingerprint as a signed long) of every whole text."""
+    """doc_id, text_hash and fp (the fingerprint as a signed long) of every whole text."""
     ship(docs.sparkSession)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in (p for b in batches for p in text_slices(b)):
             fps = pa.array([fingerprint(t, shingle) for t in part.column("text").to_pylist()], pa.int64())
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), fps], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text_hash"), fps], ["doc_id", "text_hash", "fp"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, fp long")
+    text = F.col("text").cast("string")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("text_hash"), text.alias("text")).mapInArrow(run, "doc_id long, text_hash long, fp long")
 
 
 def signed(x: int) -> int:
@@ -129,12 +130,24 @@ def connect(edges: DataFrame) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, shingle: int = 3, most_bits: int = 2, segments: int = 7) -> DataFrame:
-    """doc_id, fp and component_id (the smallest doc_id of the document's component) for every document."""
+    """doc_id, text_hash, fp, component (its least fingerprint) and component_id (its smallest doc_id) of every document."""
     fps = staged(fingerprints(docs, shingle), "fingerprints")
     distinct = staged(fps.groupBy("fp").agg(F.min("doc_id").alias("least_id")), "distinct")
     labels = connect(linked(distinct, most_bits, segments))
     named = distinct.join(labels, distinct.fp == labels.node).select("fp", "least_id", "label")
     component = named.groupBy("label").agg(F.min("least_id").alias("of_label"))
-    renamed = named.join(component, "label").select("fp", "of_label")
-    ids = distinct.join(renamed, "fp", "left").select("fp", F.coalesce("of_label", "least_id").alias("component_id"))
-    return fps.join(ids, "fp").select("doc_id", "fp", "component_id")
+    renamed = named.join(component, "label").select("fp", "label", "of_label")
+    ids = distinct.join(renamed, "fp", "left").select("fp", F.coalesce("label", "fp").alias("component"), F.coalesce("of_label", "least_id").alias("component_id"))
+    return fps.join(ids, "fp").select("doc_id", "text_hash", "fp", "component", "component_id")
+
+
+def one_of_each(docs: DataFrame, **options) -> DataFrame:
+    """The documents without all but one of each component: the smallest doc_id (nulls last), then the smallest text hash stays."""
+    rows = near_duplicates(docs, **options).select("component", F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "text_hash").alias("place"))
+    stays = rows.groupBy("component").agg(F.min("place").alias("stays"))
+    gone = rows.join(stays, "component").where("place <> stays").select(F.col("place.doc_id").alias("gone_id"), F.col("place.text_hash").alias("gone_hash")).distinct()
+    kept = docs.join(gone, F.col("doc_id").eqNullSafe(F.col("gone_id")) & (F.xxhash64(F.col("text").cast("string")) == F.col("gone_hash")), "left_anti")
+    if rows.groupBy("place").count().where("count > 1").isEmpty():
+        return kept
+    twin = F.xxhash64(F.col("text").cast("string")).alias("twin")  # rows equal in id and text: one of them
+    return kept.select("*", twin).dropDuplicates(["doc_id", "twin"]).drop("twin")
