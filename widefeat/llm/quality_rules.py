@@ -189,7 +189,8 @@ def fit(docs: DataFrame, labels: DataFrame, most_rows: int = MOST_ROWS) -> list[
     sample = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most_rows)
     chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(sample), "doc_id")
     rows = statistics(chosen.select("doc_id", "text")).join(F.broadcast(sample), "doc_id").select("doc_id", "quality", base_failed().alias("failed"), *FEATURES)
-    got = sorted(rows.limit(2 * most_rows).collect(), key=lambda r: (r.doc_id * 2654435761 % (1 << 32), r))
+    one = rows.groupBy("doc_id", "quality").agg(F.min(F.struct("failed", *FEATURES)).alias("x")).select("doc_id", "quality", "x.*")  # bounded whatever is repeated
+    got = sorted(one.collect(), key=lambda r: (r.doc_id * 2654435761 % (1 << 32), r))
     return learn_rules([({f: r[f] for f in FEATURES}, 1 - int(r.quality)) for r in got if not r.failed])
 
 

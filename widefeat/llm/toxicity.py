@@ -89,7 +89,7 @@ class Ftrl:
         return np.where(np.abs(z) > l1, w, 0.0)
 
     def step(self, at: np.ndarray, y: float) -> None:
-        at = np.append(at, 1 << self.bits)
+        at = np.append(at, np.int32(1 << self.bits))
         w = self.weights(at)
         g = sigmoid(w.sum()) - y
         sigma = (np.sqrt(self.n[at] + g * g) - np.sqrt(self.n[at])) / self.alpha
@@ -102,25 +102,31 @@ class Ftrl:
         return SparseModel(self.bits, float(w[-1]), at, w[at].astype(np.float32))
 
 
-def train(rows: list[tuple[np.ndarray, int]], passes: int = 4, least_share: float = 1 / 150, seed: int = 11, **options) -> SparseModel:
+def train(rows: Iterable[tuple[np.ndarray, int]], passes: int = 4, least_share: float = 1 / 150, seed: int = 11, **options) -> SparseModel:
     """Learn from (distinct features, label) rows in a shuffled order.
 
     Rows of equal features count once, with the label of most of them; features of fewer than 4 rows or `least_share`
     of all are left out.
     """
+    from xxhash import xxh3_128_digest
+
     learner, order = Ftrl(**options), np.random.default_rng(seed)
     votes: dict[bytes, list[int]] = {}
-    for at, y in rows:
-        votes.setdefault(at.tobytes(), []).append(y)
-    rows = [(np.frombuffer(k, np.int64), int(2 * sum(v) > len(v))) for k, v in votes.items()]
-    least_rows = max(4, int(least_share * len(rows)))
+    first: list[tuple[bytes, np.ndarray]] = []
     seen = np.zeros(1 << learner.bits, np.int32)
-    for at, _ in rows:
-        seen[at] += 1
-    rows = [(at[seen[at] >= least_rows], y) for at, y in rows]
+    for at, y in rows:
+        key = xxh3_128_digest(at.tobytes())
+        if key not in votes:
+            votes[key] = [0, 0]
+            first.append((key, at))
+            seen[at] += 1
+        votes[key][int(y)] += 1
+    least_rows = max(4, int(least_share * len(first)))
+    kept = [(at[seen[at] >= least_rows], int(votes[key][1] > votes[key][0])) for key, at in first]
+    first.clear()
     for _ in range(passes):
-        for i in order.permutation(len(rows)):
-            learner.step(*rows[i])
+        for i in order.permutation(len(kept)):
+            learner.step(*kept[i])
     return learner.model()
 
 
@@ -136,8 +142,9 @@ def fit(docs: DataFrame, labels: DataFrame, most_rows: int = MOST_ROWS) -> Spars
             lists = [np.unique(features(t)).astype("<i4").tobytes() for t in part.column("text").to_pylist()]
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("toxic"), pa.array(lists, pa.binary())], ["doc_id", "toxic", "at"])
 
-    got = sorted(chosen.mapInArrow(hashed, "doc_id long, toxic int, at binary").limit(2 * most_rows).collect())
-    return train([(np.frombuffer(r.at, "<i4").astype(np.int64), r.toxic) for r in got])
+    # one row an id, so the sample's bound holds whatever is repeated; the columns stay Arrow buffers
+    rows = chosen.mapInArrow(hashed, "doc_id long, toxic int, at binary").groupBy("doc_id", "toxic").agg(F.min("at").alias("at")).orderBy("doc_id").toArrow()
+    return train((np.frombuffer(at.as_buffer(), "<i4"), y) for at, y in zip(rows.column("at"), rows.column("toxic").to_pylist(), strict=True))
 
 
 def score(docs: DataFrame, model: SparseModel) -> DataFrame:
