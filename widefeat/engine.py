@@ -96,12 +96,14 @@ class Engine:
         out.reason = f"base tables ({why})"
         return out
 
-    def plan(self, text: str, version: int | None = None, path: str | None = None) -> tuple[dict[str, translate.Assembly], dict[str, translate.Requirement]]:
+    def plan(self, text: str, version: int | None = None, path: str | None = None, views: dict[str, DataFrame] | None = None) -> tuple[dict[str, translate.Assembly], dict[str, translate.Requirement]]:
         """Requirements and relations of the logical tables that the text names."""
         tables = {r["path"]: self.catalog.snapshot(r["path"], version if len(self.catalog.store.query("select path from tables")) == 1 else None) for r in self.catalog.store.query("select path from tables") if r["path"] in text}
         session = self.spark.newSession()
         for name, snap in tables.items():
             translate.in_session(session, translate.stub(self.spark, snap)).createOrReplaceTempView(name)
+        for name, view in (views or {}).items():
+            translate.in_session(session, view).createOrReplaceTempView(name)
         if "sys_" in text:
             for name in self._sys_tables(list(tables)):
                 self.catalog.register_views(session, name)
@@ -112,12 +114,12 @@ class Engine:
         """The logical table that sys_* views of a query are about: the one it names, else the first."""
         return named[:1] or [r["path"] for r in self.catalog.store.query("select path from tables order by rowid limit 1")]
 
-    def sql(self, text: str, version: int | None = None, path: str | None = None, log: bool = True) -> DataFrame:
-        """Plain SQL on logical tables and on sys_* views."""
+    def sql(self, text: str, version: int | None = None, path: str | None = None, log: bool = True, views: dict[str, DataFrame] | None = None) -> DataFrame:
+        """Plain SQL on logical tables, on sys_* views and on other DataFrames given by name."""
         began = time.time()
-        assemblies, needs = self.plan(text, version, path)
+        assemblies, needs = self.plan(text, version, path, views)
         names = [r["path"] for r in self.catalog.store.query("select path from tables") if r["path"] in text]
-        relations = {n: assemblies[n].relation if n in assemblies else translate.stub(self.spark, self.catalog.snapshot(n)) for n in names}
+        relations = {n: assemblies[n].relation if n in assemblies else translate.stub(self.spark, self.catalog.snapshot(n)) for n in names} | (views or {})
         register = (lambda s: [self.catalog.register_views(s, n) for n in self._sys_tables(names)]) if "sys_" in text else None
         out = translate.bind(self.spark, relations, text, register)
         if log:

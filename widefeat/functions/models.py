@@ -45,7 +45,7 @@ def math_one(plain, quality):
     """A linear recall score over numerals and operators, scaled by quality."""
     if plain is None or quality is None:
         return None
-    hits = sum(c.isdigit() or c in "+-=<>/^%" for c in plain)
+    hits = sum(c in "0123456789+-=<>/^%" for c in plain)
     return sigmoid(20.0 * hits / max(1, len(plain)) - 1.0) * quality > 0.3
 
 
