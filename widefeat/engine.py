@@ -45,7 +45,7 @@ class Engine:
     def known_ids(self, table: str) -> DataFrame:
         """The ids of all committed batches: from the core tables, two narrow columns."""
         snap = self.catalog.snapshot(table)
-        return translate.assemble(self.spark, snap, ()).relation.select(ID).distinct()
+        return translate.assemble(self.spark, snap, ()).relation.select(ID)
 
     # ---- features
 

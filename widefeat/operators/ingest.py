@@ -8,10 +8,9 @@ from __future__ import annotations
 import json
 import time
 from collections.abc import Sequence
-from dataclasses import replace
 
 from pyspark.sql import Column as SparkColumn
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..catalog import Catalog
@@ -46,10 +45,14 @@ def normalize(rows: DataFrame, columns: Sequence[Column], mapping: dict[str, str
 
 
 def deduplicate(rows: DataFrame, on_conflict: str) -> DataFrame:
-    """In a batch one row an id, the smallest source key; keep_first: over all batches at hand, the first batch by source key."""
-    keys = (ID,) if on_conflict == "keep_first" else KEYS
-    order = Window.partitionBy(*keys).orderBy("_key", BATCH)
-    return rows.withColumn("_n", F.row_number().over(order)).where("_n = 1").drop("_n")
+    """In a batch one row an id, the smallest source key; keep_first: over all batches at hand, the first batch by source key.
+
+    An aggregate that combines before the shuffle, so a payload that is repeated very often never meets in one task.
+    """
+    keys = [ID] if on_conflict == "keep_first" else list(KEYS)
+    rest = [c for c in rows.columns if c not in keys]
+    first = rows.groupBy(*keys).agg(F.min_by(F.struct(*rest), F.struct("_key", BATCH)).alias("_row"))
+    return first.select(*keys, "_row.*").select(*rows.columns)
 
 
 def ingest(
@@ -116,6 +119,3 @@ def _write(spark, catalog, rows, table, staging, batch, many, source, mapping, i
 def escaped(spark: SparkSession, name: str) -> str:
     return spark.sparkContext._jvm.org.apache.spark.sql.catalyst.catalog.ExternalCatalogUtils.escapePathName(name)
 
-
-def count_repeats(entries: list[BatchEntry], totals: dict[str, int]) -> list[BatchEntry]:
-    return [replace(e, duplicates_dropped=totals.get(e.name, e.rows) - e.rows) for e in entries]

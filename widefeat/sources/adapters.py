@@ -35,16 +35,24 @@ def adapt(spark: SparkSession, source: SourceSpec) -> tuple[DataFrame, DataFrame
         rows, bad = source.frame, None
     elif source.format == "table":
         rows, bad = spark.table(source.path), None
+    elif source.format in TEXT_FORMATS and source.schema is not None:
+        rows, bad = parsed_lines(spark, source)
     else:
-        reader, schema = spark.read.options(**source.options), source.schema
-        if schema is not None:
-            schema = T.StructType.fromDDL(schema) if isinstance(schema, str) else schema
-            if source.format in TEXT_FORMATS:
-                reader = reader.option("mode", "PERMISSIVE").option("columnNameOfCorruptRecord", CORRUPT)
-                schema = T.StructType([*schema.fields, T.StructField(CORRUPT, T.StringType())])
-            reader = reader.schema(schema)
-        rows, bad = reader.format(source.format).load(source.path), None
-        if source.format in TEXT_FORMATS and schema is not None:
-            bad = rows.where(F.col(CORRUPT).isNotNull()).select(CORRUPT)
-            rows = rows.where(F.col(CORRUPT).isNull()).drop(CORRUPT)
+        reader = spark.read.options(**source.options)
+        rows, bad = (reader.schema(source.schema) if source.schema is not None else reader).format(source.format).load(source.path), None
     return (source.transform(rows) if source.transform else rows), bad
+
+
+def parsed_lines(spark: SparkSession, source: SourceSpec) -> tuple[DataFrame, DataFrame]:
+    """Lines parsed one by one, so that broken ones can be counted and kept as they are. A header line is left out."""
+    schema = T.StructType.fromDDL(source.schema) if isinstance(source.schema, str) else source.schema
+    marked = T.StructType([*schema.fields, T.StructField(CORRUPT, T.StringType())])
+    options = {"mode": "PERMISSIVE", "columnNameOfCorruptRecord": CORRUPT} | {k: v for k, v in source.options.items() if k != "header"}
+    lines = spark.read.text(source.path).where(F.trim("value") != "")
+    if source.options.get("header", "false").lower() == "true" and (first := lines.first()):
+        lines = lines.where(F.col("value") != first.value)
+    parse = F.from_json if source.format == "json" else F.from_csv
+    kind = marked if source.format == "json" else ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in marked)
+    rows = lines.select("value", parse("value", kind, options).alias("r"))
+    broken = F.col("r").isNull() | F.col(f"r.{CORRUPT}").isNotNull()
+    return rows.where(~broken).select("r.*").drop(CORRUPT), rows.where(broken).select(F.col("value").alias(CORRUPT))
