@@ -220,3 +220,34 @@ def test_export_and_log(spark, small_dir, tmp_path):
 def test_unknown_template_column():
     assert {f.name for f in library.web_features()} >= {"plain", "quality", "math_hit", "lang_guess"}
     assert Column("x", "int").kind == "stage"
+
+
+def test_near_duplicate_groups(spark, small_dir):
+    from widefeat.functions import sets
+
+    engine = Engine(spark)
+    text = " ".join(f"word{i}" for i in range(200))
+    rows_in = [(1, "s", text), (2, "s", text + " more"), (3, "t", text.replace("word7 ", "other ")), (4, "t", " ".join(f"other{i}" for i in range(90))), (5, "t", ""), (6, "t", "two words")]
+    frame = spark.createDataFrame(rows_in, "doc_id long, source string, text string").withColumn("lang", F.lit("en"))
+    engine.ingest(SourceSpec("memory", frame=frame), "web", "source", worlds.WEB_MAPPING, create=worlds.WEB_COLUMNS, many=True)
+    for f in (library.plain_feature(), sets.minhash_feature(), sets.near_dup_feature()):
+        engine.add_feature("web", f)
+    assert engine.backfill("web", columns=["near_dup_group"]).ok
+    groups = {}
+    for r in engine.sql("select raw.source_key as k, near_dup_group as g from web").collect():
+        groups.setdefault(r.g, set()).add(r.k)
+    assert sorted(map(sorted, groups.values())) == [[1, 2, 3], [4], [5], [6]]
+
+
+def test_data_source(spark, small_dir, tmp_path):
+    from widefeat.catalog import Catalog
+    from widefeat.metastore import MetaStore
+    from widefeat.sources.datasource import WideTableSource
+
+    db = str(tmp_path / "catalog.db")
+    engine = Engine(spark, catalog=Catalog(MetaStore(db)))
+    worlds.build_signal(engine, small_dir)
+    spark.dataSource.register(WideTableSource)
+    got = spark.read.format("widefeat").option("table", "signal").load(db)
+    assert got.count() == engine.table("signal").count() == 1000
+    assert rows(got.select("entity_id", "value", "batch_name")) == rows(engine.table("signal", ["value"]).select("entity_id", "value", "batch_name"))

@@ -128,6 +128,17 @@ def plain_feature(html: str = "raw.body", source: str = "raw") -> FeatureSpec:
     return FeatureSpec("plain", (source,), (Output("processed", "struct<plain:string>"),), (expr,))
 
 
+def domain_feature(url: str = "raw.url", source: str = "raw") -> FeatureSpec:
+    """The site that a row comes from: the last two labels of its host, or none."""
+    return FeatureSpec.sql("domain_label", "string", f"coalesce(nullif(regexp_extract({url}, '^[a-z]+://(?:[^/:?#]*[.])?([^./:?#]+[.][^./:?#]+)', 1), ''), 'none')", (source,))
+
+
+def ngram_feature(n: int, column: str = "processed.plain", source: str = "processed") -> FeatureSpec:
+    """Share of repeated word n-grams."""
+    shared = lets(column)
+    return FeatureSpec.sql(f"ngram_rep_{n}", "double", _ngram_rep(next(iter(shared)), True, n), (source,), lets=tuple(needed(next(iter(shared)), shared)))
+
+
 def token_features(column: str = "processed.plain", source: str = "processed") -> list[FeatureSpec]:
     """Hash tokens and their number, for sample assembly."""
     w = _words(column)

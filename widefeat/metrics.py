@@ -99,6 +99,19 @@ def cpu_hours(cores: int, seconds: float) -> float:
     return cores * seconds / 3600
 
 
+def stage_totals(spark: SparkSession) -> dict[str, float] | None:
+    """CPU seconds, run seconds and input bytes of all stages so far, by the monitoring endpoint; None without it."""
+    import json
+    from urllib.request import urlopen
+
+    sc = spark.sparkContext
+    if not sc.uiWebUrl:
+        return None
+    with urlopen(f"http://127.0.0.1:{sc.uiWebUrl.rpartition(':')[2]}/api/v1/applications/{sc.applicationId}/stages", timeout=20) as f:
+        stages = json.load(f)
+    return {"cpu_s": sum(s["executorCpuTime"] for s in stages) / 1e9, "run_s": sum(s["executorRunTime"] for s in stages) / 1e3, "input_bytes": float(sum(s["inputBytes"] for s in stages)), "governance_s": sum(s["executorRunTime"] for s in stages if s.get("schedulingPool") == "governance") / 1e3}
+
+
 def task_cost(hours_last_attempt: float, retries: int, expert: float) -> float:
     """Hours times (1 + retries), relative to the expert's."""
     return hours_last_attempt * (1 + retries) / expert

@@ -177,7 +177,10 @@ class Executor:
             rows = sum(b.rows for b in snap.batches if b.name in task.batches)
             model_mb = max((f.model_mb for f in task.features), default=0.0)
             params = adapt(task.features[0].name, InputStats(len(source.tables), rows, source.bytes), model_mb, engine.history) if engine.config.tuning == "adaptive" else None
-            computed, structs = feature_columns(source.relation, task, engine.config.guard, request.max_input_chars, request.timeout_s)
+            if task.features[0].scope == "table":
+                computed, structs = self._set_feature(snap, task), {}
+            else:
+                computed, structs = feature_columns(source.relation, task, engine.config.guard, request.max_input_chars, request.timeout_s)
             bad = 0
             try:
                 if structs:
@@ -212,6 +215,20 @@ class Executor:
             ok = self._commit(table, run_id, task, final, bad, errors_at)
         return TaskResult(task, True, attempt, ok - bad, bad, time.time() - began, bool(known))
 
+    def _set_feature(self, snap, task: FusedTask) -> DataFrame:
+        """A feature over all rows of its inputs, for the batches asked for."""
+        from ..functions.sets import SETS
+
+        engine, f = self.engine, task.features[0]
+        rows = translate.assemble(engine.spark, snap, f.inputs).relation
+
+        def staged(df: DataFrame, name: str) -> DataFrame:
+            path = f"{engine.root}/{snap.path}/scratch/{new_id(name)}"
+            df.write.option("compression", "zstd").parquet(path)
+            return engine.spark.read.schema(df.schema).parquet(path)
+
+        return SETS[f.fn](rows, staged, f.output_names[0]).where(F.col(BATCH).isin(list(task.batches)))
+
     def _write(self, df: DataFrame, path: str, task: FusedTask) -> None:
         df.withColumn("_b", F.col(BATCH)).write.option("compression", "zstd").partitionBy("_b").parquet(path)
 

@@ -717,6 +717,49 @@ def _(spark, sf_dir):
     return docs.lateralJoin(Lines(F.col("text").outer())).select("doc_id", "n")
 
 
+@query("udtf_lineage", WALK + "up(a, d) as (select parent, 1 from e where child = 'math_hit' union all select e.parent, up.d + 1 from up join e on e.child = up.a) select a as ancestor, cast(min(d) as integer) as distance from up group by a")
+def _(spark, sf_dir):
+    from .functions.udtfs import register_lineage
+
+    session = spark.newSession()
+    register_lineage(session, worlds.world(spark, sf_dir, "web").catalog.snapshot("web").graph.edges())
+    return session.sql("select ancestor, distance from lineage_of('math_hit')")
+
+
+@query("web_with_pages", f"select batch_name, count(*) as n, cast(sum(length(plain)) as bigint) as chars from (select 'pages-' || regexp_extract(url, '[.]([a-z]+)(/|$|[?#:])', 1) as batch_name, {library._plain_html('html', False)} as plain, row_number() over (partition by html order by page_id) as n from pages) where n = 1 group by 1")
+def _(spark, sf_dir):
+    engine = worlds.fresh(spark, sf_dir, "web", features=False)
+    mapping = {"raw": "named_struct('body', html, 'url', url, 'source_key', page_id, 'declared_lang', cast(null as string))", "payload": "html", "source_key": "page_id"}
+    engine.ingest(SourceSpec("parquet", worlds.path_of(sf_dir, "pages")), "web", "concat('pages-', regexp_extract(url, '[.]([a-z]+)(/|$|[?#:])', 1))", mapping, many=True)
+    pages = [b.name for b in engine.catalog.snapshot("web").batches if b.name.startswith("pages")]
+    engine.backfill("web", columns=["char_len"], batches=pages)
+    return engine.sql("select batch_name, count(*) as n, cast(sum(char_len) as bigint) as chars from web where batch_name like 'pages-%' group by batch_name")
+
+
+@query("domain_labels", "select page_id, coalesce(nullif(regexp_extract(url, '^[a-z]+://(?:[^/:?#]*[.])?([^./:?#]+[.][^./:?#]+)', 1), ''), 'none') as domain_label from pages")
+def _(spark, sf_dir):
+    return spark.read.parquet(worlds.path_of(sf_dir, "pages")).selectExpr("page_id", f"{library.domain_feature('url').exprs[0]} as domain_label")
+
+
+@query("ngram_rep_3", f"select entity_id, round({library._ngram_rep(library._duck_words('plain'), False, 3)}, 6) as r from web where batch_name = 'src5'")
+def _(spark, sf_dir):
+    engine = worlds.fresh(spark, sf_dir, "web", features=False)
+    engine.add_feature("web", library.ngram_feature(3))
+    engine.backfill("web", [("src5", "ngram_rep_3")])
+    return engine.sql("select entity_id, round(ngram_rep_3, 6) as r from web where batch_name = 'src5'")
+
+
+@query("near_dup_groups")
+def _(spark, sf_dir):
+    from .functions import sets
+
+    engine = worlds.fresh(spark, sf_dir, "web", features=False)
+    engine.add_feature("web", sets.minhash_feature())
+    engine.add_feature("web", sets.near_dup_feature())
+    engine.backfill("web", columns=["near_dup_group"])
+    return engine.sql("select near_dup_group, count(*) as n from web group by near_dup_group having count(*) > 1")
+
+
 # ---- streams, drained over the events there are
 
 
