@@ -54,7 +54,7 @@ def _ngram_rep(words: str, spark: bool, n: int = 2) -> str:
     if spark:
         grams = f"transform(sequence(1, size({words}) - {n - 1}), i -> array_join(slice({words}, i, {n}), ' '))"
         return f"case when size({words}) < {n} then 0D else 1 - size(array_distinct({grams})) / (size({words}) - {n - 1}) end"
-    grams = f"list_transform(range(1, len({words}) - {n - 2}), lambda i: list_aggregate(list_slice({words}, i, i + {n - 1}), 'string_agg', ' '))"
+    grams = f"list_transform(range(1, len({words}) - {n - 2}), lambda i: " + " || ' ' || ".join(f"({words})[i + {k}]" for k in range(n)) + ")"
     return f"case when len({words}) < {n} then 0.0 else 1 - len(list_distinct({grams})) / (len({words}) - {n - 1}) end"
 
 
@@ -65,9 +65,9 @@ def lets(text: str) -> dict[str, str]:
     return {words: _words(text)} | {f"_{k}_{tag}": _hits(words, k, True) for k in STOP_WORDS} | {f"_lines_{tag}": f"split({text}, '\\n')"}
 
 
-def expressions(text: str, spark: bool = True, bound: dict[str, str] | None = None) -> dict[str, tuple[str, str]]:
-    """name: (type, expression) of the row-wise text features, for either engine; bound: names of lets to refer to."""
-    w = _words(text) if spark else _duck_words(text)
+def expressions(text: str, spark: bool = True, bound: dict[str, str] | None = None, words: str | None = None) -> dict[str, tuple[str, str]]:
+    """name: (type, expression) of the row-wise text features, for either engine; bound: names of lets to refer to, words: a column of words."""
+    w = words or (_words(text) if spark else _duck_words(text))
     hits = None
     if bound:
         w, *names, line_name = bound

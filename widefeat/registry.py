@@ -741,7 +741,7 @@ def _(spark, sf_dir):
     return spark.read.parquet(worlds.path_of(sf_dir, "pages")).selectExpr("page_id", f"{library.domain_feature('url').exprs[0]} as domain_label")
 
 
-@query("ngram_rep_3", f"select entity_id, round({library._ngram_rep(library._duck_words('plain'), False, 3)}, 6) as r from web where batch_name = 'src5'")
+@query("ngram_rep_3", f"select entity_id, round({library._ngram_rep('_w', False, 3)}, 6) as r from web where batch_name = 'src5'")
 def _(spark, sf_dir):
     engine = worlds.fresh(spark, sf_dir, "web", features=False)
     engine.add_feature("web", library.ngram_feature(3))

@@ -107,19 +107,29 @@ def world(spark: SparkSession, sf_dir: str, table: str) -> Engine:
 # ---- the same tables in flat SQL
 
 
-def web_sql() -> str:
-    f = library.expressions("plain", spark=False)
+def web_sql(text: str) -> str:
+    """Only the features that the query names are computed."""
+    import re
+
+    from .functions.models import QUALITY
+
+    named = set(re.findall(r"\w+", text))
+    if "math_hit" in named:
+        named.add("quality")
+    if "quality" in named:
+        named |= {"char_len", "word_count", "ngram_rep", "digit_ratio"}
+    f = {n: x for n, x in library.expressions("plain", spark=False, words="_w").items() if n in named}
     plain = f"case when text like '<%' then {library._plain_html('text', False)} else text end"
-    b, w1, w2, w3, w4 = (repr(x) for x in __import__("widefeat.functions.models", fromlist=["QUALITY"]).QUALITY)
-    q = f"1 / (1 + exp(-({b} + {w1} * least(word_count, 1000) + {w2} * (case when char_len > 300 then 1 else 0 end) + {w3} * ngram_rep + {w4} * digit_ratio)))"
+    b, w1, w2, w3, w4 = map(repr, QUALITY)
     cast = {"bigint": "bigint", "double": "double", "string": "varchar", "boolean": "boolean"}
-    cols = ", ".join(f"cast({e} as {cast[t]}) as {n}" for n, (t, e) in f.items())
+    cols = "".join(f", cast({e} as {cast[t]}) as {n}" for n, (t, e) in f.items())
+    q = f", 1 / (1 + exp(-({b} + {w1} * least(word_count, 1000) + {w2} * (case when char_len > 300 then 1 else 0 end) + {w3} * ngram_rep + {w4} * digit_ratio))) as quality" if "quality" in named else ""
     hits = "length(plain) - length(regexp_replace(plain, '[0-9+=<>/^%-]', '', 'g'))"
-    math = f"(1 / (1 + exp(-(20.0 * ({hits}) / greatest(1, length(plain)) - 1.0)))) * quality > 0.3"
+    math = f", (1 / (1 + exp(-(20.0 * ({hits}) / greatest(1, length(plain)) - 1.0)))) * quality > 0.3 as math_hit" if "math_hit" in named else ""
     return (
-        "web as (with a as (select md5(text) as entity_id, source as batch_name, {'body': text, 'source_key': doc_id, 'declared_lang': lang} as raw, "
-        f"{plain} as plain, row_number() over (partition by md5(text) order by doc_id, source) as n from documents), "
-        f"b as (select *, {cols} from a where n = 1), c as (select *, {q} as quality from b) select *, {math} as math_hit from c)"
+        "web as (with a as materialized (select md5(text) as entity_id, source as batch_name, {'body': text, 'source_key': doc_id, 'declared_lang': lang} as raw, "
+        f"{plain} as plain, {library._duck_words(plain)} as _w, row_number() over (partition by md5(text) order by doc_id, source) as n from documents), "
+        f"b as materialized (select *{cols} from a where n = 1), c as materialized (select *{q} from b) select *{math} from c)"
     )
 
 
@@ -156,7 +166,7 @@ def twin(text: str) -> str:
     """A query on logical tables as flat SQL on raw tables."""
     import re
 
-    ctes = ", ".join(make() for n, make in TWINS.items() if re.search(rf"\b{n}\b", text))
+    ctes = ", ".join(make(text) if n == "web" else make() for n, make in TWINS.items() if re.search(rf"\b{n}\b", text))
     if not ctes:
         return text
     rest = text.strip()
