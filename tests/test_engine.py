@@ -251,3 +251,22 @@ def test_data_source(spark, small_dir, tmp_path):
     got = spark.read.format("widefeat").option("table", "signal").load(db)
     assert got.count() == engine.table("signal").count() == 1000
     assert rows(got.select("entity_id", "value", "batch_name")) == rows(engine.table("signal", ["value"]).select("entity_id", "value", "batch_name"))
+
+
+def test_empty_and_odd_sources(spark):
+    engine = Engine(spark)
+    frame = spark.createDataFrame([], "doc_id long, source string, text string, lang string, entity_id int")
+    for many, batch in ((True, "source"), (False, "none")):
+        engine.ingest(SourceSpec("memory", frame=frame), "web", batch, worlds.WEB_MAPPING, create=worlds.WEB_COLUMNS, many=many)
+    for f in library.web_features():
+        engine.add_feature("web", f)
+    assert engine.backfill("web", columns=["math_hit"]).ok and engine.sql("select count(*) as n from web").first().n == 0
+    odd = spark.createDataFrame([(1, None, "text", None, 5), (None, "a/b=c d", None, "en", 6), (3, "a/b=c d", "text", "en", 7), (4, "é", "", "en", 8)], frame.schema)
+    engine.ingest(SourceSpec("memory", frame=odd), "web", "source", worlds.WEB_MAPPING, many=True)
+    assert engine.backfill("web", columns=["math_hit", "char_len"]).ok
+    got = {(r.batch_name, r.k, r.n) for r in engine.sql("select batch_name, raw.source_key as k, char_len as n from web").collect()}
+    # null and empty payloads have one id, equal texts another; the null source key comes first
+    assert got == {("unknown", 1, 4), ("a/b=c d", None, None)}
+    engine.index.catch_up("web")
+    some = engine.sql("select entity_id from web where batch_name = 'unknown'").first().entity_id
+    assert engine.lookup("web", some).count() == 1

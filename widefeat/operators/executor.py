@@ -186,7 +186,7 @@ class Executor:
                 if structs:
                     staging = f"{final}-staged"
                     self._write(computed, staging, task)
-                    staged = spark.read.schema(computed.schema).parquet(f"{staging}/_b=*")
+                    staged = spark.read.schema(computed.schema).parquet(staging).drop("_b")
                     values, errors = split_errors(staged, structs, KEYS)
                     self._write(values, final, task)
                     errors_at = f"{engine.root}/{table}/errors/{run_id}-{task.number}"
@@ -239,7 +239,8 @@ class Executor:
         lane = f"{task.lane}(simulated)" if task.lane == "gpu" else task.lane
         at, add, records, trimmed, remove = catalog.column_versions(table), [], [], [], []
         for b in task.batches:
-            add.append(measured(spark, Physical(new_id("feat"), "features", f"{path}/_b={escaped(spark, b)}", b, task.columns, "features", rows[b])))
+            if rows[b]:  # a batch without rows has no files
+                add.append(measured(spark, Physical(new_id("feat"), "features", f"{path}/_b={escaped(spark, b)}", b, task.columns, "features", rows[b])))
             for f in task.features:
                 inputs = json.dumps({i: at.get((b, i), at.get((b, ""), 0)) for i in f.inputs})
                 records += [LineageRecord(run_id, b, o, f.name, f.version, lane, inputs, time.time(), rows[b] - bad if len(task.batches) == 1 else rows[b], bad if len(task.batches) == 1 else 0, errors_at, ()) for o in f.output_names]

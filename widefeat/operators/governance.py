@@ -218,6 +218,11 @@ class Governor:
 
         return self.evolve(table, p.group, [p], work, **options)
 
+    def level(self, table: str) -> str:
+        """light for a table that was read or written within a week, deep for one at rest."""
+        seen = self.engine.catalog.store.query("select max(at) as q, (select max(ingested_at) from batches where path = ?) as b from query_log where path = ?", table, table)[0]
+        return tier(max(seen["q"] or 0, seen["b"] or 0), time.time()) or "light"
+
     def row_split(self, table: str, phys_id: str, **options) -> str:
         """Deal a table's rows into id ranges, so that each is under the limits."""
         snap = self.engine.catalog.snapshot(table)
@@ -308,7 +313,7 @@ class Governor:
             if budget_s is not None and time.time() - began > budget_s:
                 done.append((a.kind, a.target, "DEFERRED"))
                 continue
-            act = {"compact": lambda t: self.compact(table, t), "row_split": lambda t: self.row_split(table, t), "column_split": lambda t: self.column_split(table, t), "merge_shards": lambda t: self.merge_shards(table, t), "build_view": lambda t: self.engine.materializer.build_view(table, t.split(",")), "refresh_view": lambda t: str(self.engine.materializer.refresh(table, t))}[a.kind]
+            act = {"compact": lambda t: self.compact(table, t, self.level(table)), "row_split": lambda t: self.row_split(table, t), "column_split": lambda t: self.column_split(table, t), "merge_shards": lambda t: self.merge_shards(table, t), "build_view": lambda t: self.engine.materializer.build_view(table, t.split(",")), "refresh_view": lambda t: str(self.engine.materializer.refresh(table, t))}[a.kind]
             live = {p.phys_id for p in self.engine.catalog.snapshot(table).physical}
             done.append((a.kind, a.target, act(a.target) if a.kind in ("merge_shards", "build_view", "refresh_view") or a.target in live else "SUPERSEDED"))
         return done

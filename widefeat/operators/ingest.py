@@ -39,7 +39,7 @@ def normalize(rows: DataFrame, columns: Sequence[Column], mapping: dict[str, str
     helpers = [F.expr(mapping.get("payload", "''")).alias("_payload"), F.expr(mapping.get("source_key", "0")).alias("_key")]
     keyed = rows if id_strategy in ("content", "uuid") else rows.withColumn("_id", id_column(id_strategy, payload))
     ids = [F.col("_id")] if "_id" in keyed.columns else []
-    out = keyed.select(*ids, F.expr(batch).cast("string").alias(BATCH), *fields, *helpers)
+    out = keyed.select(*ids, F.coalesce(F.expr(batch).cast("string"), F.lit("unknown")).alias(BATCH), *fields, *helpers)
     stamped = F.col("_id") if ids else id_column(id_strategy, "_payload")
     return out.select(stamped.alias(ID), BATCH, *known, "_key")
 
@@ -62,13 +62,15 @@ def ingest(
 ) -> list[BatchEntry]:
     """Ingest one batch (named `batch`) or, with many, one batch for each value of the expression `batch`.
 
-    known_ids(spark) gives the committed (entity_id) rows for keep_first across batches; if another ingestion commits
+    Rows that can't be parsed go to the table's quarantine folder. known_ids(spark) gives the committed (entity_id) rows for keep_first across batches; if another ingestion commits
     meanwhile, the comparison is made again before the next try.
     """
     if create is not None and not catalog.exists(table):
         catalog.create_table(table, create)
     snap = catalog.snapshot(table)
     rows, bad = adapt(spark, source)
+    if bad is not None and not bad.isEmpty():
+        bad.write.text(f"{root}/{table}/quarantine/{new_id('q')}")
     expr = batch if many else "'" + batch.replace("'", "\\'") + "'"
     rows = normalize(rows, snap.columns, mapping, id_strategy, expr)
     if dedup and id_strategy != "uuid":
@@ -105,7 +107,8 @@ def _write(spark, catalog, rows, table, staging, batch, many, source, mapping, i
         rows.withColumn("_b", F.col(BATCH)).write.option("compression", "zstd").partitionBy("_b").parquet(staging)
     else:
         rows.write.option("compression", "zstd").parquet(f"{staging}/_b=0")
-    counts = {r[BATCH]: r.n for r in spark.read.parquet(f"{staging}/_b=*").groupBy(BATCH).agg(F.count("*").alias("n")).collect()} if many else {batch: spark.read.parquet(f"{staging}/_b=0").count()}
+    written = spark.read.schema(f"{BATCH} string").parquet(staging if many else f"{staging}/_b=0").groupBy(BATCH).agg(F.count("*").alias("n"))
+    counts = ({} if many else {batch: 0}) | {r[BATCH]: r.n for r in written.collect()}
     filled = [c.name for c in columns if c.name in mapping]
     absent = [c.name for c in columns if c.name not in mapping]
     entries = []
