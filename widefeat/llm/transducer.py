@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import local_scratch, ship, text_slices
+from .common import local_scratch, ship, staged, text_slices
 from .tokens import WordCounts, WordEncoder, tokenizer_path
 
 MOST_WORDS = 50_000
@@ -319,11 +319,21 @@ def count_words(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def frequent_words(docs: DataFrame, most_words: int = MOST_WORDS) -> list[str]:
-    """The most frequent words of all documents (ties by word), at most `most_words`."""
+    """The most frequent words of all documents, at most `most_words`.
+
+    Counts are dealt into bands of some six percent; a histogram of the bands tells from which one on all words fit, and
+    only those come to the driver, so what it gets is bounded however many tasks there are.
+    """
     ship(docs.sparkSession)
-    counts = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(count_words, "word string, n long")
-    top = counts.groupBy("word").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "word").limit(most_words)
-    return [r.word for r in top.select("word").collect()]
+    found = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(count_words, "word string, n long")
+    band = F.floor(F.log("n") * 16).cast("int")
+    counts = staged(found.groupBy("word").agg(F.sum("n").alias("n")).withColumn("band", band), "word-counts")
+    total, least = 0, None
+    for r in sorted(counts.groupBy("band").agg(F.count("*").alias("words")).collect(), key=lambda r: -r.band):
+        if total + r.words > most_words:
+            break
+        total, least = total + r.words, r.band
+    return [] if least is None else sorted(r.word for r in counts.where(F.col("band") >= least).select("word").collect())
 
 
 def compile_lexicon(words: Iterable[str], tokenizer: str | None = None) -> Lexicon:
