@@ -16,7 +16,7 @@ from itertools import repeat
 import numpy as np
 
 DEFAULT_TOKENIZER = "word_bpe_49k.json"
-BLOCK_CHARS = 1_000_000
+BLOCK_CHARS = 400_000
 
 # In the plain range NFC changes nothing and lower-casing has no special case.
 PLAIN = r"\t\n\r\x20-\x7e\u00a1-\u00a9\u00ab-\u00b1\u00b4\u00b6-\u00b8\u00bb\u00bf-\u012f\u0131-\u0233"
