@@ -222,6 +222,19 @@ def test_unknown_template_column():
     assert Column("x", "int").kind == "stage"
 
 
+def test_catch_up_after_commits(spark, small_dir):
+    engine = worlds.fresh(spark, small_dir, "web", features=False)
+    engine.backfill("web", columns=["char_len"])
+    engine.index.catch_up("web")
+    engine.materializer.sync("web", ["char_len"])
+    engine.materializer.build_view("web", ["char_len", "raw"], view_id="v")
+    at = engine.catalog.snapshot("web").version
+    assert engine.catch_up("web", at) == {"events": 0, "indexed": 0, "synced": 0, "refreshed": 0}
+    engine.refresh("web", [("src0", "char_len")])
+    assert engine.catch_up("web", at) == {"events": 1, "indexed": 1, "synced": 1, "refreshed": 1}
+    assert engine.index.coverage("web") == 1
+
+
 def test_near_duplicate_groups(spark, small_dir):
     from widefeat.functions import sets
 

@@ -180,6 +180,19 @@ class Engine:
         schema = "run_id string, entity_id string, batch_name string, column_name string, feature_version int, error_type string, stack_summary string"
         return self.spark.read.schema(schema).parquet(*paths) if paths else self.spark.createDataFrame([], schema)
 
+    def catch_up(self, table: str, since: int = 0) -> dict[str, int]:
+        """What follows commits: index, replica and views take up the changes after a version; counts of what was done."""
+        events = self.catalog.changes_since(table, since)
+        done = {"events": len(events), "indexed": 0, "synced": 0, "refreshed": 0}
+        if any(kind in ("batch", "backfill", "layout") for _, kind, _ in events):
+            snap = self.catalog.snapshot(table)
+            done["indexed"] = self.index.catch_up(table) if self.index.covered(table) else 0
+            if self.materializer.replica(snap):
+                done["synced"] = len(self.materializer.sync(table))
+            for view_id in self.materializer.views(snap):
+                done["refreshed"] += len(self.materializer.refresh(table, view_id))
+        return done
+
     def stub(self, table: str) -> DataFrame:
         return translate.stub(self.spark, self.catalog.snapshot(table))
 

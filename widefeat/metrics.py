@@ -142,3 +142,22 @@ def area_under_curve(scores: Sequence[float], labels: Sequence[int]) -> float:
     p = sum(labels)
     n = len(labels) - p
     return (sum(r for r, y in zip(ranks, labels, strict=True) if y) - p * (p + 1) / 2) / (p * n) if p and n else float("nan")
+
+
+def coverage(engine, table: str, wanted: Sequence[str]) -> dict[str, float]:
+    """Shares of ids in the index, of wanted columns in the replica, and of batches with a fresh view of them."""
+    snap = engine.catalog.snapshot(table)
+    synced = {c for p in engine.materializer.replica(snap) for c in p.columns}
+    batches = {b.name for b in snap.batches}
+    viewed = {p.batch for ps in engine.materializer.views(snap).values() for p in ps if set(wanted) <= set(p.columns)}
+    return {"index": engine.index.coverage(table), "replica": len(synced & set(wanted)) / max(1, len(set(wanted))), "views": len(viewed & batches) / max(1, len(batches))}
+
+
+def catalog_latency_ms(engine, table: str, runs: int = 50) -> float:
+    """Median milliseconds of a snapshot with one resolution."""
+
+    def one() -> None:
+        snap = engine.catalog.snapshot(table)
+        snap.resolve(snap.batches[0].name, snap.columns[-1].name)
+
+    return 1000 * measured_median(one, runs)

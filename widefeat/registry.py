@@ -690,6 +690,43 @@ def _(spark, sf_dir):
     return spark.read.parquet(worlds.path_of(sf_dir, "pages")).selectExpr("page_id", "parse_url(url, 'HOST') as host", "parse_url(url, 'PROTOCOL') as scheme")
 
 
+@query("fn_variant", "select event_id, cast(json_extract(props, '$.k') as bigint) as k from events where event_id % 5 = 0")
+def _(spark, sf_dir):
+    return spark.read.parquet(worlds.path_of(sf_dir, "events")).where("event_id % 5 = 0").selectExpr("event_id", "variant_get(parse_json(props), '$.k', 'bigint') as k")
+
+
+@query("fn_maps", "select source, count(*) as n, count(distinct lang) as langs from documents group by source")
+def _(spark, sf_dir):
+    docs = spark.read.parquet(worlds.path_of(sf_dir, "documents")).groupBy("source", "lang").agg(F.count("*").alias("n"))
+    maps = docs.groupBy("source").agg(F.map_from_entries(F.collect_list(F.struct("lang", "n"))).alias("m"))
+    return maps.select("source", F.aggregate(F.map_values("m"), F.lit(0).cast("long"), lambda a, x: a + x).alias("n"), F.size(F.map_keys("m")).cast("long").alias("langs"))
+
+
+@query("sink_bucketed_join", "select count(*) as n, count(distinct l_partkey) as parts from lineitem join orders on l_orderkey = o_orderkey")
+def _(spark, sf_dir):
+    from .operators.storage import new_id
+
+    names = {}
+    for t, key in (("lineitem", "l_orderkey"), ("orders", "o_orderkey")):
+        names[t] = new_id(t).replace("-", "_")
+        spark.read.parquet(worlds.path_of(sf_dir, t)).write.bucketBy(8, key).sortBy(key).saveAsTable(names[t])
+    joined = spark.table(names["lineitem"]).hint("merge").join(spark.table(names["orders"]), F.col("l_orderkey") == F.col("o_orderkey"))
+    out = spark.createDataFrame(joined.agg(F.count("*").alias("n"), F.countDistinct("l_partkey").alias("parts")).collect(), "n long, parts long")
+    for n in names.values():
+        spark.sql(f"drop table {n}")
+    return out
+
+
+@query("sink_json_csv", "select count(*) as json_rows, count(*) as csv_rows from events")
+def _(spark, sf_dir):
+    from .operators.storage import new_id, shared_base
+
+    engine, base = worlds.world(spark, sf_dir, "signal"), f"{shared_base(spark)}/{new_id('out')}"
+    for kind in ("json", "csv"):
+        engine.export("select event_id, event_type, value from signal", f"{base}/{kind}", kind)
+    return spark.createDataFrame([(spark.read.json(f"{base}/json").count(), spark.read.schema("a long, b string, c double").csv(f"{base}/csv").count())], "json_rows long, csv_rows long")
+
+
 @query("udaf_geometric", "select event_type, round(exp(avg(ln(1 + value))), 5) as g from events group by event_type")
 def _(spark, sf_dir):
     import numpy as np

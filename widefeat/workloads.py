@@ -77,7 +77,7 @@ EXPORT = "select entity_id, batch_name, char_len, word_count, lang_guess, ngram_
 
 
 @workload
-def w2_volume_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+def w2_volume_sweep(spark: SparkSession, sf_dir: str, sizes: tuple[int, ...] = (1, 5, 10, 20)) -> DataFrame:
     """Export of 15 columns under 8 predicates over growing batch combinations; NoGov has a shard a feature and small files."""
     good, bad = Recorder("w2", "full"), Recorder("w2", "nogov")
     tidy = worlds.fresh(spark, sf_dir, "web")
@@ -85,7 +85,7 @@ def w2_volume_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     loose.backfill("web", columns=[o for f in library.web_features() for o in f.output_names])
     for b in [b.name for b in tidy.catalog.snapshot("web").batches][:20]:
         tidy.governor.merge_shards("web", b)
-    for n in (1, 5, 10, 20):
+    for n in sizes:
         names = ", ".join(f"'src{i}'" for i in range(n))
         for rec, engine in ((good, tidy), (bad, loose)):
             text = EXPORT.format(f"batch_name in ({names}) and")
@@ -331,6 +331,26 @@ def w10_export_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rec.frame(spark)
 
 
+@workload
+def w11_without_governance(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The ends of both sweeps with background work off, beside those with it on."""
+    volume, width = w2_volume_sweep(spark, sf_dir, (1, 20)), w3_width_sweep(spark, sf_dir, (20, 120))
+    return volume.where("measure in ('degradation', 'joins_20', 'files_20')").union(width.where("measure like 'success%'")).withColumn("workload", F.lit("w11"))
+
+
+@workload
+def catalog_latency(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Milliseconds of metadata queries, and what the accelerators cover."""
+    engine = worlds.fresh(spark, sf_dir, "web")
+    rec = Recorder("catalog", "full")
+    rec.put("snapshot_ms", metrics.catalog_latency_ms(engine, "web"), "ms")
+    engine.index.catch_up("web")
+    engine.materializer.sync("web", ["char_len", "quality"])
+    for k, v in metrics.coverage(engine, "web", ["char_len", "quality"]).items():
+        rec.put(f"coverage_{k}", v)
+    return rec.frame(spark)
+
+
 @workload
 def w12_recovery(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A run that dies after some units: what is computed again with checkpoints and without."""
