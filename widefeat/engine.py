@@ -16,7 +16,7 @@ from .operators.executor import BackfillReport, BackfillRequest, Executor
 from .operators.governance import Governor, Policy
 from .operators.idindex import IdIndex
 from .operators.materialize import Materializer
-from .operators.storage import new_id, shared_base
+from .operators.storage import new_id, shared_base, ship
 from .plans import translate
 from .plans.routing import ClusterLoad
 from .plans.tuning import History
@@ -27,6 +27,7 @@ class Engine:
     """Ingestion, features, exploration and governance over one catalog and one folder."""
 
     def __init__(self, spark: SparkSession, config: EngineConfig | None = None, root: str | None = None, catalog: Catalog | None = None, policy: Policy | None = None):
+        ship(spark)
         self.spark, self.config = spark, config or EngineConfig()
         self.root = root or f"{shared_base(spark)}/{new_id('wide')}"
         self.catalog = catalog or Catalog()

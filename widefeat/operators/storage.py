@@ -6,7 +6,9 @@ import atexit
 import shutil
 import tempfile
 import uuid
+import zipfile
 from collections.abc import Sequence
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -15,6 +17,21 @@ from ..catalog import logical_name, stored_name
 from ..model import KEYS, Physical
 
 
+def ship(spark: SparkSession) -> None:
+    """Send the package's source to the executors, once per application: Python lanes import it there."""
+    sc = spark.sparkContext
+    if getattr(sc, "_widefeat_shipped", False):
+        return
+    root = Path(__file__).resolve().parents[1]
+    folder = Path(tempfile.mkdtemp(prefix="widefeat-src-"))
+    atexit.register(shutil.rmtree, folder, ignore_errors=True)
+    with zipfile.ZipFile(folder / "widefeat_src.zip", "w", zipfile.ZIP_DEFLATED) as z:
+        for p in sorted(root.rglob("*.py")):
+            z.write(p, f"{root.name}/{p.relative_to(root)}")
+    sc.addPyFile(str(folder / "widefeat_src.zip"))
+    sc._widefeat_shipped = True
+
+
 def shared_base(spark: SparkSession) -> str:
     """spark.checkpoint.dir of the session, or in local mode a temporary folder."""
     sc = spark.sparkContext

@@ -14,6 +14,7 @@ from .functions import library
 from .model import Column, EngineConfig, FeatureSpec
 from .operators import governance, guard, relational
 from .operators.materialize import candidates, cooccurrence
+from .operators.storage import ship
 from .plans import tuning
 from .plans.dag import FeatureGraph
 from .plans.planner import minimum_closure
@@ -28,7 +29,11 @@ ORACLES: dict[str, str] = {}
 
 def query(name: str, oracle: str | None = None) -> Callable[[Query], Query]:
     def put(f: Query) -> Query:
-        QUERIES[name] = f
+        def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+            ship(spark)
+            return f(spark, sf_dir)
+
+        QUERIES[name] = run
         if oracle:
             ORACLES[name] = worlds.twin(oracle)
         return f

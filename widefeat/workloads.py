@@ -22,6 +22,7 @@ from .model import ColumnLimitError, EngineConfig, FeatureSpec
 from .operators import guard
 from .operators.executor import BackfillRequest
 from .operators.governance import Policy, assign_shards, storage_report
+from .operators.storage import ship
 from .plans import tuning
 from .plans.tuning import History, InputStats
 from .sources.adapters import SourceSpec
@@ -30,7 +31,11 @@ WORKLOADS: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 
 
 def workload(f):
-    WORKLOADS[f.__name__] = f
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        ship(spark)
+        return f(spark, sf_dir)
+
+    WORKLOADS[f.__name__] = run
     return f
 
 
