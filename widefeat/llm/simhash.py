@@ -143,7 +143,12 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, most_bits: int = 2, segme
 
 def one_of_each(docs: DataFrame, **options) -> DataFrame:
     """The documents without all but one of each component: the smallest doc_id (nulls last), then the smallest text hash stays."""
-    rows = near_duplicates(docs, **options).select("component", F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "text_hash").alias("place"))
+    return least_of_each(docs, near_duplicates(docs, **options))
+
+
+def least_of_each(docs: DataFrame, grouped: DataFrame) -> DataFrame:
+    """The documents that stay, by `grouped` (doc_id, text_hash, component)."""
+    rows = grouped.select("component", F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "text_hash").alias("place"))
     stays = rows.groupBy("component").agg(F.min("place").alias("stays"))
     gone = rows.join(stays, "component").where("place <> stays").select(F.col("place.doc_id").alias("gone_id"), F.col("place.text_hash").alias("gone_hash")).distinct()
     kept = docs.join(gone, F.col("doc_id").eqNullSafe(F.col("gone_id")) & (F.xxhash64(F.col("text").cast("string")) == F.col("gone_hash")), "left_anti")
