@@ -102,27 +102,23 @@ class Ftrl:
         return SparseModel(self.bits, float(w[-1]), at, w[at].astype(np.float32))
 
 
-def train(rows: Iterable[tuple[np.ndarray, int]], passes: int = 4, least_share: float = 1 / 150, seed: int = 11, **options) -> SparseModel:
+def train(rows: Iterable[tuple[np.ndarray, int]], passes: int = 4, seed: int = 11, **options) -> SparseModel:
     """Learn from (distinct features, label) rows in a shuffled order.
 
-    Rows of equal features count once, with the label of most of them; features of fewer than 4 rows or `least_share`
-    of all are left out.
+    Rows of equal features count once, with the label of most of them; which features get weights is left to L1.
     """
     from xxhash import xxh3_128_digest
 
     learner, order = Ftrl(**options), np.random.default_rng(seed)
     votes: dict[bytes, list[int]] = {}
     first: list[tuple[bytes, np.ndarray]] = []
-    seen = np.zeros(1 << learner.bits, np.int32)
     for at, y in rows:
         key = xxh3_128_digest(at.tobytes())
         if key not in votes:
             votes[key] = [0, 0]
             first.append((key, at))
-            seen[at] += 1
         votes[key][int(y)] += 1
-    least_rows = max(4, int(least_share * len(first)))
-    kept = [(at[seen[at] >= least_rows], int(votes[key][1] > votes[key][0])) for key, at in first]
+    kept = [(at, int(votes[key][1] > votes[key][0])) for key, at in first]
     first.clear()
     for _ in range(passes):
         for i in order.permutation(len(kept)):
