@@ -44,8 +44,8 @@ IMPLIED_END = {
     "rt": ({"rt", "rp"}, {"ruby"}), "rp": ({"rt", "rp"}, {"ruby"}),
 }
 
-TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
-LOOSE_TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)([^>]*)>", re.S)
+TAG_NAME = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)")
+TAG_STOP = re.compile(r"[>\"']")
 ATTRIBUTE = re.compile(r"([^\s=/>\"']+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?")
 HIDDEN_STYLE = re.compile(r"(?:^|;)\s*(?:display\s*:\s*none|visibility\s*:\s*(?:hidden|collapse))\b", re.I)
 BLANKS = re.compile(r"[ \t\n\r\f]+")
@@ -61,6 +61,21 @@ class Node:
 def tokens(source: str) -> Iterator[tuple[str, str, str]]:
     """(kind, name or text, attributes): kinds are text, open, close."""
     at, n = 0, len(source)
+    last, doomed = {c: source.rfind(c) for c in ">\"'"}, set()
+
+    def tag_end(at: int) -> int:
+        """Where the tag's > stands outside quotes, else the first >; a quote that led nowhere isn't followed again."""
+        first, tried = at, []
+        while m := TAG_STOP.search(source, at):
+            if m[0] == ">":
+                return m.start()
+            if m.start() in doomed or last[m[0]] <= m.start():
+                break
+            tried.append(m.start())
+            at = source.find(m[0], m.end()) + 1
+        doomed.update(tried)
+        return source.find(">", first)
+
     while at < n:
         start = source.find("<", at)
         if start < 0:
@@ -76,13 +91,14 @@ def tokens(source: str) -> Iterator[tuple[str, str, str]]:
             end = source.find(">", start)
             at = n if end < 0 else end + 1
             continue
-        tag = TAG.match(source, start, min(n, start + 65_536)) or LOOSE_TAG.match(source, start, min(n, start + 65_536))
+        tag = TAG_NAME.match(source, start) if start < last[">"] else None
         if not tag:
             yield "text", "<", ""
             at = start + 1
             continue
-        name, at = tag[2].lower(), tag.end()
-        yield "close" if tag[1] else "open", name, tag[3]
+        name, stop = tag[2].lower(), tag_end(tag.end())
+        at = stop + 1
+        yield "close" if tag[1] else "open", name, source[tag.end() : stop]
         if not tag[1] and name in RAW | ESCAPABLE_RAW:
             end = re.compile(rf"</{re.escape(name)}(?=[\s/>])", re.I).search(source, at)
             stop = end.start() if end else n
