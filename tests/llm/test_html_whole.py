@@ -20,3 +20,20 @@ def test_tags_take_linear_time(part):
     began = time.monotonic()
     html_to_text(part * 60_000)
     assert time.monotonic() - began < 20
+
+
+@pytest.mark.parametrize("source, want", {
+    "<table><tr><form><td>X</td><td>Y</td></form></tr></table>": "X  Y",
+    "<table>before<tr><td>X</td></tr></table>": "before\nX",
+    "<table><tr>loose<td>X</td></tr></table>after": "loose\nX\nafter",
+    "<table><tbody><div>apart</div><tr><td>X</td></tr></tbody></table>": "apart\nX",
+    "<table><tr><div>apart<td>X<td>Y</table>": "apart\nX  Y",
+    "<table><colgroup>c<col></colgroup><tr><td>X</table>": "c\nX",
+    "<table><tr><table><tr><td>X</table><td>Y": "X\nY",
+    "<math><mi>x</mi><mo>=</mo><mn>1</mn></math>": "x=1",
+    "<svg><title>t</title><g><text>drawn</text></g></svg>": "drawn",
+    "<map><p>mapped</p></map>": "mapped",
+    "<select><optgroup label=g><option>one<option>two</select>": "g\none\ntwo",
+}.items())
+def test_text_outside_cells(source, want):
+    assert [x.rstrip() for x in html_to_text(source).split("\n") if x.strip()] == want.split("\n")

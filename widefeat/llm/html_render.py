@@ -6,7 +6,8 @@ around paragraphs and headings, list items carry bullets or numbers, preformatte
 cells of a table are padded to common column widths.
 
 Edge cases: null, empty and tag-less input give null, "" and the plain text; unclosed tags, stray end tags, broken
-attributes and nesting deeper than `DEEPEST` are repaired, never fatal; repeated rows are rendered each.
+attributes and content of tables outside cells are repaired, never fatal; nesting of any depth keeps its text, lists and
+tables within more than `DEEPEST` others are laid out as blocks; repeated rows are rendered each.
 """
 
 from __future__ import annotations
@@ -27,12 +28,17 @@ from .common import ship, text_slices
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style xmp iframe noembed noframes plaintext".split())
 ESCAPABLE_RAW = frozenset("title textarea".split())
-INVISIBLE = frozenset("head script style template noscript iframe noembed noframes object audio video canvas svg math datalist title meta link base param source track select map area".split())
-BLOCK = frozenset("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre search section summary table caption tbody thead tfoot tr ul".split())
+INVISIBLE = frozenset("head script style template noscript iframe noembed noframes object audio video canvas datalist title meta link base param source track area annotation annotation-xml".split())
+BLOCK = frozenset("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre search section summary table caption tbody thead tfoot tr ul option optgroup".split())
 SPACED = frozenset("p h1 h2 h3 h4 h5 h6 blockquote pre ul ol dl table figure hr".split())
-CLOSES_P = BLOCK - frozenset("body html tbody thead tfoot tr caption legend".split())
+CLOSES_P = BLOCK - frozenset("body html tbody thead tfoot tr caption legend option optgroup".split())
 HEAD_ONLY = frozenset("base link meta script style template title noscript".split())
 DEEPEST = 200
+TABLE_PARTS = frozenset("table tbody thead tfoot tr colgroup".split())
+IN_TABLE = frozenset("caption colgroup col tbody thead tfoot tr td th script style template".split())
+ROW_PARTS = frozenset("tbody thead tfoot tr td th".split())
+SVG_TEXT = frozenset("text foreignobject".split())
+SVG_HIDDEN = frozenset("defs desc metadata symbol clippath mask".split())
 
 # Start tags that end an open element of the same group, unless a container lies between.
 IMPLIED_END = {
@@ -114,73 +120,102 @@ def attributes(text: str) -> dict[str, str]:
 
 
 def build_tree(source: str) -> Node:
-    """The document's tree; html, head, body, tbody and tr come into being where they are implied."""
+    """The document's tree; html, head, body, tbody and tr come into being where they are implied.
+
+    What stands in a table outside cells and captions moves before the table, as in a browser. Where elements of a name
+    are open is kept by name, so no step walks the stack and any depth is kept.
+    """
     root, body = Node("html"), Node("body")
     stack = [root]
+    places: dict[str, list[int]] = {}
+
+    def top(names: Iterable[str]) -> int:
+        return max((places[x][-1] for x in names if places.get(x)), default=0)
+
+    def opened(node: Node) -> None:
+        places.setdefault(node.name, []).append(len(stack))
+        stack.append(node)
+
+    def cut(at: int) -> None:
+        while len(stack) > at:
+            places[stack.pop().name].pop()
 
     def in_body() -> None:
-        if body not in root.children:
-            while len(stack) > 1:
-                stack.pop()
+        if not started():
+            cut(1)
             root.children.append(body)
-            stack.append(body)
+            opened(body)
+
+    def started() -> bool:
+        return bool(root.children) and root.children[-1] is body
 
-    def push(name: str, found: dict[str, str]) -> Node:
+    def misplaced() -> bool:
+        return stack[-1].name in TABLE_PARTS and bool(places.get("table"))
+
+    def add(child: Node | str, move: bool) -> None:
+        if move:
+            beside = stack[places["table"][-1] - 1].children
+            beside.insert(len(beside) - 1, child)  # an open table is its parent's last child
+        else:
+            stack[-1].children.append(child)
+
+    def push(name: str, found: dict[str, str], move: bool = False) -> None:
         node = Node(name, found)
-        stack[-1].children.append(node)
+        add(node, move)
         if name not in VOID and len(stack) < DEEPEST:
-            stack.append(node)
-        return node
+            opened(node)
 
     def end(names: set[str], barrier: set[str]) -> None:
-        for i in range(len(stack) - 1, 0, -1):
-            if stack[i].name in barrier or stack[i].name == "body":
-                return
-            if stack[i].name in names:
-                lowest = i
-                while lowest > 1 and stack[lowest - 1].name in names:
-                    lowest -= 1
-                del stack[lowest:]
-                return
+        lowest = top(names)
+        if lowest > max(top(barrier), top(("body",))):
+            while lowest > 1 and stack[lowest - 1].name in names:
+                lowest -= 1
+            cut(lowest)
 
     for kind, text, rest in tokens(source):
         if kind in ("text", "raw"):
             if text.strip() and stack[-1] in (root,):
                 in_body()
             if stack[-1] is not root:
-                stack[-1].children.append(html.unescape(text) if kind == "text" else text)
+                add(html.unescape(text) if kind == "text" else text, bool(text.strip()) and misplaced())
         elif kind == "close":
             if text in ("html", "body"):
                 continue
             if text == "br":
-                push("br", {})
+                push("br", {}, misplaced())
                 continue
-            for i in range(len(stack) - 1, 0, -1):
-                if stack[i].name == text:
-                    del stack[i:]
-                    break
-                if stack[i].name in ("td", "th", "table", "body") and text not in ("tr", "table", "tbody", "thead", "tfoot"):
-                    break
+            at = top((text,))
+            if at and (text in ("tr", "table", "tbody", "thead", "tfoot") or at >= top(("td", "th", "table", "body"))):
+                cut(at)
         elif text == "html":
             root.attributes |= attributes(rest)
         elif text == "head":
-            if stack == [root] and body not in root.children:
+            if stack == [root] and not started():
                 push("head", {})
         elif text == "body":
             in_body()
             body.attributes |= attributes(rest)
         else:
-            if body not in root.children and text not in HEAD_ONLY:
+            if not started() and text not in HEAD_ONLY:
                 in_body()
             if text in CLOSES_P:
                 end({"p"}, {"table", "td", "th", "button", "object"})
             if text[0] == "h" and text[1:] in "123456" and stack[-1].name[0] == "h" and stack[-1].name[1:].isdigit():
-                stack.pop()
+                cut(len(stack) - 1)
             if text in IMPLIED_END:
                 end(*IMPLIED_END[text])
+            if text in ROW_PARTS and places.get("table"):
+                part = top(("table", "tbody", "thead", "tfoot", "tr"))
+                if part > top(("td", "th")):
+                    cut(part + 1)  # wrappers moved before the table end at its next row or cell
+            if text == "table" and misplaced():
+                cut(places["table"][-1])
             if text in ("td", "th") and stack[-1].name in ("table", "tbody", "thead", "tfoot"):
                 push("tr", {})
-            push(text, attributes(rest))
+            if text == "form" and misplaced():
+                add(Node(text, attributes(rest)), False)  # holds nothing here: the cells after it are the row's
+            else:
+                push(text, attributes(rest), text not in IN_TABLE and misplaced())
     return root
 
 
@@ -242,7 +277,7 @@ class Writer:
         return "\n".join(self.lines).strip("\n")
 
 
-def render_children(node: Node, out: Writer, depth: int) -> None:
+def render_children(node: Node, out: Writer, depth: int) -> Iterator[Iterator]:
     item = 1
     if node.name == "ol" and re.fullmatch(r"\s*-?\d{1,9}\s*", node.attributes.get("start", "")):
         item = int(node.attributes["start"])
@@ -253,14 +288,20 @@ def render_children(node: Node, out: Writer, depth: int) -> None:
         elif child.name == "li" and visible(child):
             mark = f"{item}. " if node.name == "ol" else "- "
             item += node.name == "ol"
-            render_item(child, out, depth, mark)
+            yield render_item(child, out, depth, mark)
         else:
-            render(child, out, depth)
+            yield render(child, out, depth)
 
 
-def render_item(node: Node, out: Writer, depth: int, mark: str) -> None:
+def render_item(node: Node, out: Writer, depth: int, mark: str) -> Iterator[Iterator]:
+    if depth >= DEEPEST:
+        out.block(False)
+        out.text(mark)
+        yield render_children(node, out, depth)
+        out.block(False)
+        return
     inner = Writer()
-    render_children(node, inner, depth + 1)
+    yield render_children(node, inner, depth + 1)
     out.block(False)
     first, *more = inner.value().split("\n")
     out.literal("\n".join([f"{mark}{first}".rstrip(), *(f"{' ' * len(mark)}{x}" if x else "" for x in more)]))
@@ -276,10 +317,10 @@ def table_rows(node: Node) -> Iterator[Node]:
                 yield from table_rows(child)
 
 
-def render_table(node: Node, out: Writer, depth: int) -> None:
+def render_table(node: Node, out: Writer, depth: int) -> Iterator[Iterator]:
     for child in node.children:
         if isinstance(child, Node) and child.name not in ("tr", "tbody", "thead", "tfoot", "colgroup", "col"):
-            render(child, out, depth)  # captions, and what a browser would move before the table
+            yield render(child, out, depth)  # captions
             out.block(False)
     grid: list[list[list[str]]] = []
     held: dict[int, int] = {}
@@ -288,11 +329,16 @@ def render_table(node: Node, out: Writer, depth: int) -> None:
         for cell in row.children:
             if not isinstance(cell, Node) or cell.name not in ("td", "th") or not visible(cell):
                 continue
+            if depth >= DEEPEST:
+                out.block(False)
+                yield render_children(cell, out, depth)
+                out.block(False)
+                continue
             while held.get(len(cells), 0):
                 held[len(cells)] -= 1
                 cells.append([""])
             inner = Writer()
-            render_children(cell, inner, depth + 1)
+            yield render_children(cell, inner, depth + 1)
             spans = [int(s) if re.fullmatch(r"\d{1,3}", s := cell.attributes.get(k, "1").strip()) else 1 for k in ("colspan", "rowspan")]
             for k in range(max(1, min(spans[0], 100))):
                 if spans[1] > 1:
@@ -310,7 +356,8 @@ def render_table(node: Node, out: Writer, depth: int) -> None:
             out.block(False)
 
 
-def render(node: Node, out: Writer, depth: int = 0) -> None:
+def render(node: Node, out: Writer, depth: int = 0) -> Iterator[Iterator]:
+    """Write a node; what stands below is yielded to `drive`, so depth takes no call stack."""
     name = node.name
     if not visible(node):
         return
@@ -338,20 +385,47 @@ def render(node: Node, out: Writer, depth: int = 0) -> None:
         block, spaced = name in BLOCK, name in SPACED and not (name in ("ul", "ol", "dl") and depth)
         if block:
             out.block(spaced)
+        if name == "optgroup":
+            out.text(node.attributes.get("label", ""))
+            out.block(False)
         if name == "table":
-            render_table(node, out, depth)
+            yield render_table(node, out, depth)
+        elif name == "svg":
+            yield render_svg(node, out, depth)
         else:
-            render_children(node, out, depth)
+            yield render_children(node, out, depth)
         if block:
             out.block(spaced)
 
 
+def render_svg(node: Node, out: Writer, depth: int) -> Iterator[Iterator]:
+    todo = list(reversed(node.children))
+    while todo:
+        x = todo.pop()
+        if isinstance(x, Node) and x.name not in SVG_HIDDEN and visible(x):
+            if x.name in SVG_TEXT:
+                yield render(x, out, depth)
+                out.text(" ")
+            else:
+                todo += reversed(x.children)
+
+
+def drive(first: Iterator[Iterator]) -> None:
+    stack = [first]
+    while stack:
+        below = next(stack[-1], None)
+        if below is None:
+            stack.pop()
+        else:
+            stack.append(below)
+
+
 def html_to_text(source: str | None) -> str | None:
     """All visible text of a page, laid out."""
     if source is None:
         return None
     out = Writer()
-    render(build_tree(source.replace("\r\n", "\n").replace("\0", "")), out)
+    drive(render(build_tree(source.replace("\r\n", "\n").replace("\0", "")), out))
     return out.value()
 
 
