@@ -37,3 +37,13 @@ def test_tags_take_linear_time(part):
 }.items())
 def test_text_outside_cells(source, want):
     assert [x.rstrip() for x in html_to_text(source).split("\n") if x.strip()] == want.split("\n")
+
+
+@pytest.mark.parametrize("depth", [150, 197, 198, 199, 200, 201, 5000])
+def test_deep_pages(depth):
+    deep = "<div>" * depth
+    assert html_to_text(f"{deep}<table><tr><td>x</table>") == "x"
+    assert html_to_text(f"{deep}<script>code()</script><style>p</style><b hidden>no</b>x") == "x"
+    assert html_to_text(f"<ul hidden>{'<ul>' * depth}<li>no</ul>no{'</ul>' * depth}yes") == "yes"
+    assert html_to_text("<div>" + "<table><tr><td>" * depth + "x").strip() == "x"
+    assert html_to_text("<ul><li>" * depth + "x").split()[-1] == "x"

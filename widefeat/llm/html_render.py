@@ -162,7 +162,7 @@ def build_tree(source: str) -> Node:
     def push(name: str, found: dict[str, str], move: bool = False) -> None:
         node = Node(name, found)
         add(node, move)
-        if name not in VOID and len(stack) < DEEPEST:
+        if name not in VOID:
             opened(node)
 
     def end(names: set[str], barrier: set[str]) -> None:
