@@ -1,8 +1,8 @@
 """Word-wise encoding with a public word-level BPE file of the tokenizers library.
 
 Ids of a text are the ids of its pre-tokens, one after another, as merges never cross a pre-token. Pre-tokens of a
-block of texts are found and hashed by numpy, all at once; only distinct ones that this worker doesn't know yet are
-encoded. Known ones are kept in a store of bounded size.
+block of texts are found by numpy, all at once, and looked up by a hash, then compared letter by letter with the word
+found; only distinct ones that this worker doesn't know yet are encoded. Known ones are kept in a store of bounded size.
 """
 
 from __future__ import annotations
@@ -69,37 +69,64 @@ def find_words(points: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return edges[is_start], edges[np.flatnonzero(is_start) + 1]
 
 
-class Hashes:
-    """Two polynomial hashes of all words of a block from prefix sums, modulo 2**64."""
+def hashes_of(letters: np.ndarray, place: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of each word: the sum of a mix of each letter with its place in the word."""
+    h = letters.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + place.astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93)
+    h ^= h >> np.uint64(32)
+    h *= np.uint64(0xA24BAED4963EE407)
+    h ^= h >> np.uint64(29)
+    return np.add.reduceat(h, first)
 
-    BASES = (0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93)
 
-    def __init__(self) -> None:
-        self.powers: list[np.ndarray] = []
-        self.inverses: list[np.ndarray] = []
-
-    def grow(self, n: int) -> None:
-        if self.powers and len(self.powers[0]) >= n:
-            return
-        self.powers, self.inverses = [], []
-        for base in self.BASES:
-            for table, factor in ((self.powers, base), (self.inverses, pow(base, -1, 1 << 64))):
-                column = np.full(n, factor, np.uint64)
-                column[0] = 1
-                table.append(np.cumprod(column))
+class WordTable:
+    """Known words by place. Hashes only propose a place; every occurrence is compared letter by letter with the word there."""
 
-    def of(self, points: np.ndarray, start: np.ndarray, end: np.ndarray) -> list[np.ndarray]:
-        self.grow(len(points))
-        wide, out = points.astype(np.uint64) + np.uint64(1), []
-        for power, inverse in zip(self.powers, self.inverses, strict=True):
-            sums = np.cumsum(wide * power[: len(points)])
-            inside = sums[end - 1] - sums[start] + wide[start] * power[start]
-            h = (inside * inverse[start]) ^ (end - start).astype(np.uint64) * np.uint64(0xA24BAED4963EE407)
-            out.append(h ^ (h >> np.uint64(29)))
-        return out
+    def __init__(self) -> None:
+        self.by_hash: dict[int, int] = {}
+        self.by_word: dict[str, int] = {}  # words whose hash belongs to another word
+        self.letters, self.first, self.sizes = np.zeros(0, np.uint16), np.zeros(0, np.int64), np.zeros(0, np.int64)
 
+    def __len__(self) -> int:
+        return len(self.first)
 
-HASHES = Hashes()
+    def find(self, points: np.ndarray, start: np.ndarray, end: np.ndarray, most: int | None = None) -> tuple[np.ndarray, list[str]]:
+        """The place of each word, and the words that are new (in order of their places); all is forgotten first if more than `most` would be known."""
+        sizes = end - start
+        after = np.cumsum(sizes)
+        first = after - sizes
+        within = np.arange(after[-1]) - np.repeat(first, sizes)
+        letters = points[np.repeat(start, sizes) + within].astype(np.uint16)
+        distinct, example, inverse = np.unique(hashes_of(letters, within, first), return_index=True, return_inverse=True)
+        keys = distinct.tolist()
+        places = np.fromiter(map(self.by_hash.get, keys, repeat(-1)), np.int64, len(keys))
+        missing = np.flatnonzero(places < 0)
+        if most is not None and len(missing) and len(self) + len(missing) > most:
+            self.__init__()
+            places[:], missing = -1, np.arange(len(keys))
+        new: list[str] = []
+        if len(missing):
+            places[missing] = np.arange(len(self), len(self) + len(missing))
+            self.by_hash.update(zip(distinct[missing].tolist(), places[missing].tolist(), strict=True))
+            at = example[missing]
+            new = self._store(points, start[at], end[at])
+        place = places[inverse]
+        known = np.minimum(np.repeat(self.first[place], sizes) + within, len(self.letters) - 1)
+        wrong = (self.sizes[place] != sizes) | np.logical_or.reduceat(self.letters[known] != letters, first)
+        for i in np.flatnonzero(wrong).tolist():
+            word = word_at(points, start[i], end[i])
+            if word not in self.by_word:
+                self.by_word[word] = len(self)
+                new += self._store(points, start[i : i + 1], end[i : i + 1])
+            place[i] = self.by_word[word]
+        return place, new
+
+    def _store(self, points: np.ndarray, start: np.ndarray, end: np.ndarray) -> list[str]:
+        spans = list(zip(start.tolist(), end.tolist(), strict=True))
+        sizes = end - start
+        self.first = np.concatenate([self.first, len(self.letters) + np.cumsum(sizes) - sizes])
+        self.sizes = np.concatenate([self.sizes, sizes])
+        self.letters = np.concatenate([self.letters, *(points[a:b].astype(np.uint16) for a, b in spans)])
+        return [word_at(points, a, b) for a, b in spans]
 
 
 def block_of(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -138,17 +165,15 @@ class WordEncoder:
         self.forget()
 
     def forget(self) -> None:
-        self.known: dict[int, int] = {}  # first hash to place in the tables below
-        self.second, self.first_id, self.n_ids, self.ids = (np.zeros(0, t) for t in (np.uint64, np.int64, np.int64, np.uint32))
-
-    def _places(self, hashes: np.ndarray) -> np.ndarray:
-        return np.fromiter(map(self.known.get, hashes.tolist(), repeat(-1)), np.int64, len(hashes))
+        self.words = WordTable()
+        self.first_id, self.n_ids, self.ids = (np.zeros(0, t) for t in (np.int64, np.int64, np.uint32))
 
-    def _learn(self, points: np.ndarray, start: np.ndarray, end: np.ndarray, first: np.ndarray, second: np.ndarray) -> None:
-        ids, sizes = self.encode_words([word_at(points, a, b) for a, b in zip(start.tolist(), end.tolist(), strict=True)])
-        self.known.update(zip(first.tolist(), range(len(self.second), len(self.second) + len(first)), strict=True))
+    def _learn(self, new: list[str]) -> None:
+        if len(new) == len(self.words):  # all known ones were forgotten
+            self.first_id, self.n_ids, self.ids = (np.zeros(0, t) for t in (np.int64, np.int64, np.uint32))
+        ids, sizes = self.encode_words(new)
         self.first_id = np.concatenate([self.first_id, len(self.ids) + np.cumsum(sizes) - sizes])
-        self.n_ids, self.second = np.concatenate([self.n_ids, sizes]), np.concatenate([self.second, second])
+        self.n_ids = np.concatenate([self.n_ids, sizes])
         self.ids = np.concatenate([self.ids, ids.astype(np.uint32, copy=False)])
 
     def encode_plain(self, texts: list[str]) -> list[bytes]:
@@ -156,20 +181,9 @@ class WordEncoder:
         start, end = find_words(points)
         if not len(start):
             return [b""] * len(texts)
-        first, second = HASHES.of(points, start, end)
-        distinct, example, inverse = np.unique(first, return_index=True, return_inverse=True)
-        places = self._places(distinct)
-        missing = np.flatnonzero(places < 0)
-        if len(missing):
-            if len(self.second) + len(missing) > self.most:
-                self.forget()
-                missing = np.arange(len(distinct))
-            at = example[missing]
-            self._learn(points, start[at], end[at], first[at], second[at])
-            places[missing] = np.arange(len(self.second) - len(missing), len(self.second))
-        place = places[inverse]
-        if not np.array_equal(self.second[place], second):  # two words share a first hash: never yet seen, but exact all the same
-            return list(self.encode_raw(texts))
+        place, new = self.words.find(points, start, end, self.most)
+        if new:
+            self._learn(new)
         sizes = self.n_ids[place]
         after = np.cumsum(sizes)
         ids = self.ids[np.repeat(self.first_id[place] - (after - sizes), sizes) + np.arange(after[-1])].astype("<u4", copy=False)
@@ -243,9 +257,7 @@ class WordCounts:
     """How often each plain pre-token occurs in the texts added."""
 
     def __init__(self) -> None:
-        self.place: dict[int, int] = {}
-        self.words: list[str] = []
-        self.counts = np.zeros(0, np.int64)
+        self.known, self.words, self.counts = WordTable(), [], np.zeros(0, np.int64)
 
     def add(self, texts: list[str | None]) -> None:
         plain = [ODD_CHUNK.sub(" ", t) for t in texts if t]
@@ -254,13 +266,7 @@ class WordCounts:
             start, end = find_words(points)
             if not len(start):
                 continue
-            distinct, example, counts = np.unique(HASHES.of(points, start, end)[0], return_index=True, return_counts=True)
-            keys = distinct.tolist()
-            places = np.fromiter(map(self.place.get, keys, repeat(-1)), np.int64, len(keys))
-            missing = np.flatnonzero(places < 0)
-            at = example[missing]
-            self.place.update(zip(distinct[missing].tolist(), range(len(self.words), len(self.words) + len(missing)), strict=True))
-            places[missing] = np.arange(len(self.words), len(self.words) + len(missing))
-            self.words += [word_at(points, x, y) for x, y in zip(start[at].tolist(), end[at].tolist(), strict=True)]
-            self.counts = np.concatenate([self.counts, np.zeros(len(missing), np.int64)])
-            self.counts[places] += counts
+            place, new = self.known.find(points, start, end)
+            self.words += new
+            self.counts = np.concatenate([self.counts, np.zeros(len(new), np.int64)])
+            self.counts += np.bincount(place, minlength=len(self.counts))

@@ -319,21 +319,25 @@ def count_words(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def frequent_words(docs: DataFrame, most_words: int = MOST_WORDS) -> list[str]:
-    """The most frequent words of all documents, at most `most_words`.
+    """The `most_words` most frequent words of all documents (all, if fewer); ties go by hash, then by word.
 
-    Counts are dealt into bands of some six percent; a histogram of the bands tells from which one on all words fit, and
-    only those come to the driver, so what it gets is bounded however many tasks there are.
+    Counts are dealt into bands of some six percent, each cut into 256 parts by the words' hashes; a histogram of these
+    cells, of bounded size, tells up to which cell all words fit, and only those and the next cell's least come to the driver.
     """
     ship(docs.sparkSession)
     found = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(count_words, "word string, n long")
-    band = F.floor(F.log("n") * 16).cast("int")
-    counts = staged(found.groupBy("word").agg(F.sum("n").alias("n")).withColumn("band", band), "word-counts")
-    total, least = 0, None
-    for r in sorted(counts.groupBy("band").agg(F.count("*").alias("words")).collect(), key=lambda r: -r.band):
-        if total + r.words > most_words:
+    cell = (-F.floor(F.log("n") * 16) * 256 + F.pmod(F.xxhash64("word"), F.lit(256))).cast("int")
+    counts = staged(found.groupBy("word").agg(F.sum("n").alias("n")).withColumn("cell", cell), "word-counts")
+    total, last = 0, None
+    for r in counts.groupBy("cell").agg(F.count("*").alias("words")).orderBy("cell").collect():
+        last, total = r.cell, total + r.words
+        if total >= most_words:
             break
-        total, least = total + r.words, r.band
-    return [] if least is None else sorted(r.word for r in counts.where(F.col("band") >= least).select("word").collect())
+    if last is None:
+        return []
+    whole = [r.word for r in counts.where(F.col("cell") < last).select("word").collect()]
+    part = counts.where(F.col("cell") == last).orderBy(F.desc("n"), F.xxhash64("word"), "word").limit(most_words - len(whole))
+    return sorted(whole + [r.word for r in part.select("word").collect()])
 
 
 def compile_lexicon(words: Iterable[str], tokenizer: str | None = None) -> Lexicon:
