@@ -3,12 +3,13 @@
 import hashlib
 import random
 import zlib
+from pathlib import Path
 
 import numpy as np
 import pytest
 from tokenizers import Tokenizer
 
-from widefeat.llm import packing, token_files, transducer
+from widefeat.llm import packing, token_files, tokens, transducer
 from widefeat.llm.common import read_table
 from widefeat.llm.queries import queries
 from widefeat.llm.tokens import library_encoder, tokenizer_path
@@ -135,3 +136,64 @@ def test_op3_whole(spark, small_dir, odd, library):
     assert packing.padding_share(packed).first().share < 0.02
     check_packing(library, [r[:2] for r in ODD], packing.pack(odd).collect())
     assert packing.pack(odd.limit(0)).count() == 0
+
+
+def thue_morse(n, letters="ab"):
+    return "".join(letters[bin(i).count("1") % 2] for i in range(n))
+
+
+ALIKE = [(i, f"x {thue_morse(n, pair)} y {thue_morse(n, pair[::-1])}") for i, (n, pair) in enumerate((n, pair) for n in (1024, 2048, 4096) for pair in ("ab", "ba"))]
+
+
+def test_words_of_equal_polynomial_hashes(spark, library):
+    """Such words and their complements collide under every polynomial hash modulo 2**64."""
+    docs = spark.createDataFrame(ALIKE, "doc_id long, text string").coalesce(1)
+    got = sorted(tuple(r[c] for c in ("doc_id", "start", "n_tokens", "ids_crc32")) for r in token_files.token_digest(docs).collect())
+    assert got == expected_files(library, ALIKE)
+    assert {(r.doc_id, r.ids_sha256) for r in transducer.codec_digest(docs).collect()} == {(i, hashlib.sha256(ids_of(library, t)).hexdigest()) for i, t in ALIKE}
+    check_packing(library, ALIKE, packing.pack(docs).collect())
+
+
+def test_words_are_told_apart_by_letters(library, monkeypatch, small_dir, spark):
+    """Nothing rests on the hashes: with only 97 of them all ids are still right, and so are the counts."""
+    whole = tokens.hashes_of
+    monkeypatch.setattr(tokens, "hashes_of", lambda *a: whole(*a) % np.uint64(97))
+    texts = [t for _, t in corpus(spark, small_dir)][:40]
+    base = library_encoder(tokenizer_path())
+    encoder = tokens.WordEncoder(base.encode_words, base.encode_raw, most=700)
+    assert encoder.encode(texts) == [ids_of(library, t) for t in texts]
+    counts, want = tokens.WordCounts(), tokens.WordCounts()
+    counts.add(texts)
+    monkeypatch.undo()
+    want.add(texts)
+    assert dict(zip(counts.words, counts.counts.tolist(), strict=True)) == dict(zip(want.words, want.counts.tolist(), strict=True))
+
+
+def test_lexicon_takes_the_most_frequent_words(spark):
+    docs = spark.createDataFrame([(i, " ".join(f"word{'abcdefghij'[j // 10]}{'abcdefghij'[j % 10]}" for j in range(100) if i % (1 + j // 10) == 0)) for i in range(90)], "doc_id long, text string")
+    often = {f"word{a}{b}": sum(i % (1 + k) == 0 for i in range(90)) for k, a in enumerate("abcdefghij") for b in "abcdefghij"}
+    for most in (0, 1, 15, 64, 100, 500):
+        words = transducer.frequent_words(docs, most)
+        assert len(words) == min(most, 100)
+        least = min((often[w] for w in words), default=0)
+        assert all(w in words for w, n in often.items() if n > least) or not words
+
+
+def test_op1_footers(spark, small_dir):
+    """Encodings, row groups and page indexes are as the writer was told."""
+    import pyarrow.parquet as pq
+
+    files = token_files.write_token_files(read_table(spark, small_dir, "documents"), shards=2, row_group_mb=1, page_kb=16)
+    seen = []
+    for path in sorted(Path(files.path.removeprefix("file:")).glob("*.parquet")):
+        meta = pq.ParquetFile(path).metadata
+        for g in range(meta.num_row_groups):
+            columns = {meta.row_group(g).column(c).path_in_schema: meta.row_group(g).column(c) for c in range(meta.num_columns)}
+            ids = next(c for name, c in columns.items() if name.startswith("ids"))
+            assert {"RLE_DICTIONARY", "PLAIN_DICTIONARY"} & set(ids.encodings) and ids.has_dictionary_page
+            for name in ("doc_id", "row", "n_tokens", "local_start"):
+                assert "DELTA_BINARY_PACKED" in columns[name].encodings and not columns[name].has_dictionary_page
+                assert columns[name].has_offset_index and columns[name].has_column_index
+            assert ids.has_offset_index
+            seen.append(meta.row_group(g).num_rows)
+    assert sum(seen) == 200

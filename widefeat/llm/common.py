@@ -56,8 +56,21 @@ def shared_base(spark: SparkSession) -> str:
     return base.rstrip("/")
 
 
+def file_system(spark: SparkSession, path: str):
+    """Hadoop's file system and path object of `path`, whatever its scheme."""
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()), at
+
+
 def staging_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_base(spark)}/widefeat-{spark.sparkContext.applicationId}/{name}-{uuid.uuid4().hex[:12]}"
+    """A new path below this application's folder, which goes when the application ends."""
+    sc = spark.sparkContext
+    folder = f"{shared_base(spark)}/widefeat-{sc.applicationId}"
+    if not getattr(sc, "_widefeat_staging", False):
+        fs, at = file_system(spark, folder)
+        fs.deleteOnExit(at)
+        sc._widefeat_staging = True
+    return f"{folder}/{name}-{uuid.uuid4().hex[:12]}"
 
 
 def staged(df: DataFrame, name: str, **options: str) -> DataFrame:
@@ -68,7 +81,50 @@ def staged(df: DataFrame, name: str, **options: str) -> DataFrame:
     for k, v in ({"compression": "zstd"} | options).items():
         writer = writer.option(k, v)
     writer.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.staged_path = path
+    return out
+
+
+def discard(*frames: DataFrame) -> None:
+    """Delete staged tables that nothing reads any more."""
+    for df in frames:
+        fs, at = file_system(df.sparkSession, df.staged_path)
+        fs.delete(at, True)
+
+
+def unused(df: DataFrame, name: str) -> str:
+    """`name`, with underscores in front until no column of `df` has it."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = "_" + name
+    return name
+
+
+HEAVY = 1000
+
+
+def heavy_keys(rows: DataFrame, keys: list[str]) -> DataFrame | None:
+    """Keys that hold more than one in HEAVY of the rows; there are fewer than HEAVY of them, whatever the data."""
+    counts = rows.groupBy(*keys).agg(F.count("*").alias("_n"))
+    total = rows.count()
+    found = counts.where(F.col("_n") * HEAVY > total).where("_n > 1").drop("_n").collect()
+    return rows.sparkSession.createDataFrame(found, counts.drop("_n").schema) if found else None
+
+
+def spread_join(rows: DataFrame, table: DataFrame, keys: str | list[str], how: str = "inner", heavy: DataFrame | bool | None = None) -> DataFrame:
+    """`rows` joined with `table`, which has at most one row a key, so that no task gets more than its part of the rows.
+
+    Rows of heavy keys stay where they are and meet a broadcast of fewer than HEAVY rows of `table`; the rest is shuffled.
+    Both are read twice, so they should be staged. `heavy`: these keys if they are known, False if there are none.
+    """
+    keys = [keys] if isinstance(keys, str) else keys
+    heavy = (heavy_keys(rows, keys) or False) if heavy is None else heavy
+    if heavy is False:
+        return rows.join(table, keys, how)
+    few = F.broadcast(table.join(F.broadcast(heavy), keys, "left_semi"))
+    light = rows.join(F.broadcast(heavy), keys, "left_anti").join(table, keys, how)
+    return light.unionByName(rows.join(F.broadcast(heavy), keys, "left_semi").join(few, keys, how))
 
 
 def held_out(doc_id: Column | str) -> Column:

@@ -4,15 +4,17 @@ Letters and blanks of a text give character trigrams, hashed into `buckets`. The
 of the learning fold (summed per partition, then by key) give smoothed likelihoods, a table of bounded size that is
 broadcast. A text's shares of the languages are found by EM; then the set of languages is chosen by likelihood less a
 penalty for each further language, beginning with the single best. The prediction is the set's largest share, the
-score that share.
+score that share. A filter on languages keeps the texts of which enough is in languages that are wanted.
 
-Edge cases: texts that are null or have no letter are `und` with score 0, and so are all if nothing can be learned;
-ties go to the language first in order; whole texts of any length are used, long ones as bucket counts.
+Edge cases: texts that are null or have no letter are `und` with score 0, and so are all if nothing can be learned (the
+filter then keeps texts with a letter); ties go to the language first in order; whole texts of any length are used, long
+ones as bucket counts. The model takes 128 KB a language; beyond MOST_LANGUAGES distinct values of `lang`, which then
+are no languages, learning raises an error rather than leave some out.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+from collections.abc import Collection, Iterable, Iterator
 from dataclasses import dataclass
 from functools import lru_cache
 
@@ -21,10 +23,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import held_out, ship, text_slices
+from .common import discard, held_out, ship, staged, text_slices
 
 BUCKETS = 1 << 15
-MOST_LANGUAGES = 200
+MOST_LANGUAGES = 4000
+WANTED_SHARE = 0.5
 UNDETERMINED = "und"
 PREDICTED = "doc_id long, lang_pred string, score double, languages array<struct<lang:string,share:double>>"
 
@@ -67,9 +70,13 @@ class MixtureModel:
         return pi, float(np.log(pi @ chances) @ weights)
 
     def predict(self, text: str | None) -> tuple[str, float, list[tuple[str, float]]]:
+        return self.analyse(text)[:3]
+
+    def analyse(self, text: str | None, weigh: bool = False) -> tuple[str, float, list[tuple[str, float]], float]:
+        """The prediction, its share, the languages with their shares, and (if `weigh`) how much of the text these explain better than chance."""
         grams = trigrams(text) if text and self.languages else ()
         if not len(grams):
-            return UNDETERMINED, 0.0, []
+            return UNDETERMINED, 0.0, [], 0.0
         if len(grams) > 4096:
             counts = np.bincount(grams, minlength=self.likelihood.shape[1])
             grams = np.flatnonzero(counts)
@@ -91,11 +98,15 @@ class MixtureModel:
                         chosen, share, best = [*chosen, k], tried, gain
         order = sorted(range(len(chosen)), key=lambda i: (-share[i], chosen[i]))
         found = [(self.languages[chosen[i]], float(share[i])) for i in order]
-        return found[0][0], min(1.0, found[0][1]), found
+        if not weigh:
+            return found[0][0], min(1.0, found[0][1]), found, 1.0
+        chance = np.full((1, len(grams)), 1 / self.likelihood.shape[1])
+        explained = 1 - float(self.shares(np.concatenate([(share @ chances[chosen])[None], chance]), weights)[0][1])
+        return found[0][0], min(1.0, found[0][1]), found, explained
 
 
 def fit(docs: DataFrame, buckets: int = BUCKETS, smoothing: float = 0.5, most_languages: int = MOST_LANGUAGES) -> MixtureModel:
-    """Counts over all texts of the learning fold with a language; beyond `most_languages` the rarest are left out."""
+    """Counts over all texts of the learning fold with a language, for every one of the languages."""
     ship(docs.sparkSession)
     known = docs.where("lang is not null and text is not null").where(~held_out("doc_id")).select(F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"))
 
@@ -110,13 +121,15 @@ def fit(docs: DataFrame, buckets: int = BUCKETS, smoothing: float = 0.5, most_la
             yield pa.RecordBatch.from_arrays([pa.array([lang] * len(at), pa.string()), pa.array(at), pa.array(row[at])], ["lang", "bucket", "n"])
 
     counts = known.mapInArrow(count, "lang string, bucket long, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n"))
-    by_lang = counts.groupBy("lang").agg(F.sum("n").alias("total"), F.collect_list(F.struct("bucket", "n")).alias("cells"))  # at most `buckets` cells each
-    rows = sorted(by_lang.orderBy(F.desc("total"), "lang").limit(most_languages).collect(), key=lambda r: r.lang)
-    table = np.zeros((len(rows), buckets))
-    for k, r in enumerate(rows):
-        table[k, [c.bucket for c in r.cells]] = [c.n for c in r.cells]
-    table += smoothing
-    return MixtureModel(tuple(r.lang for r in rows), (table / table.sum(axis=1, keepdims=True)).astype(np.float32))
+    by_lang = staged(counts.groupBy("lang").agg(F.collect_list(F.struct("bucket", "n")).alias("cells")), "languages")  # at most `buckets` cells each
+    names = sorted(r.lang for r in by_lang.select("lang").limit(most_languages + 1).collect())
+    if len(names) > most_languages:
+        raise ValueError(f"more than {most_languages} distinct values of lang: these are no languages")
+    table = np.full((len(names), buckets), smoothing, np.float32)
+    for r in by_lang.toLocalIterator():
+        table[names.index(r.lang), [c.bucket for c in r.cells]] += [c.n for c in r.cells]
+    discard(by_lang)
+    return MixtureModel(tuple(names), table / table.sum(axis=1, keepdims=True, dtype=np.float64).astype(np.float32))
 
 
 def identify(docs: DataFrame, model: MixtureModel) -> DataFrame:
@@ -137,15 +150,26 @@ def identify(docs: DataFrame, model: MixtureModel) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, PREDICTED)
 
 
-def keep(docs: DataFrame, model: MixtureModel) -> DataFrame:
-    """The rows of `docs` (any columns, text among them) whose language can be told."""
+def keep(docs: DataFrame, model: MixtureModel, wanted: Collection[str] | None = None, share: float = WANTED_SHARE) -> DataFrame:
+    """The rows of `docs` (any columns, text among them) of which a `share` or more is in `wanted` languages.
+
+    By default all learned languages are wanted. EM weighs the languages found against trigrams at random, so what is in
+    no language (codes, keys, noise, other scripts) counts for none; the shares in wanted languages add up. An unknown
+    language that shares most trigrams with a learned one passes as that.
+    """
     spark = docs.sparkSession
     ship(spark)
     sent = spark.sparkContext.broadcast(model)
+    accepted = frozenset(model.languages if wanted is None else wanted)
+
+    def stays(text: str | None) -> bool:
+        if not sent.value.languages:
+            return bool(text) and len(trigrams(text)) > 0
+        _, _, found, explained = sent.value.analyse(text, weigh=True)
+        return explained * sum(s for x, s in found if x in accepted) >= share
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in (p for b in batches for p in text_slices(b)):
-            told = [sent.value.predict(t)[0] != UNDETERMINED for t in part.column("text").to_pylist()]
-            yield part.filter(pa.array(told, pa.bool_()))
+            yield part.filter(pa.array([stays(t) for t in part.column("text").to_pylist()], pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

@@ -15,7 +15,7 @@ from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import ship, staged
@@ -35,6 +35,12 @@ def running_sums(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         start, row = start + int(size.sum()), row + n
 
 
+def shard_of(middle: Column, shards: int, total: int) -> Column:
+    """The shard of a row whose doubled middle byte is `middle`, by comparing with the exact integer bounds of the shards."""
+    bounds = [F.lit(-(-2 * total * k // shards)) for k in range(1, shards)]
+    return sum(((middle >= b).cast("int") for b in bounds), F.lit(0))
+
+
 def shard_by_bytes(docs: DataFrame, shards: int = 8) -> DataFrame:
     """doc_id, size, text_crc32, law, shard, slot, grown_shard (null under this law)."""
     spark = docs.sparkSession
@@ -53,7 +59,7 @@ def shard_by_bytes(docs: DataFrame, shards: int = 8) -> DataFrame:
     middle = 2 * (F.col("bytes_before") + F.col("local_start")) + F.col("size")
     placed = ranged.join(offsets, "part").select(
         "doc_id", "size", "text_crc32", (F.col("rows_before") + F.col("local_row")).alias("row"),
-        F.floor(middle * shards / F.lit(2 * max(bytes_before, 1))).cast("int").alias("shard"),
+        shard_of(middle, shards, bytes_before).alias("shard"),
     )
     first = {r.shard: r.first for r in placed.groupBy("shard").agg(F.min("row").alias("first")).collect()}
     slot = F.col("row") - F.element_at(F.array(*(F.lit(first.get(k, 0)).cast("long") for k in range(shards))), F.col("shard") + 1)

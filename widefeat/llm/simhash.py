@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ship, staged, text_slices
+from .common import discard, heavy_keys, ship, spread_join, staged, text_slices, unused
 
 FEW = 16
 BLOCK_WORDS = 50_000
@@ -44,8 +44,18 @@ def fingerprint(text: str | None, shingle: int = 3) -> int:
         block = words[a : min(last, a + BLOCK_WORDS) + shingle - 1]
         grams = map(b" ".join, zip(*(block[k:] for k in range(shingle)), strict=False)) if len(words) >= shingle else [b" ".join(words)]
         hashes = np.fromiter((xxh64_intdigest(g, 42) for g in grams), dtype="<u8")
-        ones += np.unpackbits(hashes.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+        ones += bits_set(hashes)
         total += len(hashes)
+    return majority(ones, total)
+
+
+def bits_set(hashes: np.ndarray) -> np.ndarray:
+    """In how many of the 64-bit hashes each bit is set."""
+    return np.unpackbits(hashes.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+
+
+def majority(ones: np.ndarray, total: int) -> int:
+    """The signed fingerprint: bits set in over half of the hashes."""
     return int(np.packbits(2 * ones > total, bitorder="little").view("<i8")[0])
 
 
@@ -70,12 +80,12 @@ class Ring:
     """The ring of parts: masks, and how many bits a chain's prefix may differ in."""
 
     def __init__(self, segments: int, most_bits: int):
-        if not 0 <= most_bits < segments <= 64:
-            raise ValueError("segments must exceed most_bits")
+        if not (0 <= most_bits <= 64 and 0 < segments <= 64):
+            raise ValueError("a ring has 1 to 64 segments and at most 64 differing bits")
         edges = [64 * i // segments for i in range(segments + 1)]
         self.parts = [((1 << b) - (1 << a)) for a, b in zip(edges, edges[1:], strict=False)]
         self.segments, self.most_bits = segments, most_bits
-        self.exact = max(k for k in range(1, segments + 1) if k * most_bits < segments)
+        self.exact = max(k for k in range(segments + 1) if k * most_bits < segments)
 
     def chain(self, start: int, length: int) -> int:
         mask = 0
@@ -90,16 +100,26 @@ class Ring:
             ok &= F.bit_count(difference.bitwiseAND(F.lit(signed(self.chain(start, k))))) <= k * self.most_bits // self.segments
         return ok
 
+    def may_link(self, difference: Column) -> Column:
+        """Whether some chain keeps within its budgets and all bits within the radius."""
+        chains = F.lit(False)
+        for start in range(self.segments):
+            first = F.bit_count(difference.bitwiseAND(F.lit(signed(self.chain(start, max(1, self.exact))))))
+            chains |= (first <= max(1, self.exact) * self.most_bits // self.segments) & self.keeps(difference, start)
+        return chains & (F.bit_count(difference) <= self.most_bits)
+
 
 def linked(distinct: DataFrame, most_bits: int = 2, segments: int = 7) -> DataFrame:
     """Pairs (a, b) of distinct fingerprints `fp`, enough to connect all that link at `most_bits` or fewer bits."""
     ring = Ring(segments, most_bits)
+    if not ring.exact:
+        raise ValueError("segments must exceed most_bits, or no part of the chain is a join key")
     keys = F.array(*(F.struct(F.lit(i).alias("start"), F.col("fp").bitwiseAND(F.lit(signed(ring.chain(i, ring.exact)))).alias("key")) for i in range(segments)))
     rows = distinct.select("fp", F.inline(keys))
     shared = staged(rows.groupBy("start", "key").agg(F.count("*").alias("n")).where("n > 1"), "ring-keys")
     few = F.col("n") <= FEW if most_bits == 2 else F.lit(True)
-    members = rows.join(shared, ["start", "key"])
-    left, right = members.where(few).select("start", "key", F.col("fp").alias("a")), rows.select("start", "key", F.col("fp").alias("b"))
+    members = staged(spread_join(rows, shared, ["start", "key"]), "ring-members")
+    left, right = (members.where(few).select("start", "key", F.col("fp").alias(side)) for side in "ab")
     difference = F.col("a").bitwiseXOR(F.col("b"))
     within = F.coalesce(*(F.when(F.col("start") == i, ring.keeps(difference, i)) for i in range(segments)))
     pairs = left.join(right, ["start", "key"]).where((F.col("a") < F.col("b")) & within & (F.bit_count(difference) <= most_bits)).select("a", "b")
@@ -118,15 +138,17 @@ def connect(edges: DataFrame) -> DataFrame:
     """node and label (its component's least node) for all nodes of the edges (a, b)."""
     both = staged(edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))), "links")
     labels = staged(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("node")).alias("label")), "labels")
+    hubs = heavy_keys(both, ["b"]) or False
     while True:
-        heard = both.join(labels, both.b == labels.node).groupBy("a").agg(F.min("label").alias("heard"))
-        stepped = labels.join(heard, labels.node == heard.a, "left").select("node", "label", F.least("label", "heard").alias("next"))
-        stepped = staged(stepped, "stepped")
-        jump = stepped.select(F.col("node").alias("to"), F.col("next").alias("beyond"))
-        moved = staged(stepped.join(jump, F.col("next") == F.col("to"), "left").select("node", F.col("label").alias("old"), F.least("next", F.coalesce("beyond", "next")).alias("label")), "labels")
-        labels = moved.select("node", "label")
+        heard = spread_join(both, labels.select(F.col("node").alias("b"), "label"), "b", heavy=hubs).groupBy("a").agg(F.min("label").alias("heard"))
+        stepped = staged(labels.join(heard, labels.node == heard.a, "left").select("node", "label", F.least("label", "heard").alias("next")), "stepped")
+        jump = stepped.select(F.col("node").alias("next"), F.col("next").alias("beyond"))
+        moved = staged(spread_join(stepped, jump, "next", "left").select("node", F.col("label").alias("old"), F.least("next", F.coalesce("beyond", "next")).alias("label")), "labels")
+        discard(labels, stepped)
+        labels = moved
         if moved.where("old <> label").isEmpty():
-            return labels
+            discard(both)
+            return labels.select("node", "label")
 
 
 def near_duplicates(docs: DataFrame, shingle: int = 3, most_bits: int = 2, segments: int = 7) -> DataFrame:
@@ -134,11 +156,11 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, most_bits: int = 2, segme
     fps = staged(fingerprints(docs, shingle), "fingerprints")
     distinct = staged(fps.groupBy("fp").agg(F.min("doc_id").alias("least_id")), "distinct")
     labels = connect(linked(distinct, most_bits, segments))
-    named = distinct.join(labels, distinct.fp == labels.node).select("fp", "least_id", "label")
+    named = staged(distinct.join(labels, distinct.fp == labels.node).select("fp", "least_id", "label"), "named")
     component = named.groupBy("label").agg(F.min("least_id").alias("of_label"))
-    renamed = named.join(component, "label").select("fp", "label", "of_label")
+    renamed = spread_join(named, component, "label").select("fp", "label", "of_label")
     ids = distinct.join(renamed, "fp", "left").select("fp", F.coalesce("label", "fp").alias("component"), F.coalesce("of_label", "least_id").alias("component_id"))
-    return fps.join(ids, "fp").select("doc_id", "text_hash", "fp", "component", "component_id")
+    return spread_join(fps, ids, "fp").select("doc_id", "text_hash", "fp", "component", "component_id")
 
 
 def one_of_each(docs: DataFrame, **options) -> DataFrame:
@@ -147,12 +169,13 @@ def one_of_each(docs: DataFrame, **options) -> DataFrame:
 
 
 def least_of_each(docs: DataFrame, grouped: DataFrame) -> DataFrame:
-    """The documents that stay, by `grouped` (doc_id, text_hash, component)."""
-    rows = grouped.select("component", F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "text_hash").alias("place"))
+    """The documents that stay, by `grouped` (doc_id, text_hash, component): the least of each component."""
+    rows = staged(grouped.select("component", F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "text_hash").alias("place")), "grouped")
     stays = rows.groupBy("component").agg(F.min("place").alias("stays"))
-    gone = rows.join(stays, "component").where("place <> stays").select(F.col("place.doc_id").alias("gone_id"), F.col("place.text_hash").alias("gone_hash")).distinct()
-    kept = docs.join(gone, F.col("doc_id").eqNullSafe(F.col("gone_id")) & (F.xxhash64(F.col("text").cast("string")) == F.col("gone_hash")), "left_anti")
+    gone_id, gone_hash, twin = (unused(docs, c) for c in ("gone_id", "gone_hash", "twin"))
+    gone = spread_join(rows, stays, "component").where("place <> stays").select(F.col("place.doc_id").alias(gone_id), F.col("place.text_hash").alias(gone_hash)).distinct()
+    text_hash = F.xxhash64(F.col("text").cast("string"))
+    kept = docs.join(gone, F.col("doc_id").cast("long").eqNullSafe(F.col(gone_id)) & (text_hash == F.col(gone_hash)), "left_anti")
     if rows.groupBy("place").count().where("count > 1").isEmpty():
         return kept
-    twin = F.xxhash64(F.col("text").cast("string")).alias("twin")  # rows equal in id and text: one of them
-    return kept.select("*", twin).dropDuplicates(["doc_id", "twin"]).drop("twin")
+    return kept.select("*", text_hash.alias(twin)).dropDuplicates(["doc_id", twin]).drop(twin)  # rows equal in id and text: one of them
