@@ -9,10 +9,10 @@ from collections.abc import Iterable, Sequence
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .catalog import Catalog
-from .model import ID, Column, EngineConfig, FeatureSpec
+from .catalog import Catalog, CatalogSnapshot
+from .model import ID, Column, EngineConfig, FeatureSpec, PlanningError
 from .operators import ingest as ingestion
-from .operators.executor import BackfillReport, BackfillRequest, Executor
+from .operators.executor import ERRORS, BackfillReport, BackfillRequest, Executor
 from .operators.governance import Governor, Policy
 from .operators.idindex import IdIndex
 from .operators.materialize import Materializer
@@ -41,7 +41,7 @@ class Engine:
     def ingest(self, source: SourceSpec, table: str, batch: str, mapping: dict[str, str], **options):
         """Submit a batch (or, with many=True, one a value of the expression `batch`)."""
         self.calls.append(f"ingest {table}")
-        return ingestion.ingest(self.spark, self.catalog, self.root, source, table, batch, mapping, known_ids=lambda s: self.known_ids(table), **options)
+        return ingestion.ingest(self.spark, self.catalog, self.root, source, table, batch, mapping, known_ids=lambda s: self.known_ids(table), **({"target_mb": self.config.write_mb} | options))
 
     def known_ids(self, table: str) -> DataFrame:
         """The ids of all committed batches: from the core tables, two narrow columns."""
@@ -97,9 +97,20 @@ class Engine:
         out.reason = f"base tables ({why})"
         return out
 
-    def plan(self, text: str, version: int | None = None, path: str | None = None, views: dict[str, DataFrame] | None = None) -> tuple[dict[str, translate.Assembly], dict[str, translate.Requirement]]:
+    def snapshots(self, text: str, version: int | dict[str, int] | None) -> dict[str, CatalogSnapshot]:
+        """Snapshots of the logical tables that the text names: the current ones, or at a version (by table if there are several)."""
+        names = translate.named_in(text, [r["path"] for r in self.catalog.store.query("select path from tables")])
+        if isinstance(version, int):
+            if len(names) > 1:
+                raise PlanningError(f"{names}: with several tables, version is a dict by table")
+            version = {n: version for n in names}
+        return {n: self.catalog.snapshot(n, (version or {}).get(n)) for n in names}
+
+    def plan(self, text: str, version: int | dict[str, int] | None = None, path: str | None = None, views: dict[str, DataFrame] | None = None) -> tuple[dict[str, translate.Assembly], dict[str, translate.Requirement]]:
         """Requirements and relations of the logical tables that the text names."""
-        tables = {r["path"]: self.catalog.snapshot(r["path"], version if len(self.catalog.store.query("select path from tables")) == 1 else None) for r in self.catalog.store.query("select path from tables") if r["path"] in text}
+        return self._plan(text, self.snapshots(text, version), version, path, views)
+
+    def _plan(self, text, tables, version, path, views):
         session = self.spark.newSession()
         for name, snap in tables.items():
             translate.in_session(session, translate.stub(self.spark, snap)).createOrReplaceTempView(name)
@@ -109,30 +120,45 @@ class Engine:
             for name in self._sys_tables(list(tables)):
                 self.catalog.register_views(session, name)
         needs = translate.required(session.sql(text), tables)
-        return {n: self._choose(n, need, version, path) for n, need in needs.items()}, needs
+        at = version if isinstance(version, dict) else dict.fromkeys(tables, version)
+        return {n: self._choose(n, need, at.get(n), path) for n, need in needs.items()}, needs
 
     def _sys_tables(self, named: list[str]) -> list[str]:
         """The logical table that sys_* views of a query are about: the one it names, else the first."""
         return named[:1] or [r["path"] for r in self.catalog.store.query("select path from tables order by rowid limit 1")]
 
-    def sql(self, text: str, version: int | None = None, path: str | None = None, log: bool = True, views: dict[str, DataFrame] | None = None) -> DataFrame:
+    def sql(self, text: str, version: int | dict[str, int] | None = None, path: str | None = None, log: bool = True, views: dict[str, DataFrame] | None = None) -> DataFrame:
         """Plain SQL on logical tables, on sys_* views and on other DataFrames given by name."""
         began = time.time()
-        assemblies, needs = self.plan(text, version, path, views)
-        names = [r["path"] for r in self.catalog.store.query("select path from tables") if r["path"] in text]
-        relations = {n: assemblies[n].relation if n in assemblies else translate.stub(self.spark, self.catalog.snapshot(n)) for n in names} | (views or {})
-        register = (lambda s: [self.catalog.register_views(s, n) for n in self._sys_tables(names)]) if "sys_" in text else None
+        tables = self.snapshots(text, version)
+        assemblies, needs = self._plan(text, tables, version, path, views)
+        # a table that the optimizer drops from the plan is bound whole all the same, never to an empty stand-in
+        relations = {n: assemblies[n].relation if n in assemblies else translate.assemble(self.spark, snap, [c.name for c in snap.columns]).relation for n, snap in tables.items()} | (views or {})
+        register = (lambda s: [self.catalog.register_views(s, n) for n in self._sys_tables(list(tables))]) if "sys_" in text else None
         out = translate.bind(self.spark, relations, text, register)
+        out.logged = []
         if log:
             for n, need in needs.items():
-                self.log_query(n, need.columns, need.predicates, need.shape, assemblies[n].route, assemblies[n].joins + 1, assemblies[n].bytes, 1000 * (time.time() - began))
+                out.logged.append(self.log_query(n, need.columns, need.predicates, need.shape, assemblies[n].route, assemblies[n].joins + 1, assemblies[n].bytes, 1000 * (time.time() - began)))
         return out
 
-    def log_query(self, table: str, columns: Sequence[str], predicates: Sequence[str] = (), shape: str = "export", route: str = "base", tables_joined: int = 1, size: int = 0, ms: float = 0.0, at: float | None = None) -> None:
-        self.catalog.store.execute(
-            "insert into query_log (path, at, columns, predicates, shape, route, tables_joined, bytes, ms, snapshot_version) values (?, ?, ?, ?, ?, ?, ?, ?, ?, ?)",
-            table, at or time.time(), json.dumps(list(columns)), json.dumps(list(predicates)), shape, route, tables_joined, size, ms, self.catalog.store.version(table),
-        )
+    def timed(self, text: str, **options) -> list:
+        """The rows of a query; its log entry, which has the time of planning until then, gets the whole time."""
+        began = time.time()
+        out = self.sql(text, **options)
+        found = out.collect()
+        for query_id in out.logged:
+            self.catalog.store.execute("update query_log set ms = ? where query_id = ?", 1000 * (time.time() - began), query_id)
+        return found
+
+    def log_query(self, table: str, columns: Sequence[str], predicates: Sequence[str] = (), shape: str = "export", route: str = "base", tables_joined: int = 1, size: int = 0, ms: float = 0.0, at: float | None = None) -> int:
+        """Add a query to the log; its id."""
+        with self.catalog.store.transaction():
+            self.catalog.store.execute(
+                "insert into query_log (path, at, columns, predicates, shape, route, tables_joined, bytes, ms, snapshot_version) values (?, ?, ?, ?, ?, ?, ?, ?, ?, ?)",
+                table, at or time.time(), json.dumps(list(columns)), json.dumps(list(predicates)), shape, route, tables_joined, size, ms, self.catalog.store.version(table),
+            )
+            return self.catalog.store.query("select last_insert_rowid() as i")[0]["i"]
 
     def query_log(self, table: str) -> DataFrame:
         rows = [(r["query_id"], json.loads(r["columns"])) for r in self.catalog.store.query("select query_id, columns from query_log where path = ?", table)]
@@ -178,8 +204,7 @@ class Engine:
     def errors(self, table: str) -> DataFrame:
         """All isolated records."""
         paths = [r["location"] for r in self.catalog.store.query("select location from errors where path = ?", table)]
-        schema = "run_id string, entity_id string, batch_name string, column_name string, feature_version int, error_type string, stack_summary string"
-        return self.spark.read.schema(schema).parquet(*paths) if paths else self.spark.createDataFrame([], schema)
+        return self.spark.read.schema(ERRORS).parquet(*paths) if paths else self.spark.createDataFrame([], ERRORS)
 
     def catch_up(self, table: str, since: int = 0) -> dict[str, int]:
         """What follows commits: index, replica and views take up the changes after a version; counts of what was done."""

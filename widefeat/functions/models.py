@@ -89,3 +89,8 @@ MODELS = {m.name: m for m in (
     Model("quality", quality_one, quality_many), Model("math_hit", math_one, math_many), Model("ppl", perplexity_one, each(perplexity_one)),
     Model("safety", safety_one, each(safety_one)), Model("domain_model", domain_one, each(domain_one)),
 )}
+
+
+def model_of(spec) -> Model:
+    """The functions of a model feature."""
+    return MODELS[spec.fn]

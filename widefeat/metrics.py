@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import re
 import time
+import uuid
 from collections.abc import Callable, Iterator, Sequence
 from concurrent.futures import ThreadPoolExecutor
 from contextlib import contextmanager
@@ -95,21 +96,68 @@ def throughput_tb_h(size: int, seconds: float) -> float:
     return size / 1e12 / (seconds / 3600)
 
 
-def cpu_hours(cores: int, seconds: float) -> float:
-    return cores * seconds / 3600
+def cpu_hours(cpu_s: float) -> float:
+    return cpu_s / 3600
 
 
-def stage_totals(spark: SparkSession) -> dict[str, float] | None:
-    """CPU seconds, run seconds and input bytes of all stages so far, by the monitoring endpoint; None without it."""
-    import json
-    from urllib.request import urlopen
-
-    sc = spark.sparkContext
-    if not sc.uiWebUrl:
-        return None
-    with urlopen(f"http://127.0.0.1:{sc.uiWebUrl.rpartition(':')[2]}/api/v1/applications/{sc.applicationId}/stages", timeout=20) as f:
-        stages = json.load(f)
-    return {"cpu_s": sum(s["executorCpuTime"] for s in stages) / 1e9, "run_s": sum(s["executorRunTime"] for s in stages) / 1e3, "input_bytes": float(sum(s["inputBytes"] for s in stages)), "governance_s": sum(s["executorRunTime"] for s in stages if s.get("schedulingPool") == "governance") / 1e3}
+@dataclass
+class Meter:
+    """What the stages of a span of work used, by Spark's own status store."""
+
+    cpu_s: float = 0.0
+    run_s: float = 0.0
+    input_bytes: int = 0
+    input_rows: int = 0
+    output_bytes: int = 0
+    peak_mb: float = 0.0
+    stages: int = 0
+    scans: int = 0
+
+
+@contextmanager
+def metered(spark: SparkSession) -> Iterator[Meter]:
+    """A meter that is filled at the end of the block with the jobs that this thread ran in it.
+
+    scans: stages that read files. peak_mb: the largest execution memory of a task, JVM side.
+    """
+    sc, jsc = spark.sparkContext, spark.sparkContext._jsc.sc()
+    group, before, found = f"meter-{uuid.uuid4().hex}", sc.getLocalProperty("spark.jobGroup.id"), Meter()
+    said = sc.getLocalProperty("spark.job.description")
+    sc.setLocalProperty("spark.jobGroup.id", group)
+    try:
+        yield found
+    finally:
+        sc.setLocalProperty("spark.jobGroup.id", before)
+        sc.setLocalProperty("spark.job.description", said)
+        jsc.listenerBus().waitUntilEmpty()
+        for stage in {s for j in sc.statusTracker().getJobIdsForGroup(group) if (info := sc.statusTracker().getJobInfo(j)) for s in info.stageIds}:
+            try:
+                d = jsc.statusStore().lastStageAttempt(stage)
+            except Exception:  # evicted from the store, or never run
+                continue
+            if d.status().toString() == "SKIPPED":
+                continue
+            found.stages += 1
+            found.cpu_s += d.executorCpuTime() / 1e9
+            found.run_s += d.executorRunTime() / 1e3
+            found.input_bytes += d.inputBytes()
+            found.output_bytes += d.outputBytes()
+            found.input_rows += d.inputRecords()
+            found.scans += d.inputRecords() > 0
+            found.peak_mb = max(found.peak_mb, d.peakExecutionMemory() / max(1, d.numTasks()) / (1 << 20))
+
+
+def governance_share(spark: SparkSession, pool: str = "governance") -> float:
+    """The share of all executors' run time so far that stages of the governance pool took."""
+    jsc = spark.sparkContext._jsc.sc()
+    jsc.listenerBus().waitUntilEmpty()
+    stages = jsc.statusStore().stageList(None, False, False, spark.sparkContext._gateway.new_array(spark.sparkContext._jvm.double, 0), None)
+    total = own = 0.0
+    for i in range(stages.size()):
+        d = stages.apply(i)
+        total += d.executorRunTime()
+        own += d.executorRunTime() if d.schedulingPool() == pool else 0
+    return own / total if total else 0.0
 
 
 def task_cost(hours_last_attempt: float, retries: int, expert: float) -> float:
@@ -128,22 +176,6 @@ def storage_overhead(snap) -> float:
     return sum(p.bytes for p in snap.physical if p.purpose in ("view", "replica")) / max(1, base)
 
 
-def area_under_curve(scores: Sequence[float], labels: Sequence[int]) -> float:
-    """By rank sums; ties count half."""
-    order = sorted(range(len(scores)), key=lambda i: scores[i])
-    ranks, i = [0.0] * len(scores), 0
-    while i < len(order):
-        j = i
-        while j < len(order) and scores[order[j]] == scores[order[i]]:
-            j += 1
-        for k in order[i:j]:
-            ranks[k] = (i + j + 1) / 2
-        i = j
-    p = sum(labels)
-    n = len(labels) - p
-    return (sum(r for r, y in zip(ranks, labels, strict=True) if y) - p * (p + 1) / 2) / (p * n) if p and n else float("nan")
-
-
 def coverage(engine, table: str, wanted: Sequence[str]) -> dict[str, float]:
     """Shares of ids in the index, of wanted columns in the replica, and of batches with a fresh view of them."""
     snap = engine.catalog.snapshot(table)

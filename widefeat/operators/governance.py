@@ -10,15 +10,17 @@ import json
 import math
 import time
 from collections.abc import Callable, Iterable, Sequence
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..catalog import CatalogSnapshot, logical_name
+from ..metrics import governance_share
 from ..model import ID, KEYS, ColumnLimitError, Physical, WideTableError
 from ..plans import translate
-from .storage import data_files, delete, measured, new_id, range_of, read_physical
+from .storage import data_files, delete, measured, new_id, range_of, read_physical, write_by_batch
 
 MB = 1 << 20
 
@@ -71,12 +73,15 @@ def assign_shards(columns: Sequence[str], core: Sequence[str], frequency: dict[s
 
 
 def storage_report(engine, table: str, small_mb: float = 64) -> DataFrame:
-    """A row a physical table: files, small ones, bytes, skew (largest to median file)."""
-    rows = []
-    for p in engine.catalog.snapshot(table).physical:
+    """A row a physical table: files, small ones, bytes, skew (largest to median file); folders are listed by 32 threads."""
+
+    def one(p: Physical) -> tuple:
         sizes = sorted(n for _, n in data_files(engine.spark, p.path))
         median = sizes[len(sizes) // 2] if sizes else 0
-        rows.append((p.phys_id, p.group, p.batch, len(p.columns), p.rows, len(sizes), sum(n < small_mb * MB for n in sizes), sum(sizes), float(sizes[-1] / median) if median else 0.0))
+        return p.phys_id, p.group, p.batch, len(p.columns), p.rows, len(sizes), sum(n < small_mb * MB for n in sizes), sum(sizes), float(sizes[-1] / median) if median else 0.0
+
+    with ThreadPoolExecutor(32) as pool:
+        rows = list(pool.map(one, engine.catalog.snapshot(table).physical))
     return engine.spark.createDataFrame(rows, "phys_id string, group_id string, batch_name string, columns long, rows long, files long, small_files long, bytes long, skew double")
 
 
@@ -108,9 +113,11 @@ class Policy:
     max_shard: int = 300
     view_min_freq: float = 0.05
     min_batch_files: int = 2
+    merge_below: float = 0.25
+    view_idle_days: float = 30
 
 
-def decide(snap: CatalogSnapshot, storage: Sequence, policy: Policy, views: Sequence[tuple[tuple[str, ...], int]] = (), stale_views: Sequence[str] = ()) -> list[Action]:
+def decide(snap: CatalogSnapshot, storage: Sequence, policy: Policy, views: Sequence[tuple[tuple[str, ...], int]] = (), stale_views: Sequence[str] = (), stale_replica: bool = False, idle_views: Sequence[str] = ()) -> list[Action]:
     """Ordered actions from observations."""
     out = []
     for s in storage:
@@ -125,9 +132,19 @@ def decide(snap: CatalogSnapshot, storage: Sequence, policy: Policy, views: Sequ
         if s.group_id == "features":
             small.setdefault(s.batch_name, []).append(s)
     out += [Action("merge_shards", b, "", float(len(ss))) for b, ss in sorted(small.items()) if 2 <= len(ss) and sum(x.columns for x in ss) <= policy.max_shard]
+    ranges: dict[tuple, list[Physical]] = {}
+    for p in snap.physical:
+        if p.purpose in ("core", "features"):
+            ranges.setdefault((p.group, p.batch, p.columns), []).append(p)
+    for (group, batch, _), parts in sorted(ranges.items(), key=lambda x: x[0][:2]):
+        # id ranges that have become small together are put back, well below the limits so that they aren't split again
+        if len(parts) > 1 and sum(p.rows for p in parts) <= policy.merge_below * policy.max_rows and sum(p.bytes for p in parts) <= policy.merge_below * policy.max_bytes:
+            out.append(Action("merge_ranges", batch, group, float(len(parts))))
+    out += [Action("drop_view", v, "", 1.0) for v in idle_views]
     out += [Action("build_view", ",".join(c), "", float(n)) for c, n in views]
-    out += [Action("refresh_view", v, "", 1.0) for v in stale_views]
-    order = {"row_split": 0, "column_split": 1, "merge_shards": 2, "compact": 3, "refresh_view": 4, "build_view": 5}
+    out += [Action("refresh_view", v, "", 1.0) for v in stale_views if v not in set(idle_views)]
+    out += [Action("sync_replica", snap.path, "", 1.0)] if stale_replica else []
+    order = {"row_split": 0, "merge_ranges": 1, "column_split": 2, "merge_shards": 3, "compact": 4, "drop_view": 5, "refresh_view": 6, "sync_replica": 7, "build_view": 8}
     return sorted(out, key=lambda a: (order[a.kind], -a.benefit, a.target))
 
 
@@ -218,10 +235,12 @@ class Governor:
 
         return self.evolve(table, p.group, [p], work, **options)
 
-    def level(self, table: str) -> str:
-        """light for a table that was read or written within a week, deep for one at rest."""
-        seen = self.engine.catalog.store.query("select max(at) as q, (select max(ingested_at) from batches where path = ?) as b from query_log where path = ?", table, table)[0]
-        return tier(max(seen["q"] or 0, seen["b"] or 0), time.time()) or "light"
+    def level(self, table: str, now: float | None = None) -> str | None:
+        """light, daily, for a table read or written within a week; deep, weekly, for one at rest; None if it isn't its turn."""
+        store = self.engine.catalog.store
+        seen = store.query("select max(at) as q, (select max(ingested_at) from batches where path = ?) as b from query_log where path = ?", table, table)[0]
+        last = {r["level"]: r["at"] for r in store.query("select level, at from upkeep where path = ?", table)}
+        return tier(max(seen["q"] or 0, seen["b"] or 0), now or time.time(), last.get("light", 0), last.get("deep", 0))
 
     def row_split(self, table: str, phys_id: str, **options) -> str:
         """Deal a table's rows into id ranges, so that each is under the limits."""
@@ -233,7 +252,7 @@ class Governor:
             rows = self._read(snap, p).withColumn("_at", range_of())
             width = (p.hi - p.lo) // len(ranges)
             part = F.least(((F.col("_at") - p.lo) / width).cast("int"), F.lit(len(ranges) - 1))
-            rows.withColumn("_r", part).drop("_at").repartition(len(ranges), "_r").sortWithinPartitions("_r", ID).write.option("compression", "zstd").partitionBy("_r").parquet(staging)
+            write_by_batch(rows.withColumn("_r", part).drop("_at"), staging, [ID], self.policy.target_mb, "_r", "_r")
             counts = {r._r: r.n for r in self.engine.spark.read.parquet(staging).groupBy("_r").agg(F.count("*").alias("n")).collect()}
             return [measured(self.engine.spark, replace(p, phys_id=new_id("r"), path=f"{staging}/_r={i}", columns=tuple(map(logical_name, p.columns)), lo=lo, hi=hi, rows=counts[i], sorted_by=ID)) for i, (lo, hi) in enumerate(ranges) if i in counts]
 
@@ -265,6 +284,7 @@ class Governor:
 
         def work(staging: str) -> list[Physical]:
             out = []
+            # one column-pruned scan a shard: Parquet reads each column chunk once in all
             for i, cs in enumerate(shards):
                 self._read(snap, p).select(*KEYS, *cs).write.option("compression", "zstd").parquet(f"{staging}/{i}")
                 out.append(measured(engine.spark, replace(p, phys_id=new_id("k"), path=f"{staging}/{i}", columns=tuple(cs), group=p.group if i == 0 else "features", purpose=p.purpose if i == 0 else "features")))
@@ -282,7 +302,7 @@ class Governor:
 
         def work(staging: str) -> list[Physical]:
             rows = read_physical(self.engine.spark, old, types, [logical_name(c) for c in old[0].columns])
-            rows.repartitionByRange(1, ID).sortWithinPartitions(ID).write.option("compression", "zstd").parquet(staging)
+            rows.repartitionByRange(max(1, round(sum(p.bytes for p in old) / (self.policy.target_mb * MB))), ID).sortWithinPartitions(ID).write.option("compression", "zstd").parquet(staging)
             return [measured(self.engine.spark, replace(old[0], phys_id=new_id("m"), path=staging, lo=min(p.lo for p in old), hi=max(p.hi for p in old), rows=sum(p.rows for p in old), sorted_by=ID))]
 
         return self.evolve(table, group, old, work, **options)
@@ -294,12 +314,26 @@ class Governor:
             delete(self.engine.spark, path)
         return len(gone)
 
-    def cycle(self, table: str, budget_s: float | None = None, views: bool = False) -> list[tuple[str, str, str]]:
-        """One round of observing, deciding and acting, within a budget of seconds: (kind, target, outcome)."""
+    def accelerators(self, table: str, snap: CatalogSnapshot, now: float) -> tuple[list[str], bool, list[str]]:
+        """Views with a batch that is missing or stale, whether the replica has one, and views that nobody has used for long."""
+        m, batches = self.engine.materializer, {b.name for b in snap.batches if b.rows}
+        views = m.views(snap)
+        stale = sorted(v for v, copies in views.items() if batches - set(m._fresh(table, copies)))
+        replica = m.replica(snap)
+        used = {r["view_id"]: r["last_used"] for r in self.engine.catalog.store.query("select view_id, last_used from views where path = ?", table)}
+        idle = sorted(v for v in views if now - (used.get(v) or 0) > self.policy.view_idle_days * 86_400)
+        return stale, bool(replica) and bool(batches - set(m._fresh(table, replica))), idle
+
+    def cycle(self, table: str, budget_s: float | None = None, views: bool = False, share: float | None = None, now: float | None = None) -> list[tuple[str, str, str]]:
+        """One round of observing, deciding and acting: (kind, target, outcome).
+
+        budget_s: seconds for this round; share: the most of all executors' run time that governance may have had so far.
+        What is over a budget is deferred. Compaction keeps to its tier's turn, which is remembered.
+        """
         if not self.engine.config.governance:
             return []
-        began, done = time.time(), []
-        snap = self.engine.catalog.snapshot(table)
+        began, now, done = time.time(), now or time.time(), []
+        store, snap = self.engine.catalog.store, self.engine.catalog.snapshot(table)
         wanted = []
         if views:
             from .materialize import candidates
@@ -309,11 +343,26 @@ class Governor:
             homes = {logical_name(c): p.group if p.purpose == "core" else p.phys_id for p in snap.physical if p.purpose in ("core", "features") and p.batch == (snap.batches[0].name if snap.batches else "") for c in p.columns}
             have = {frozenset(p.columns) for p in snap.physical if p.purpose == "view"}
             wanted = [x for x in candidates(log, homes, max(1, math.ceil(self.policy.view_min_freq * n))) if frozenset(x[0]) not in have]
-        for a in decide(snap, storage_report(self.engine, table, self.policy.small_mb).collect(), self.policy, wanted):
-            if budget_s is not None and time.time() - began > budget_s:
+        stale, replica, idle = self.accelerators(table, snap, now)
+        level = self.level(table, now)
+        m = self.engine.materializer
+        act = {
+            "compact": lambda a: self.compact(table, a.target, level), "row_split": lambda a: self.row_split(table, a.target), "column_split": lambda a: self.column_split(table, a.target),
+            "merge_shards": lambda a: self.merge_shards(table, a.target), "merge_ranges": lambda a: self.merge_batch_files(table, a.detail, a.target), "build_view": lambda a: m.build_view(table, a.target.split(",")),
+            "refresh_view": lambda a: ",".join(m.refresh(table, a.target)), "sync_replica": lambda a: ",".join(m.sync(table)), "drop_view": lambda a: m.drop_view(table, a.target) or "DROPPED",
+        }
+        compacted = False
+        for a in decide(snap, storage_report(self.engine, table, self.policy.small_mb).collect(), self.policy, wanted, stale, replica, idle):
+            if budget_s is not None and time.time() - began > budget_s or share is not None and governance_share(self.engine.spark) > share:
                 done.append((a.kind, a.target, "DEFERRED"))
                 continue
-            act = {"compact": lambda t: self.compact(table, t, self.level(table)), "row_split": lambda t: self.row_split(table, t), "column_split": lambda t: self.column_split(table, t), "merge_shards": lambda t: self.merge_shards(table, t), "build_view": lambda t: self.engine.materializer.build_view(table, t.split(",")), "refresh_view": lambda t: str(self.engine.materializer.refresh(table, t))}[a.kind]
+            if a.kind == "compact" and level is None:
+                done.append((a.kind, a.target, "NOT_DUE"))
+                continue
             live = {p.phys_id for p in self.engine.catalog.snapshot(table).physical}
-            done.append((a.kind, a.target, act(a.target) if a.kind in ("merge_shards", "build_view", "refresh_view") or a.target in live else "SUPERSEDED"))
+            out = act[a.kind](a) if a.kind not in ("compact", "row_split", "column_split") or a.target in live else "SUPERSEDED"
+            compacted |= a.kind == "compact" and out == "COMMITTED"
+            done.append((a.kind, a.target, out))
+        if compacted:
+            store.execute("insert or replace into upkeep values (?, ?, ?)", table, level, now)
         return done

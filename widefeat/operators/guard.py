@@ -15,11 +15,30 @@ from contextlib import contextmanager
 from typing import Any
 
 import pandas as pd
+from pyspark.accumulators import AccumulatorParam
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 
+DEFAULT_MB = 512.0
+
+
+class Highest(AccumulatorParam):
+    """An accumulator that keeps the largest value."""
+
+    def zero(self, value: float) -> float:
+        return 0.0
+
+    def addInPlace(self, value1: float, value2: float) -> float:
+        return max(value1, value2)
+
+
+def resident_mb() -> float:
+    """The most memory that this worker process has held."""
+    return resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024
+
+
 class RecordTimeout(Exception):
     """A record took longer than its limit."""
 
@@ -76,7 +95,7 @@ def result_type(returns: T.DataType | str) -> T.StructType:
     return T.StructType([T.StructField("value", kind), T.StructField("error_type", T.StringType()), T.StructField("error_stack", T.StringType())])
 
 
-def guarded(fn: Callable, returns: str, timeout_s: float = 5.0, max_mb: float | None = None, max_input_chars: int | None = None, mode: str = "record", record_retries: int = 0) -> Callable[..., Column]:
+def guarded(fn: Callable, returns: str, timeout_s: float = 5.0, max_mb: float | None = DEFAULT_MB, max_input_chars: int | None = None, mode: str = "record", record_retries: int = 0) -> Callable[..., Column]:
     """A row-wise function as a UDF of struct<value, error_type, error_stack>. mode task: the bare function, errors fail the task."""
 
     def run(*values):
@@ -89,29 +108,66 @@ def guarded(fn: Callable, returns: str, timeout_s: float = 5.0, max_mb: float |
     return F.udf(run, result_type(returns)).asNondeterministic()
 
 
-def guarded_arrow(fn: Callable[..., pd.Series], one: Callable, returns: str, timeout_s: float = 5.0, max_mb: float | None = None, max_input_chars: int | None = None, mode: str = "record") -> Callable[..., Column]:
-    """A vectorised function; `one` is its row-wise form, used where a batch fails or holds a record over the cap."""
+def judged(fn: Callable[..., pd.Series], one: Callable, series: tuple[pd.Series, ...], timeout_s: float, max_mb: float | None, max_input_chars: int | None, mode: str) -> pd.DataFrame:
+    """A batch as value, error_type and error_stack: whole if it can be, else row by row under the limits.
 
-    def run(*series: pd.Series) -> pd.DataFrame:
-        large = None
-        if max_input_chars is not None:
-            large = sum((s.str.len().fillna(0) for s in series if s.dtype == object or str(s.dtype).startswith("str")), pd.Series(0, index=series[0].index)) > max_input_chars
-        if mode == "task":
-            if large is not None and large.any():
-                raise RecordTooLarge("a record over the cap")
+    mode task: nothing is isolated, and the batch has to do with `max_mb`.
+    """
+    large = None
+    if max_input_chars is not None:
+        large = sum((s.str.len().fillna(0) for s in series if s.dtype == object or str(s.dtype).startswith("str")), pd.Series(0, index=series[0].index)) > max_input_chars
+    if mode == "task":
+        if large is not None and large.any():
+            raise RecordTooLarge("a record over the cap")
+        with limited(3600.0, max_mb):
             return pd.DataFrame({"value": fn(*series), "error_type": None, "error_stack": None})
-        try:
-            if large is None or not large.any():
-                with limited(max(timeout_s, timeout_s * len(series[0]) / 100), None):
-                    return pd.DataFrame({"value": fn(*series), "error_type": None, "error_stack": None})
-        except Exception:
-            pass
-        rows = [attempt(one, v, timeout_s, max_mb, max_input_chars, 0) for v in zip(*series, strict=True)]
-        return pd.DataFrame(rows, columns=["value", "error_type", "error_stack"])
+    try:
+        if large is None or not large.any():
+            with limited(max(timeout_s, timeout_s * len(series[0]) / 100), max_mb):
+                return pd.DataFrame({"value": fn(*series), "error_type": None, "error_stack": None})
+    except Exception:
+        pass
+    rows = [attempt(one, v, timeout_s, max_mb, max_input_chars, 0) for v in zip(*series, strict=True)]
+    return pd.DataFrame(rows, columns=["value", "error_type", "error_stack"])
+
+
+def guarded_arrow(fn: Callable[..., pd.Series], one: Callable, returns: str, timeout_s: float = 5.0, max_mb: float | None = DEFAULT_MB, max_input_chars: int | None = None, mode: str = "record", peak=None) -> Callable[..., Column]:
+    """A vectorised function; `one` is its row-wise form, used where a batch fails or holds a record over the cap.
+
+    peak: an accumulator for the workers' largest resident memory in MB.
+    """
+
+    def run(*series: pd.Series) -> pd.DataFrame:
+        out = judged(fn, one, series, timeout_s, max_mb, max_input_chars, mode)
+        if peak is not None:
+            peak.add(resident_mb())
+        return out
 
     return F.pandas_udf(run, result_type(returns))
 
 
+def resident_model(relation: DataFrame, models: list[tuple[str, Callable, Callable, str, list[str]]], timeout_s: float, max_mb: float | None, max_input_chars: int | None, mode: str, peak=None, profile=None) -> DataFrame:
+    """`relation` with guarded structs of models that stay loaded for a whole partition (mapInPandas), for the GPU lane.
+
+    models: (result column, vectorised, row-wise, type, argument columns); argument columns go. profile: the resources
+    that a task asks for, where the master can give them.
+    """
+    args = {a for *_, names in models for a in names}
+    kept = [f for f in relation.schema.fields if f.name not in args]
+    schema = T.StructType([*kept, *(T.StructField(out, result_type(kind)) for out, _, _, kind, _ in models)])
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            result = batch[[f.name for f in kept]].copy()
+            for out, fn, one, _, names in models:
+                result[out] = judged(fn, one, tuple(batch[n] for n in names), timeout_s, max_mb, max_input_chars, mode).to_dict("records") if len(batch) else []
+            if peak is not None:
+                peak.add(resident_mb())
+            yield result
+
+    return relation.mapInPandas(run, schema, profile=profile)
+
+
 def split_errors(staged: DataFrame, results: dict[str, str], keys: tuple[str, ...]) -> tuple[DataFrame, DataFrame]:
     """From written structs (result column to output name): values, and error rows (keys, output, type, summary)."""
     values = staged.select(*(c for c in staged.columns if c not in results), *(F.col(f"{c}.value").alias(o) for c, o in results.items()))

@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from ..catalog import Catalog
 from ..model import BATCH, ID, KEYS, BatchEntry, Column, ConflictError, Physical
 from ..sources.adapters import SourceSpec, adapt
-from .storage import delete, measured, new_id, write_files
+from .storage import delete, file_system, measured, new_id, write_by_batch
 
 
 def id_column(strategy: str | tuple, payload: str) -> SparkColumn:
@@ -58,7 +58,7 @@ def deduplicate(rows: DataFrame, on_conflict: str) -> DataFrame:
 def ingest(
     spark: SparkSession, catalog: Catalog, root: str, source: SourceSpec, table: str, batch: str, mapping: dict[str, str], *,
     id_strategy: str | tuple = "content", mode: str = "bulk", dedup: bool = True, on_conflict: str = "keep_first", create: Sequence[Column] | None = None,
-    many: bool = False, partitions: int | None = None, known_ids=None, fail_before_commit: bool = False,
+    many: bool = False, target_mb: int = 128, known_ids=None, fail_before_commit: bool = False,
 ) -> list[BatchEntry]:
     """Ingest one batch (named `batch`) or, with many, one batch for each value of the expression `batch`.
 
@@ -82,7 +82,8 @@ def ingest(
             fresh = rows.join(known_ids(spark), ID, "left_anti")
         staging = f"{root}/{table}/core/{new_id('s')}"
         try:
-            entries = _write(spark, catalog, fresh.drop("_key"), table, staging, batch, many, source, mapping, id_strategy, mode, partitions)
+            with catalog.store.writing(table, "core", staging):
+                entries = _write(spark, catalog, fresh.drop("_key"), table, staging, batch, many, source, mapping, id_strategy, mode, target_mb)
             if fail_before_commit:
                 raise RuntimeError("injected failure")
             catalog.register_batches(table, entries, expected=snap.version)
@@ -97,16 +98,17 @@ def ingest(
     return []
 
 
-def _write(spark, catalog, rows, table, staging, batch, many, source, mapping, id_strategy, mode, partitions):
+def _write(spark, catalog, rows, table, staging, batch, many, source, mapping, id_strategy, mode, target_mb):
     """Write one folder a batch and describe what is there."""
     columns = [c for c in catalog.snapshot(table).columns if c.kind == "stage"]
     if mode == "bulk":
-        keys = [F.col(BATCH), F.pmod(F.xxhash64(ID), F.lit(partitions or 1))]
-        rows = rows.repartition(*keys).sortWithinPartitions(BATCH, ID)
-    if many:
+        write_by_batch(rows if many else rows.withColumn("_b", F.lit("0")), staging, [ID], target_mb, "_b", BATCH if many else "_b")
+    elif many:
         rows.withColumn("_b", F.col(BATCH)).write.option("compression", "zstd").partitionBy("_b").parquet(staging)
     else:
         rows.write.option("compression", "zstd").parquet(f"{staging}/_b=0")
+    if not many:
+        file_system(spark, f"{staging}/_b=0")[0].mkdirs(file_system(spark, f"{staging}/_b=0")[1])  # an empty batch has a folder too
     written = spark.read.schema(f"{BATCH} string").parquet(staging if many else f"{staging}/_b=0").groupBy(BATCH).agg(F.count("*").alias("n"))
     counts = ({} if many else {batch: 0}) | {r[BATCH]: r.n for r in written.collect()}
     filled = [c.name for c in columns if c.name in mapping]

@@ -18,7 +18,7 @@ from ..catalog import CatalogSnapshot
 from ..model import BATCH, ID, KEYS, Physical
 from ..plans import translate
 from .ingest import escaped
-from .storage import measured, new_id
+from .storage import measured, new_id, write_by_batch
 
 
 class Materializer:
@@ -47,12 +47,13 @@ class Materializer:
         if not batches:
             return []
         columns = [c for c in dict.fromkeys(columns) if c not in KEYS]
+        spark.sparkContext.setLocalProperty("spark.scheduler.pool", "governance")
         source = translate.assemble(spark, snap, columns, batches)
         path = f"{engine.root}/{table}/{purpose}/{new_id('m')}"
-        writer = source.relation.withColumn("_b", F.col(BATCH)).repartition("_b", F.pmod(F.xxhash64(ID), F.lit(4))).sortWithinPartitions("_b", *sort, ID).write.option("compression", "zstd").partitionBy("_b")
-        for k, v in (options or {}).items():
-            writer = writer.option(k, v)
-        writer.parquet(path)
+        try:
+            write_by_batch(source.relation, path, [*sort, ID], engine.config.write_mb, options=options)
+        finally:
+            spark.sparkContext.setLocalProperty("spark.scheduler.pool", None)
         rows = {b.name: b.rows for b in snap.batches}
         add = [measured(spark, Physical(new_id(purpose), group, f"{path}/_b={escaped(spark, b)}", b, tuple(columns), purpose, rows[b], sorted_by=",".join(sort), versions=tuple(at.get((b, c), at.get((b, ""), 0)) for c in columns))) for b in batches if rows[b]]
         old = [p.phys_id for p in snap.physical if p.group == group and p.batch in set(batches)]

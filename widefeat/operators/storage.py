@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..catalog import logical_name, stored_name
-from ..model import KEYS, Physical
+from ..model import BATCH, KEYS, Physical
 
 
 def ship(spark: SparkSession) -> None:
@@ -57,8 +57,10 @@ def file_system(spark: SparkSession, path: str):
 
 
 def data_files(spark: SparkSession, path: str) -> list[tuple[str, int]]:
-    """(path, bytes) of the data files directly in a folder."""
+    """(path, bytes) of the data files directly in a folder; none if there is no folder."""
     fs, p = file_system(spark, path)
+    if not fs.exists(p):
+        return []
     return [(f.getPath().toString(), f.getLen()) for f in fs.listStatus(p) if f.isFile() and not f.getPath().getName().startswith(("_", "."))]
 
 
@@ -89,13 +91,26 @@ def range_of(column: str = "entity_id"):
     return F.conv(F.substring(F.md5(F.col(column)), 1, 8), 16, 10).cast("long")
 
 
-def write_files(df: DataFrame, path: str, mode: str = "append", partitions: int | None = None, max_records: int | None = None, options: dict[str, str] | None = None) -> None:
-    """bulk: rows dealt by id and sorted by it in each file; append: as they come, no shuffle."""
-    if mode == "bulk":
-        df = (df.repartition(partitions, "entity_id") if partitions else df.repartition("entity_id")).sortWithinPartitions("entity_id")
-    writer = df.write.option("compression", "zstd")
-    if max_records:
-        writer = writer.option("maxRecordsPerFile", max_records)
+def write_by_batch(df: DataFrame, path: str, sort: Sequence[str], target_mb: int = 128, label: str = "_b", source: str = BATCH, options: dict[str, str] | None = None) -> None:
+    """Write one folder a value of `source`, rows sorted within files, by as many tasks as the bytes need.
+
+    Rows are rebalanced by that value: what belongs to a large one is dealt to several tasks of some `target_mb` (less
+    where cores would idle), small ones share a task. The plan's own size estimate sets the target, so no pass is spent.
+    """
+    spark = df.sparkSession
+    estimate = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    share = max(1 << 20, min(target_mb << 20, estimate // (2 * spark.sparkContext.defaultParallelism)))
+    settings = {"spark.sql.adaptive.enabled": "true", "spark.sql.adaptive.advisoryPartitionSizeInBytes": str(share), "spark.sql.adaptive.rebalancePartitionsSmallPartitionFactor": "0.5"}
+    rows = df if label in df.columns else df.withColumn(label, F.col(source))
+    rows = rows.hint("rebalance", F.col(label)).sortWithinPartitions(label, *(c for c in sort if c != label))
+    writer = with_settings(rows, settings).write.option("compression", "zstd").partitionBy(label)
     for k, v in (options or {}).items():
         writer = writer.option(k, v)
     writer.parquet(path)
+
+
+def with_settings(df: DataFrame, settings: dict[str, str]) -> DataFrame:
+    """`df` in a session of its own with other settings, so that concurrent tasks don't see them."""
+    from ..plans.translate import in_session, own_session
+
+    return in_session(own_session(df.sparkSession, **settings), df)

@@ -13,12 +13,14 @@ from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..catalog import CatalogSnapshot, logical_name
 from ..model import BATCH, ID, KEYS, Physical
 from ..operators.storage import read_physical
 
 HASH_SPACE = 1 << 32
+MARK = "wide_table"
 
 
 @dataclass(frozen=True)
@@ -47,8 +49,14 @@ class Assembly:
 
 
 def stub(spark: SparkSession, snap: CatalogSnapshot) -> DataFrame:
-    """An empty relation of the logical schema that the optimizer can't fold away."""
-    return spark.createDataFrame(spark.sparkContext.emptyRDD(), snap.schema)
+    """An empty relation of the logical schema that the optimizer can't fold away; its columns say of which table they are."""
+    marked = T.StructType([T.StructField(f.name, f.dataType, f.nullable, {MARK: snap.path}) for f in snap.schema])
+    return spark.createDataFrame(spark.sparkContext.emptyRDD(), marked)
+
+
+def named_in(text: str, paths: Iterable[str]) -> list[str]:
+    """The logical tables whose names stand in the text as words of their own."""
+    return [p for p in paths if re.search(rf"(?<![\w.]){re.escape(p)}(?!\w)", text)]
 
 
 def _seq(x) -> Iterator:
@@ -85,7 +93,7 @@ ID_IN = re.compile(rf"^\(?(?:\w+\.)*`?{ID}`? IN \((.*)\)\)?$")
 
 
 def required(query: DataFrame, tables: dict[str, CatalogSnapshot]) -> dict[str, Requirement]:
-    """Requirements by table name. Leaves are told apart by their columns; several uses of a table are united."""
+    """Requirements by table name. Leaves are told apart by the mark of their columns; several uses of a table are united."""
     plan = query._jdf.queryExecution().optimizedPlan()
     nodes = list(_nodes(plan))
     leaves = {id(n): n for n in nodes if n.nodeName() == "LogicalRDD"}
@@ -94,7 +102,6 @@ def required(query: DataFrame, tables: dict[str, CatalogSnapshot]) -> dict[str,
         if n.nodeName() != "LogicalRDD":
             used |= {a.exprId().id() for a in _seq(n.references().toSeq())}
     shape = "aggregate" if any(n.nodeName() == "Aggregate" for n in nodes) else "export"
-    names = {name: {c.name for c in snap.columns} for name, snap in tables.items()}
     out: dict[str, Requirement] = {}
     filters: dict[int, list[tuple[str, set[str]]]] = {}
     for n in nodes:
@@ -109,8 +116,8 @@ def required(query: DataFrame, tables: dict[str, CatalogSnapshot]) -> dict[str,
                         filters.setdefault(min(own), []).append((c.sql(), set(at.values())))
     for leaf in leaves.values():
         attributes = {a.exprId().id(): a.name() for a in _seq(leaf.output())}
-        table = next((t for t, cols in names.items() if cols == set(attributes.values())), None)
-        if table is None:
+        table = next((a.metadata().getString(MARK) for a in _seq(leaf.output()) if a.metadata().contains(MARK)), None)
+        if table not in tables:
             continue
         columns = {name for i, name in attributes.items() if i in used}
         own = list(dict.fromkeys((sql, tuple(sorted(cols))) for sql, cols in filters.get(min(attributes), [])))
@@ -227,11 +234,22 @@ def stored_layout(p: Physical, columns: Sequence[str]) -> Iterator[str]:
     return (stored[c] for c in columns)
 
 
-def bind(spark: SparkSession, relations: dict[str, DataFrame], text: str, register=None) -> DataFrame:
-    """Run the text with the relations under the logical names, in a session of its own."""
+SESSION_KEYS = ("spark.sql.shuffle.partitions", "spark.sql.session.timeZone", "spark.sql.adaptive.enabled", "spark.sql.sources.partitionOverwriteMode")
+
+
+def own_session(spark: SparkSession, **settings: str) -> SparkSession:
+    """A session with the settings that matter to plans, and some of its own."""
     session = spark.newSession()
-    for key in ("spark.sql.shuffle.partitions", "spark.sql.session.timeZone", "spark.sql.adaptive.enabled"):
+    for key in SESSION_KEYS:
         session.conf.set(key, spark.conf.get(key))
+    for key, value in settings.items():
+        session.conf.set(key, value)
+    return session
+
+
+def bind(spark: SparkSession, relations: dict[str, DataFrame], text: str, register=None) -> DataFrame:
+    """Run the text with the relations under the logical names, in a session of its own."""
+    session = own_session(spark)
     for name, relation in relations.items():
         in_session(session, relation).createOrReplaceTempView(name)
     if register:
