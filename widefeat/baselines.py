@@ -9,7 +9,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .functions.models import MODELS
+from .functions.models import model_of
 from .model import FeatureSpec
 from .operators.storage import new_id, shared_base
 
@@ -46,7 +46,7 @@ class Legacy:
                 if f.fn is None:
                     out = [F.expr(e).cast(o.type).alias(o.name) for o, e in zip(f.outputs, f.exprs, strict=True)]
                 else:
-                    udf = F.pandas_udf(MODELS[f.fn].many, f.outputs[0].type)
+                    udf = F.pandas_udf(model_of(f).many, f.outputs[0].type)
                     out = [udf(*(F.expr(a) for a in f.exprs)).alias(f.outputs[0].name)]
                 path = f"{self.root}/{new_id('feat')}"
                 rows.select("entity_id", *out).write.parquet(path)
@@ -72,16 +72,22 @@ class Legacy:
         return len(self.tables) + len(set(self.results.values()))
 
 
-def failover_loop(rows: DataFrame, key: str, fn: Callable, column: str, most_rounds: int = 3, sample: int = 20_000) -> tuple[int, int]:
-    """Find, remove, resubmit: (rounds, records removed). Each round runs everything and looks for some offenders by hand."""
-    bad = rows.select(key, column).where(F.length(column) > sample)
-    removed, rounds = None, 0
+def failover_loop(rows: DataFrame, fn: Callable, column: str, kinds: dict[str, str], most_rounds: int = 10) -> tuple[int, int]:
+    """Find, remove, resubmit: (rounds, records removed).
+
+    A round runs everything; the error that it dies of names one kind of broken record, whose rows (a predicate each, as
+    an engineer would write it) are removed before the next round.
+    """
+    bad, rounds = "false", 0
     while rounds < most_rounds:
         rounds += 1
-        left = rows if removed is None else rows.join(removed, key, "left_anti")
+        left = rows.where(f"not ({bad})")
         try:
             left.select(F.udf(fn, "double")(F.col(column)).alias("v")).write.format("noop").mode("overwrite").save()
             break
-        except Exception:
-            removed = bad.select(key).distinct()
-    return rounds, 0 if removed is None else removed.count()
+        except Exception as e:
+            found = next((k for k in kinds if k in str(e)), None)
+            if found is None:
+                raise
+            bad = f"{bad} or ({kinds[found]})"
+    return rounds, rows.where(bad).count()

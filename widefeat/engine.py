@@ -30,7 +30,7 @@ class Engine:
         ship(spark)
         self.spark, self.config = spark, config or EngineConfig()
         self.root = root or f"{shared_base(spark)}/{new_id('wide')}"
-        self.catalog = catalog or Catalog()
+        self.catalog = catalog or Catalog(column_limit=self.config.column_limit)
         self.load, self.history = ClusterLoad(), History()
         self.executor, self.index, self.materializer = Executor(self), IdIndex(self), Materializer(self)
         self.governor = Governor(self, policy)
@@ -133,7 +133,7 @@ class Engine:
         tables = self.snapshots(text, version)
         assemblies, needs = self._plan(text, tables, version, path, views)
         # a table that the optimizer drops from the plan is bound whole all the same, never to an empty stand-in
-        relations = {n: assemblies[n].relation if n in assemblies else translate.assemble(self.spark, snap, [c.name for c in snap.columns]).relation for n, snap in tables.items()} | (views or {})
+        relations = {n: translate.padded(assemblies[n].relation, snap) if n in assemblies else translate.assemble(self.spark, snap, [c.name for c in snap.columns]).relation for n, snap in tables.items()} | (views or {})
         register = (lambda s: [self.catalog.register_views(s, n) for n in self._sys_tables(list(tables))]) if "sys_" in text else None
         out = translate.bind(self.spark, relations, text, register)
         out.logged = []

@@ -37,6 +37,16 @@ def _language(words: str, spark: bool, hits: dict[str, str] | None = None) -> st
     return f"case when {top} = 0 then 'und' {cases} end"
 
 
+# Letters, marks, numbers, blanks and common punctuation; the share of what is left over tells garbage.
+ORDINARY = r"[\p{L}\p{M}\p{N} \t\n\r\f.,;:!?()\x22\x27-]"
+GARBAGE_SHARE = 0.2
+
+
+def _garbage_share(text: str, spark: bool) -> str:
+    pattern = ORDINARY.replace("\\", "\\\\") if spark else ORDINARY
+    return f"length(regexp_replace({text}, '{pattern}', ''{'' if spark else ", 'g'"})) / nullif(length({text}), 0)"
+
+
 ENTITIES = (("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&#39;", "''"), ("&amp;", "&"))
 
 
@@ -88,7 +98,7 @@ def expressions(text: str, spark: bool = True, bound: dict[str, str] | None = No
         "ngram_rep": ("double", _ngram_rep(w, spark)),
         "url_ratio": ("double", f"{urls} / nullif(length({text}), 0)"),
         "digit_ratio": ("double", f"(length({text}) - length(regexp_replace({text}, '{digit}', ''{g}))) / nullif(length({text}), 0)"),
-        "garbage_flag": ("boolean", f"({like('%%%')} or {like('[*][*][*]')} or {like('###')} or {like('[$][$][$]')})"),
+        "garbage_flag": ("boolean", f"({like('%%%')} or {like('[*][*][*]')} or {like('###')} or {like('[$][$][$]')} or contains({text}, '\ufffd') or coalesce({_garbage_share(text, spark)} > {GARBAGE_SHARE}, false))"),
         "content_md5": ("string", f"md5({text})"),
         "line_rep": ("double", f"1 - {distinct} / {size}({lines})"),
         "pii_flag": ("boolean", f"({like('[a-zA-Z0-9._]+@[a-zA-Z0-9]+[.][a-z]+')} or {like('[0-9]{3}[- ][0-9]{3,4}')})"),
@@ -160,14 +170,26 @@ def conversation_features() -> list[FeatureSpec]:
     return [FeatureSpec.sql(k, kind, expr, ("raw",), lets=tuple(needed(expr, shared))) for k, (kind, expr) in rows.items()]
 
 
-TEMPLATES: dict[str, Callable[..., FeatureSpec]] = {n: (lambda n=n, **k: text_feature(n, **k)) for n in TEXT_FEATURES} | {"plain": plain_feature}
+def perplexity_feature(text: str = "processed", language: str = "lang_guess") -> FeatureSpec:
+    """Perplexity under character trigrams counted over all rows of the same language."""
+    return FeatureSpec("ppl", (text, language), (Output("ppl", "double"),), fn="ppl", scope="table", mode="gpu_only", model_mb=14_000.0)
+
+
+def safety_feature(weights: str, inputs: tuple[str, ...] = ("processed",), args: tuple[str, ...] | None = None) -> FeatureSpec:
+    """A learned score from 0 to 1; weights: what models.train_safety made of labelled texts."""
+    from dataclasses import replace
+
+    return replace(model_feature("safety", "double", inputs, "gpu_only", 7000.0, args), hints=(("weights", weights),))
+
+
+TEMPLATES: dict[str, Callable[..., FeatureSpec]] = {n: (lambda n=n, **k: text_feature(n, **k)) for n in TEXT_FEATURES} | {"plain": plain_feature, "ppl": perplexity_feature, "safety": lambda weights="", **k: safety_feature(weights, **k)}
 
 
 def template(name: str, **options) -> FeatureSpec:
     """A library feature by name."""
     if name in TEMPLATES:
         return TEMPLATES[name](**options)
-    kinds = {"quality": ("double", ("char_len", "word_count", "ngram_rep", "digit_ratio"), "all", 350.0), "math_hit": ("boolean", ("processed", "quality"), "all", 120.0), "ppl": ("double", ("processed",), "gpu_only", 14_000.0), "safety": ("double", ("processed",), "gpu_only", 7_000.0)}
+    kinds = {"quality": ("double", ("char_len", "word_count", "ngram_rep", "digit_ratio"), "all", 350.0), "math_hit": ("boolean", ("processed", "quality"), "all", 120.0)}
     kind, inputs, mode, mb = kinds[name]
     return model_feature(name, kind, options.get("inputs", inputs), options.get("mode", mode), options.get("model_mb", mb))
 

@@ -1,14 +1,21 @@
-"""Deterministic stand-ins for models: the functions behind arrow and gpu features, row-wise and vectorised."""
+"""The functions behind arrow and gpu features, row-wise and vectorised; small models that need no files."""
 
 from __future__ import annotations
 
+import base64
+import hashlib
 import math
-from collections.abc import Callable
+import re
+import zlib
+from collections.abc import Callable, Sequence
 from dataclasses import dataclass
+from functools import lru_cache
 
 import numpy as np
 import pandas as pd
 
+from ..model import PlanningError
+
 
 @dataclass(frozen=True)
 class Model:
@@ -41,38 +48,83 @@ def quality_many(char_len, word_count, ngram_rep, digit_ratio):
     return out.where(~(char_len.isna() | word_count.isna() | ngram_rep.isna() | digit_ratio.isna()), None)
 
 
+# Fixed values of the recall classifier: noise of hashed weights, bonus of grams with numerals or operators, scale, bias.
+MATH = (0.5, 1.5, 8.0, -1.0)
+MATH_SIGNS = re.compile(r"[0-9+=<>/^%]")
+BLANKS = re.compile(r"[ \t\n\r\f]+")
+_math_weights: dict[str, float] = {}
+
+
+def math_weight(gram: str) -> float:
+    """A gram's weight in the linear classifier: seeded by its hash, more for numerals and operators."""
+    w = _math_weights.get(gram)
+    if w is None:
+        if len(_math_weights) > 500_000:
+            _math_weights.clear()
+        noise, bonus, _, _ = MATH
+        w = _math_weights[gram] = (int(hashlib.md5(gram.encode()).hexdigest()[:4], 16) / 65536 - 0.5) * noise + (bonus if MATH_SIGNS.search(gram) else 0.0)
+    return w
+
+
 def math_one(plain, quality):
-    """A linear recall score over numerals and operators, scaled by quality."""
+    """A linear classifier over hashed word n-grams (one and two words), scaled by quality."""
     if plain is None or quality is None:
         return None
-    hits = sum(c in "0123456789+-=<>/^%" for c in plain)
-    return sigmoid(20.0 * hits / max(1, len(plain)) - 1.0) * quality > 0.3
+    words = [w for w in BLANKS.split(plain.lower()) if w]
+    grams = [*words, *map(" ".join, zip(words, words[1:], strict=False))]
+    mean = sum(map(math_weight, grams)) / len(grams) if grams else 0.0
+    return sigmoid(MATH[2] * mean + MATH[3]) * quality > 0.3
 
 
 def math_many(plain, quality):
     return pd.Series([math_one(p, None if pd.isna(q) else q) for p, q in zip(plain, quality, strict=True)], dtype="object")
 
 
-def perplexity_one(plain):
-    """Perplexity of the text's own character bigrams."""
-    if not plain or len(plain) < 2:
-        return None
-    pairs: dict[str, int] = {}
-    ones: dict[str, int] = {}
-    for a, b in zip(plain, plain[1:], strict=False):
-        pairs[a + b] = pairs.get(a + b, 0) + 1
-        ones[a] = ones.get(a, 0) + 1
-    bits = -sum(n * math.log2(n / ones[ab[0]]) for ab, n in pairs.items()) / (len(plain) - 1)
-    return 2.0**bits
+# ---- a safety score, learned
 
+SAFETY_BITS, SAFETY_ROWS = 13, 4000
+WORD = re.compile(r"[^\W_]+")
 
-def safety_one(text):
-    """Share of words from a short list of insults, scaled to 0..1."""
-    if text is None:
-        return None
-    words = text.lower().split()
-    bad = sum(w.strip(".,!?") in {"idiot", "stupid", "trash", "pathetic", "disgusting", "worthless", "clown", "loser", "scum", "moron"} for w in words)
-    return min(1.0, 20.0 * bad / max(1, len(words)))
+
+def safety_features(text: str) -> np.ndarray:
+    """Buckets of the distinct words of a text, and the bias."""
+    found = np.fromiter((zlib.crc32(w.encode()) for w in WORD.findall(text.lower())), np.int64) & ((1 << SAFETY_BITS) - 1)
+    return np.append(np.unique(found), 1 << SAFETY_BITS)
+
+
+def safety_margin(w: np.ndarray, at: np.ndarray) -> float:
+    """Features have length one together, so long texts aren't louder than short ones."""
+    return float(w[at].sum() / np.sqrt(len(at)))
+
+
+def train_safety(texts: Sequence[str], toxic: Sequence[int], passes: int = 6, rate: float = 0.2, l2: float = 1e-4, seed: int = 3) -> str:
+    """Weights (base64) of a logistic regression by AdaGrad over hashed words; at most SAFETY_ROWS rows are meant."""
+    rows = [(safety_features(t or ""), int(y)) for t, y in zip(texts, toxic, strict=True)]
+    w, g2 = np.zeros((1 << SAFETY_BITS) + 1), np.full((1 << SAFETY_BITS) + 1, 1e-8)
+    rnd = np.random.default_rng(seed)
+    for _ in range(passes):
+        for i in rnd.permutation(len(rows)):
+            at, y = rows[i]
+            g = (sigmoid(safety_margin(w, at)) - y) / np.sqrt(len(at)) + l2 * w[at]
+            g2[at] += g * g
+            w[at] -= rate * g / np.sqrt(g2[at])
+    return base64.b64encode(zlib.compress(w.astype(np.float16).tobytes())).decode()
+
+
+@lru_cache(maxsize=4)
+def safety_weights(text: str) -> np.ndarray:
+    return np.frombuffer(zlib.decompress(base64.b64decode(text)), np.float16).astype(np.float64)
+
+
+def safety_with(weights: str) -> Model:
+    """The score under some weights: 0 is safe, 1 is not."""
+
+    def one(text):
+        if text is None:
+            return None
+        return sigmoid(safety_margin(safety_weights(weights), safety_features(text)))
+
+    return Model("safety", one, each(one))
 
 
 def domain_one(text):
@@ -85,12 +137,35 @@ def each(one: Callable) -> Callable[..., pd.Series]:
     return lambda *s: pd.Series([one(*(None if v is None or (isinstance(v, float) and v != v) else v for v in vs)) for vs in zip(*s, strict=True)], dtype="object")
 
 
+@lru_cache(maxsize=1)
+def embedding_weights(mb: int = 350) -> np.ndarray:
+    """Weights that a worker process loads once: this many MB of them."""
+    return np.ones(mb << 17)
+
+
+def embedding_many(plain):
+    """The norm of a text's letters, each drawn from the weights eight times; a whole batch is in memory at once."""
+    weights = embedding_weights()
+    codes = [np.frombuffer((t or "").encode("utf-32-le"), "<u4") for t in plain]
+    rows = [weights[(c[:, None].astype(np.int64) * np.arange(1, 9)) % len(weights)] for c in codes]
+    return pd.Series([float(np.sqrt((r * r).sum())) for r in rows])
+
+
+def embedding_one(plain):
+    return float(embedding_many(pd.Series([plain])).iloc[0])
+
+
 MODELS = {m.name: m for m in (
-    Model("quality", quality_one, quality_many), Model("math_hit", math_one, math_many), Model("ppl", perplexity_one, each(perplexity_one)),
-    Model("safety", safety_one, each(safety_one)), Model("domain_model", domain_one, each(domain_one)),
+    Model("quality", quality_one, quality_many), Model("math_hit", math_one, math_many), Model("domain_model", domain_one, each(domain_one)),
+    Model("embedding_norm", embedding_one, embedding_many),
 )}
 
 
 def model_of(spec) -> Model:
-    """The functions of a model feature."""
+    """The functions of a model feature; `safety` brings its weights as a hint."""
+    if spec.fn == "safety":
+        weights = dict(spec.hints).get("weights")
+        if not weights:
+            raise PlanningError("safety has no weights: train them with models.train_safety")
+        return safety_with(weights)
     return MODELS[spec.fn]

@@ -20,7 +20,7 @@ from ..plans.planner import FusedTask, minimum_closure, plan_tasks, span_batches
 from ..plans.tuning import InputStats, ResourceParams, Run, adapt, after_memory_failure, preset
 from .guard import Highest, guarded_arrow, resident_model, split_errors
 from .ingest import escaped
-from .storage import delete, measured, new_id, with_settings
+from .storage import delete, measured, new_id
 
 ERRORS = "run_id string, entity_id string, batch_name string, column_name string, feature_version int, error_type string, stack_summary string"
 
@@ -257,6 +257,8 @@ class Executor:
             rows = sum(b.rows for b in snap.batches if b.name in task.batches)
             feature, models = task.features[0].name, any(f.fn for f in task.features)
             params = self.parameters(task, InputStats(len(source.tables), rows, source.bytes), attempt)
+            tuned = translate.own_session(spark, self.settings(params))  # a scan keeps to the settings of the session that made it
+            relation = translate.assemble(tuned, snap, task.inputs, task.batches).relation
             peak, limit = None, engine.config.guard_mb
             if models:
                 with self.peak_lock:
@@ -267,12 +269,11 @@ class Executor:
                     if task.features[0].scope == "table":
                         computed, structs = self._set_feature(snap, task), {}
                     else:
-                        computed, structs = feature_columns(source.relation, task, engine.config.guard, request.max_input_chars, request.timeout_s, limit, peak)
-                    computed = with_settings(computed, self.settings(params))
+                        computed, structs = feature_columns(relation, task, engine.config.guard, request.max_input_chars, request.timeout_s, limit, peak)
                     if structs:
                         staging = f"{final}-staged"
                         self._write(computed, staging)
-                        staged = spark.read.schema(computed.schema).parquet(staging).drop("_b")
+                        staged = tuned.read.schema(computed.schema).parquet(staging).drop("_b")
                         values, errors = split_errors(staged, structs, KEYS)
                         self._write(values, final)
                         errors_at = f"{engine.root}/{table}/errors/{run_id}-{task.number}-{new_id('e')}"

@@ -16,20 +16,28 @@ def range_join(left: DataFrame, right: DataFrame, point: str, lo: str, hi: str,
     return left.withColumn("_bin", F.floor(F.col(point) / width)).join(spread, "_bin").where((F.col(point) >= F.col(lo)) & (F.col(point) < F.col(hi))).drop("_bin")
 
 
-def asof(left: DataFrame, right: DataFrame, on: str, by: str, value: str, direction: str = "backward", tolerance: int | None = None) -> DataFrame:
+def asof(left: DataFrame, right: DataFrame, on: str, by: str, value: str, direction: str = "backward", tolerance: int | None = None, width: int | None = None) -> DataFrame:
     """Each left row with the last right value at or before it (forward: the first at or after), by key.
 
-    Both sides are put together and one window carries values along; no pairs are made. Ties at one time: the largest value.
+    Both sides are put together and a window carries values along; no pairs are made. Ties at one time: the largest value.
+    width: cut each key's line into bins of this length, so that a hot key is the work of many tasks; what a bin starts
+    with comes from a window over one row a bin.
     """
     sign = 1 if direction == "backward" else -1
     best = right.groupBy(by, on).agg(F.max(value).alias("_v"))
     lefts = left.select("*", F.lit(1).alias("_side"), F.lit(None).cast(right.schema[value].dataType).alias("_v"), F.lit(None).cast(right.schema[on].dataType).alias("_at"))
     rights = best.select(by, on, F.lit(0).alias("_side"), "_v", F.col(on).alias("_at"))
-    both = lefts.unionByName(rights, allowMissingColumns=True)
-    order = Window.partitionBy(by).orderBy(F.col(on) * sign, "_side").rowsBetween(Window.unboundedPreceding, 0)
-    found = both.select("*", F.last("_v", True).over(order).alias(f"asof_{value}"), F.last("_at", True).over(order).alias("_found")).where("_side = 1")
-    got = F.col(f"asof_{value}") if tolerance is None else F.when(F.abs(F.col(on) - F.col("_found")) <= tolerance, F.col(f"asof_{value}"))
-    return found.withColumn(f"asof_{value}", got).drop("_side", "_v", "_at", "_found")
+    both = lefts.unionByName(rights, allowMissingColumns=True).withColumn("_bin", F.floor(F.col(on) * sign / width) if width else F.lit(0).cast("long"))
+    order = Window.partitionBy(by, "_bin").orderBy(F.col(on) * sign, "_side").rowsBetween(Window.unboundedPreceding, 0)
+    here = F.last(F.when(F.col("_side") == 0, F.struct("_v", "_at")), True).over(order)
+    found = both.select("*", here.alias("_here")).where("_side = 1")
+    if width:
+        last = both.groupBy(by, "_bin").agg(F.max(F.when(F.col("_side") == 0, F.struct((F.col(on) * sign).alias("_o"), F.col("_v"), F.col("_at")))).alias("_last"))
+        before = Window.partitionBy(by).orderBy("_bin").rowsBetween(Window.unboundedPreceding, -1)
+        carried = last.select(by, "_bin", F.last("_last", True).over(before).alias("_before"))
+        found = found.join(carried, [by, "_bin"]).withColumn("_here", F.coalesce("_here", F.when(F.col("_before").isNotNull(), F.struct(F.col("_before._v"), F.col("_before._at")))))
+    got = F.col("_here._v") if tolerance is None else F.when(F.abs(F.col(on) - F.col("_here._at")) <= tolerance, F.col("_here._v"))
+    return found.select(*left.columns, got.alias(f"asof_{value}"))
 
 
 def hash_sample(rows: DataFrame, share: float, key: str) -> DataFrame:
@@ -38,9 +46,25 @@ def hash_sample(rows: DataFrame, share: float, key: str) -> DataFrame:
     return rows.where(place < int(share * (1 << 32)))
 
 
-def top_k(rows: DataFrame, by: list[str], order: list[Column], k: int) -> DataFrame:
-    """The first k rows of each group."""
-    return rows.withColumn("_n", F.row_number().over(Window.partitionBy(*by).orderBy(*order))).where(F.col("_n") <= k).drop("_n")
+def stratified_sample(rows: DataFrame, by: str, shares: dict[str, float], rest: float, key: str) -> DataFrame:
+    """A hash sample with a share of its own for each stratum; the same rows in every run."""
+    place = F.conv(F.substring(F.md5(F.col(key).cast("string")), 1, 8), 16, 10).cast("long")
+    share = F.lit(float(rest))
+    for stratum, s in shares.items():
+        share = F.when(F.col(by) == stratum, F.lit(float(s))).otherwise(share)
+    return rows.where(place < share * (1 << 32))
+
+
+def count_min(rows: DataFrame, key: str, depth: int = 5, width: int = 1 << 12) -> DataFrame:
+    """Each key with its count-min estimate: at least the count, and more only if all of its `depth` cells are shared.
+
+    The sketch is a table of at most depth * width rows, summed before the shuffle and broadcast.
+    """
+    cell = lambda d: F.pmod(F.xxhash64(F.lit(d), F.col(key)), F.lit(width)).cast("int")
+    hits = rows.select(F.explode(F.array(*(F.struct(F.lit(d).alias("d"), cell(d).alias("cell")) for d in range(depth)))).alias("x"))
+    sketch = hits.groupBy("x.d", "x.cell").agg(F.count("*").alias("c"))
+    keys = rows.select(key).distinct().select(key, F.explode(F.array(*(F.struct(F.lit(d).alias("d"), cell(d).alias("cell")) for d in range(depth)))).alias("x")).select(key, "x.d", "x.cell")
+    return keys.join(F.broadcast(sketch), ["d", "cell"]).groupBy(key).agg(F.min("c").alias("n"))
 
 
 def salted_join(left: DataFrame, right: DataFrame, key: str, salts: int = 8) -> DataFrame:
@@ -49,7 +73,17 @@ def salted_join(left: DataFrame, right: DataFrame, key: str, salts: int = 8) ->
     return left.withColumn("_salt", F.pmod(F.xxhash64(*left.columns), F.lit(salts)).cast("int")).join(spread, [key, "_salt"]).drop("_salt")
 
 
-def pack_running(rows: DataFrame, by: str, order: str, size: str, capacity: int) -> DataFrame:
-    """Samples of consecutive rows by running size: sample = (sizes before) div capacity, within a group."""
-    before = F.sum(size).over(Window.partitionBy(by).orderBy(order).rowsBetween(Window.unboundedPreceding, -1))
-    return rows.withColumn("sample_id", F.floor(F.coalesce(before, F.lit(0)) / capacity))
+def pack_running(rows: DataFrame, by: str, order: str, size: str, capacity: int, part: Column | None = None) -> DataFrame:
+    """Samples of consecutive rows by running size: sample = (sizes before) div capacity, within a group.
+
+    part: a column that never falls along `order`; groups are then summed part by part, so that a hot group is the work
+    of many tasks, and the parts' totals (one row a part) are summed by a second window.
+    """
+    rows = rows.withColumn("_part", F.lit(0) if part is None else part)
+    inside = F.coalesce(F.sum(size).over(Window.partitionBy(by, "_part").orderBy(order).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    out = rows.withColumn("_before", inside)
+    if part is not None:
+        upto = Window.partitionBy(by).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+        totals = rows.groupBy(by, "_part").agg(F.sum(size).alias("_total")).select(by, "_part", F.coalesce(F.sum("_total").over(upto), F.lit(0)).alias("_base"))
+        out = out.join(totals, [by, "_part"]).withColumn("_before", F.col("_before") + F.col("_base"))
+    return out.withColumn("sample_id", F.floor(F.col("_before") / capacity)).drop("_part", "_before", "_base")

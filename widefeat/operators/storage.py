@@ -100,7 +100,7 @@ def write_by_batch(df: DataFrame, path: str, sort: Sequence[str], target_mb: int
     spark = df.sparkSession
     estimate = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
     share = max(1 << 20, min(target_mb << 20, estimate // (2 * spark.sparkContext.defaultParallelism)))
-    settings = {"spark.sql.adaptive.enabled": "true", "spark.sql.adaptive.advisoryPartitionSizeInBytes": str(share), "spark.sql.adaptive.rebalancePartitionsSmallPartitionFactor": "0.5"}
+    settings = {"spark.sql.adaptive.enabled": "true", "spark.sql.adaptive.advisoryPartitionSizeInBytes": str(share), "spark.sql.adaptive.rebalancePartitionsSmallPartitionFactor": "0.5", "spark.sql.adaptive.coalescePartitions.initialPartitionNum": "256"}
     rows = df if label in df.columns else df.withColumn(label, F.col(source))
     rows = rows.hint("rebalance", F.col(label)).sortWithinPartitions(label, *(c for c in sort if c != label))
     writer = with_settings(rows, settings).write.option("compression", "zstd").partitionBy(label)
@@ -110,7 +110,7 @@ def write_by_batch(df: DataFrame, path: str, sort: Sequence[str], target_mb: int
 
 
 def with_settings(df: DataFrame, settings: dict[str, str]) -> DataFrame:
-    """`df` in a session of its own with other settings, so that concurrent tasks don't see them."""
+    """`df` in a session of its own with other settings for its plan (scans keep to the session that made them)."""
     from ..plans.translate import in_session, own_session
 
-    return in_session(own_session(df.sparkSession, **settings), df)
+    return in_session(own_session(df.sparkSession, settings), df)

@@ -229,6 +229,12 @@ def assemble(spark: SparkSession, snap: CatalogSnapshot, columns: Sequence[str],
     return Assembly(relation, "base", "base tables", max([len(k) - 2 for k in layouts], default=0), tuple(p.phys_id for p in used), sum(p.bytes for p in used), tuple(batches), {"layouts": len(layouts), "joins_total": joins})
 
 
+def padded(relation: DataFrame, snap: CatalogSnapshot) -> DataFrame:
+    """`relation` with all logical columns; those that the optimised query has no use for, but its text may name, are NULL."""
+    types, have = {c.name: c.type for c in snap.columns}, set(relation.columns)
+    return relation.select(*(F.col(f"`{c}`") if c in have else F.lit(None).cast(t).alias(c) for c, t in types.items()))
+
+
 def stored_layout(p: Physical, columns: Sequence[str]) -> Iterator[str]:
     stored = {logical_name(c): c for c in p.columns}
     return (stored[c] for c in columns)
@@ -237,12 +243,12 @@ def stored_layout(p: Physical, columns: Sequence[str]) -> Iterator[str]:
 SESSION_KEYS = ("spark.sql.shuffle.partitions", "spark.sql.session.timeZone", "spark.sql.adaptive.enabled", "spark.sql.sources.partitionOverwriteMode")
 
 
-def own_session(spark: SparkSession, **settings: str) -> SparkSession:
+def own_session(spark: SparkSession, settings: dict[str, str] | None = None) -> SparkSession:
     """A session with the settings that matter to plans, and some of its own."""
     session = spark.newSession()
     for key in SESSION_KEYS:
         session.conf.set(key, spark.conf.get(key))
-    for key, value in settings.items():
+    for key, value in (settings or {}).items():
         session.conf.set(key, value)
     return session
 

@@ -18,13 +18,12 @@ from .baselines import Legacy, failover_loop
 from .engine import Engine
 from .functions import library
 from .metrics import Recorder
-from .model import ColumnLimitError, EngineConfig, FeatureSpec
+from .model import ColumnLimitError, EngineConfig, FeatureSpec, Output
 from .operators import guard
 from .operators.executor import BackfillRequest
-from .operators.governance import Policy, assign_shards, storage_report
+from .operators.governance import Policy, storage_report
 from .operators.storage import ship
-from .plans import tuning
-from .plans.tuning import History, InputStats
+from .plans.tuning import History
 from .sources.adapters import SourceSpec
 
 WORKLOADS: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -81,52 +80,83 @@ def w1_curation_end_to_end(spark: SparkSession, sf_dir: str) -> DataFrame:
 EXPORT = "select entity_id, batch_name, char_len, word_count, lang_guess, ngram_rep, url_ratio, digit_ratio, garbage_flag, content_md5, line_rep, pii_flag, quality, math_hit, raw.url as url from web where {} char_len between 100 and 100000 and word_count > 20 and lang_guess in ('en', 'de', 'fr') and ngram_rep < 0.9 and digit_ratio < 0.2 and garbage_flag = false and line_rep < 0.5 and quality > 0.3"
 
 
+TRADE_EXPORT = "select orderkey, linenumber, quantity, price, discount, tax, returnflag, linestatus, shipdate, orderpriority from trade where batch_name in ({}) and quantity > 5 and discount <= 0.08"
+
+
 @workload
-def w2_volume_sweep(spark: SparkSession, sf_dir: str, sizes: tuple[int, ...] = (1, 5, 10, 20)) -> DataFrame:
-    """Export of 15 columns under 8 predicates over growing batch combinations; NoGov has a shard a feature and small files."""
-    good, bad = Recorder("w2", "full"), Recorder("w2", "nogov")
+def w2_volume_sweep(spark: SparkSession, sf_dir: str, sizes: tuple[int, ...] = (1, 5, 10, 20), legacy: bool = True) -> DataFrame:
+    """Export of 15 columns under 8 predicates over growing batch combinations, and of trade by years.
+
+    NoGov has a shard a feature and as many files as tasks wrote; Legacy a table a source and feature, joined by hand.
+    """
+    good, bad, old, trade = (Recorder("w2", c) for c in ("full", "nogov", "legacy", "trade"))
     tidy = worlds.fresh(spark, sf_dir, "web")
-    loose = worlds.fresh(spark, sf_dir, "web", EngineConfig(governance=False, fuse="off"), features=False)
+    loose = worlds.fresh(spark, sf_dir, "web", EngineConfig(governance=False, fuse="off", unit_batches=1000), features=False)
     loose.backfill("web", columns=[o for f in library.web_features() for o in f.output_names])
-    for b in [b.name for b in tidy.catalog.snapshot("web").batches][:20]:
+    names = [b.name for b in tidy.catalog.snapshot("web").batches]
+    for b in names[:20]:
         tidy.governor.merge_shards("web", b)
+    earlier = Legacy(spark)
+    if legacy:
+        rows = tidy.table("web", ["raw"])
+        earlier.ingest({b: rows.where(F.col("batch_name") == b).select("entity_id", "raw") for b in names[: max(sizes)]})
+        earlier.backfill(library.web_features(), [f.name for f in library.web_features()])
     for n in sizes:
-        names = ", ".join(f"'src{i}'" for i in range(n))
+        wanted = names[:n]
+        text = EXPORT.format(f"batch_name in ({', '.join(repr(b) for b in wanted)}) and")
         for rec, engine in ((good, tidy), (bad, loose)):
-            text = EXPORT.format(f"batch_name in ({names}) and")
-            s = metrics.measured_median(lambda e=engine, t=text: noop(e.sql(t, log=False)), 2)
+            s = metrics.measured_median(lambda e=engine, t=text: noop(e.sql(t, log=False)))
             a = engine.plan(text)[0]["web"]
             rec.put(f"seconds_{n}", s, "s")
             rec.put(f"throughput_{n}", metrics.throughput_tb_h(a.bytes, s), "TB/h")
             rec.put(f"joins_{n}", a.joins)
             rec.put(f"files_{n}", len(a.tables))
-    for rec in (good, bad):
+        if legacy:
+            columns = [c for c in library.TEXT_FEATURES if c not in ("secret_flag", "license_flag")] + ["quality", "math_hit"]
+            part = Legacy(spark, earlier.root, {b: earlier.tables[b] for b in wanted}, earlier.results)
+            s = metrics.measured_median(lambda p=part: noop(p.export(columns, EXPORT.partition("where")[2].format(""))), 1)
+            old.put(f"seconds_{n}", s, "s")
+            old.put(f"joins_{n}", len(columns) * n)
+    years = worlds.fresh(spark, sf_dir, "trade")
+    for n in range(1, 8):
+        text = TRADE_EXPORT.format(", ".join(f"'y{1995 + i}'" for i in range(n)))
+        s = metrics.measured_median(lambda t=text: noop(years.sql(t, log=False)))
+        trade.put(f"seconds_{n}", s, "s")
+        trade.put(f"throughput_{n}", metrics.throughput_tb_h(years.plan(text)[0]["trade"].bytes, s), "TB/h")
+    for rec in (good, bad, *([old] if legacy else []), trade):
         rec.put("degradation", metrics.degradation([v for _, _, m, v, _, _ in rec.rows if m.startswith("seconds")]))
-    return union(spark, good, bad)
+    return union(spark, good, bad, old, trade)
+
+
+MAIN = ["char_len", "word_count", "lang_guess", "digit_ratio", "ngram_rep", "garbage_flag", "line_rep"]
+TEN = "select entity_id, batch_name, char_len, word_count, lang_guess, round(digit_ratio, 6) as digit_ratio, round(ngram_rep, 6) as ngram_rep, garbage_flag, round(line_rep, 6) as line_rep from web where lang_guess = 'en' and char_len > 500 order by entity_id limit 1000"
 
 
 def widened(spark: SparkSession, sf_dir: str, width: int, limit: int, governed: bool) -> tuple[Engine, str]:
-    """A web table with `width` cheap features, in shards by use (governed) or in one physical table up to the limit."""
-    engine = worlds.fresh(spark, sf_dir, "web", EngineConfig(governance=governed, max_fused=100_000), features=False)
-    main = ["char_len", "word_count", "lang_guess", "digit_ratio", "ngram_rep", "garbage_flag", "line_rep"]
-    cheap = [f"wide_{i}" for i in range(max(0, width - len(main)))]
-    for i in range(0, len(cheap), 200):
-        part = cheap[i : i + 200]
-        spec = FeatureSpec(f"pack_{i}", ("char_len",), tuple(__import__("widefeat.model", fromlist=["Output"]).Output(c, "bigint") for c in part), tuple(f"char_len + {int(c[5:])}" for c in part))
-        engine.add_feature("web", spec)
-    engine.backfill("web", columns=main)
-    shards = assign_shards([*main, *cheap], main, {}, limit, 0.9, min(300, limit)) if governed else [[*main, *cheap]]
-    if not governed and width + 3 > limit:
-        raise ColumnLimitError(f"{width} columns in one table, the limit is {limit}")
-    for shard in shards:
-        todo = [c for c in shard if c in set(cheap)]
-        if todo:
-            engine.backfill("web", columns=todo)
-    if not governed:
+    """A web table with `width` cheap features; no physical table may hold more than `limit` columns (the catalog sees to that).
+
+    Governed: tasks are cut below the limit, and the governor moves columns that no query uses out of tables that come near
+    it. Without: one physical table a batch takes every new column, as a table with a schema of its own would.
+    """
+    engine = worlds.fresh(spark, sf_dir, "web", EngineConfig(governance=governed, column_limit=limit, max_fused=int(0.9 * limit) if governed else 100_000, unit_batches=1000), features=False)
+    cheap = [f"wide_{i}" for i in range(max(0, width - len(MAIN)))]
+    for i in range(0, len(cheap), 20):
+        part = cheap[i : i + 20]
+        engine.add_feature("web", FeatureSpec(f"pack_{i}", ("char_len",), tuple(Output(c, "bigint") for c in part), tuple(f"char_len + {int(c[5:])}" for c in part)))
+    if governed:
+        engine.backfill("web", columns=MAIN)
+        engine.backfill("web", columns=cheap)
+        for _ in range(5):
+            engine.sql(TEN)
+        engine.governor.policy = Policy(column_limit=limit, headroom=0.5, max_shard=int(0.45 * limit), max_files=10**6, small_ratio=2.0)
+        engine.governor.cycle("web")
+    else:
         engine.governor.policy = Policy(column_limit=limit)
-        for b in engine.catalog.snapshot("web").batches:
-            engine.governor.merge_shards("web", b.name, limit=limit)
-    return engine, "select entity_id, batch_name, char_len, word_count, lang_guess, digit_ratio, ngram_rep, garbage_flag, line_rep from web where lang_guess = 'en' and char_len > 500 order by entity_id limit 1000"
+        for i in range(0, width, 20):
+            engine.backfill("web", columns=[*MAIN, *cheap][i : i + 20])
+            for b in engine.catalog.snapshot("web").batches:
+                engine.governor.merge_shards("web", b.name)
+    return engine, TEN
 
 
 @workload
@@ -141,10 +171,12 @@ def w3_width_sweep(spark: SparkSession, sf_dir: str, widths: tuple[int, ...] = (
             except ColumnLimitError:
                 rec.put(f"success_{w}", 0.0)
                 continue
-            times, failed = metrics.replay([lambda e=engine, t=text: noop(e.sql(t, log=False))] * 4, clients=1)
-            rec.put(f"success_{w}", 1 - failed / 4)
-            rec.put(f"p95_{w}", metrics.percentile(times[1:], 0.95), "s")
+            noop(engine.sql(text, log=False))
+            times, failed = metrics.replay([lambda e=engine, t=text: noop(e.sql(t, log=False))] * 20, clients=20)
+            rec.put(f"success_{w}", 1 - failed / 20)
+            rec.put(f"p95_{w}", metrics.percentile(times, 0.95), "s")
             rec.put(f"joins_{w}", engine.plan(text)[0]["web"].joins)
+            rec.put(f"widest_{w}", max(len(p.columns) + 2 for p in engine.catalog.snapshot("web").physical))
         records.append(rec)
     return union(spark, *records)
 
@@ -157,78 +189,95 @@ def w4_fusion(spark: SparkSession, sf_dir: str) -> DataFrame:
         rec = Recorder("w4", "on" if fuse != "off" else "off")
         engine = worlds.fresh(spark, sf_dir, "web", EngineConfig(fuse=fuse, concurrency=1), features=False)
         engine.backfill("web", columns=["processed"])
-        before = engine.catalog.snapshot("web")
-        size = sum(p.bytes for p in before.physical if "processed" in p.columns)
         with rec.stage("backfill"):
             report = engine.backfill("web", columns=library.FUSED_EIGHT)
         rec.put("scans", report.scans)
-        rec.put("bytes_read", report.scans * size, "B")
+        rec.put("cpu_hours", metrics.cpu_hours(report.cpu_s), "h")
+        rec.put("bytes_read", sum(r["bytes_in"] for r in engine.catalog.store.query("select bytes_in from runs where run_id = ?", report.run_id)), "B")
         records.append(rec)
     return union(spark, *records)
 
 
+class Oversized(ValueError):
+    """A text over the cap."""
+
+
+class Garbled(ValueError):
+    """A text with runs of symbols."""
+
+
 @workload
 def w5_failover(spark: SparkSession, sf_dir: str, cap: int = 15_000) -> DataFrame:
-    """Texts over a cap are broken records: isolated, failing the task, or removed round by round; and the guard's cost."""
+    """Texts over a cap and garbled ones are broken records: isolated, failing the task, or removed round by round; and the guard's cost."""
     docs = spark.read.parquet(worlds.path_of(sf_dir, "documents")).select("doc_id", "text")
     on, off, old = Recorder("w5", "on"), Recorder("w5", "off"), Recorder("w5", "legacy")
     count = lambda t: float(sum(c.isdigit() for c in t))
-    with on.stage("run"):
-        r = guard.isolation_report(docs.select("doc_id", guard.guarded(count, "double", max_input_chars=cap)("text").alias("r")), "r").first()
-    on.put("success", r.rows_ok / r.rows)
-    on.put("anomalies", r.rows_bad)
-    on.put("rounds", 1)
 
     def strict(t):
         if len(t) > cap:
-            raise ValueError("broken record")
+            raise Oversized(len(t))
+        if "###" in t:
+            raise Garbled("###")
         return count(t)
 
+    with on.stage("run"):
+        r = guard.isolation_report(docs.select("doc_id", guard.guarded(strict, "double")("text").alias("r")), "r").first()
+    on.put("success", r.rows_ok / r.rows)
+    on.put("anomalies", r.rows_bad)
+    on.put("anomaly_rate", r.anomaly_rate)
+    on.put("rounds", 1)
     try:
         noop(docs.select(F.udf(strict, "double")("text").alias("v")))
         off.put("success", 1.0)
     except Exception:
         off.put("success", 0.0)
     with old.stage("run"):
-        rounds, removed = failover_loop(docs, "doc_id", strict, "text", sample=cap)
+        rounds, removed = failover_loop(docs, strict, "text", {"Oversized": f"length(text) > {cap}", "Garbled": "contains(text, '###')"})
     old.put("rounds", rounds)
     old.put("removed", removed)
     clean = docs.where(F.length("text") <= cap)
-    import pandas as pd
-
     many = lambda s: s.map(count).astype(float)
     bare = metrics.measured_median(lambda: noop(clean.select(F.pandas_udf(many, "double")("text"))))
     kept = metrics.measured_median(lambda: noop(clean.select(guard.guarded_arrow(many, count, "double")("text"))))
-    del pd
     on.put("guard_overhead", kept / bare - 1)
     return union(spark, on, off, old)
 
 
-#: W6 is a model, not a measurement: a worker fails if its demand is over its setting plus what the container leaves free.
-FREE_MB = 640.0
-#: Bytes, bytes of a mean record and of a record at the 99th percentile: larger batches hold longer texts.
-W6_SIZES = {"50GB": (50 * 10**9, 200, 300.0), "500GB": (500 * 10**9, 2500, 16_000.0), "2TB": (2 * 10**12, 2500, 16_000.0)}
+def repeated(spark: SparkSession, sf_dir: str, times: int, config: EngineConfig | None = None) -> Engine:
+    """A web table with every document `times` times (texts made different), all but the model features computed."""
+    engine = Engine(spark, config)
+    copies = lambda d: d.crossJoin(spark.range(times).withColumnRenamed("id", "copy")).withColumn("doc_id", F.col("doc_id") * times + F.col("copy"))
+    engine.ingest(SourceSpec("parquet", worlds.path_of(sf_dir, "documents"), transform=lambda d: copies(d.join(d.groupBy("text").agg(F.min("doc_id").alias("doc_id")), ["doc_id", "text"], "left_semi"))), "web", "source", worlds.WEB_MAPPING, create=worlds.WEB_COLUMNS, many=True, id_strategy=("key", ["doc_id"]))
+    for f in library.web_features():
+        engine.add_feature("web", f)
+    engine.backfill("web", columns=["char_len", "word_count", "ngram_rep", "digit_ratio"])
+    return engine
 
 
 @workload
-def w6_tuning(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """A feature with a 350 MB model on three sizes: which settings survive the demand model and what they cost beside an expert's."""
-    records, expert_cost = [], {}
+def w6_tuning(spark: SparkSession, sf_dir: str, scales: tuple[int, ...] = (1, 4, 16)) -> DataFrame:
+    """A feature whose model takes 350 MB in each worker and 64 bytes a character, on growing inputs: it runs, and a worker
+    that goes over the memory it was given fails. Which settings survive, at the first try or later, and what they cost
+    beside an expert's (CPU hours, by Spark's stage metrics, times tries).
+    """
+    records, cost = [], {}
     for config in ("expert", "default", "adaptive"):
         rec, history = Recorder("w6", config), History()
-        for name, (size, mean, p99) in W6_SIZES.items():
-            stats = InputStats(size // 10**9, size // mean, size, p99)
-            params = tuning.adapt("quality", stats, 350.0, history) if config == "adaptive" else tuning.preset(config, stats, 350.0)
-            retries = 0
-            while (short := tuning.demand_mb(params, stats, 350.0) > params.worker_mb + FREE_MB) and retries < 2 and config != "default":
-                params, retries = tuning.after_memory_failure(params), retries + 1
-            hours = size / 1e12 * (1 + params.worker_mb / 20_000)
-            history.record(tuning.Run("quality", size, stats.rows, hours, tuning.demand_mb(params, stats, 350.0), not short, retries + 1))
-            if config == "expert":
-                expert_cost[name] = hours
-            rec.put(f"success_{name}", float(not short and retries == 0))
-            if not short:
-                rec.put(f"cost_{name}", metrics.task_cost(hours, retries, expert_cost[name]))
+        for k in scales:
+            engine = repeated(spark, sf_dir, k, EngineConfig(tuning=config, guard="task", unit_batches=1000, extra={"enforce_memory": True}))
+            engine.history = history
+            engine.add_feature("web", library.model_feature("embedding_norm", "double", ("processed",), "all", 350.0))
+            report = engine.backfill("web", columns=["embedding_norm"])
+            runs = engine.catalog.store.query("select attempt, ok, cpu_s, peak_mb, wall_s from runs where run_id = ? and feature = 'embedding_norm' order by attempt", report.run_id)
+            rec.put(f"success_{k}", float(report.ok))
+            rec.put(f"first_submit_{k}", float(bool(runs[0]["ok"])))
+            if report.ok:
+                hours = metrics.cpu_hours(runs[-1]["cpu_s"])
+                if config == "expert":
+                    cost[k] = hours
+                rec.put(f"cost_{k}", metrics.task_cost(hours, len(runs) - 1, cost[k]))
+                rec.put(f"peak_{k}", runs[-1]["peak_mb"], "MB")
+                rec.put(f"wall_{k}", runs[-1]["wall_s"], "s")
         records.append(rec)
     return union(spark, *records)
 
@@ -239,16 +288,18 @@ def ids_for(engine: Engine, n: int) -> list[str]:
 
 
 @workload
-def w7_point_lookup(spark: SparkSession, sf_dir: str, n: int = 12) -> DataFrame:
-    """Latencies of single lookups with and without the index, absent ids among them."""
+def w7_point_lookup(spark: SparkSession, sf_dir: str, n: int = 200, absent: int = 10) -> DataFrame:
+    """Latencies of single lookups with and without the index, absent ids among them, by twenty clients."""
     engine = worlds.fresh(spark, sf_dir, "web")
     engine.index.catch_up("web")
-    ids = [*ids_for(engine, n), "absent-1", "absent-2"]
+    ids = [*ids_for(engine, n), *(f"absent-{i}" for i in range(absent))]
     records = []
     for use in (True, False):
         rec = Recorder("w7", "index" if use else "scan")
-        times, failed = metrics.replay([lambda i=i, u=use: engine.lookup("web", i, use_index=u).collect() for i in ids], clients=4)
+        times, failed = metrics.replay([lambda i=i, u=use: engine.lookup("web", i, use_index=u).collect() for i in ids], clients=20)
         rec.put("p50", metrics.percentile(times, 0.5), "s")
+        for share, seconds in [metrics.cdf(times)[int(len(times) * p / 10) - 1][::-1] for p in range(1, 11)] if times else []:
+            rec.put(f"cdf_{share:.1f}", seconds, "s")
         rec.put("p99", metrics.percentile(times, 0.99), "s")
         rec.put("failed", failed)
         snap = engine.catalog.snapshot("web")
@@ -267,19 +318,28 @@ AGGREGATES = {
 }
 
 
+TRADE_AGGREGATES = {
+    "t1": "select count(discount) as n from trade", "t2": "select returnflag, linestatus, count(*) as n from trade group by 1, 2", "t3": "select count(*) as n from trade where shipdate >= timestamp '1996-01-01 00:00:00' and shipdate < timestamp '1997-01-01 00:00:00'",
+    "t4": "select returnflag, linestatus, count(*), sum(quantity), avg(price), avg(discount) from trade group by 1, 2",
+}
+
+
 @workload
 def w8_aggregates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Four aggregate shapes on base tables and on the replica."""
-    engine = worlds.fresh(spark, sf_dir, "web", EngineConfig(fuse="off"))
-    engine.materializer.sync("web", ["lang_guess", "garbage_flag", "digit_ratio", "char_len", "word_count", "quality"])
+    """Four aggregate shapes on base tables and on the replica, of web and of trade."""
+    web = worlds.fresh(spark, sf_dir, "web", EngineConfig(fuse="off", unit_batches=1000))
+    web.materializer.sync("web", ["lang_guess", "garbage_flag", "digit_ratio", "char_len", "word_count", "quality"])
+    trade = worlds.fresh(spark, sf_dir, "trade")
+    trade.materializer.sync("trade", ["returnflag", "linestatus", "shipdate", "discount", "quantity", "price"])
     records = []
     for path in ("replica", "base"):
         rec = Recorder("w8", path)
-        for name, text in AGGREGATES.items():
-            rec.put(f"{name}_s", metrics.measured_median(lambda t=text, p=path: engine.sql(t, path=p, log=False).collect(), 2), "s")
-            a = engine.plan(text, path=path)[0]["web"]
-            rec.put(f"{name}_joins", a.joins)
-            rec.put(f"{name}_bytes", a.bytes, "B")
+        for table, engine, texts in (("web", web, AGGREGATES), ("trade", trade, TRADE_AGGREGATES)):
+            for name, text in texts.items():
+                rec.put(f"{name}_s", metrics.measured_median(lambda t=text, p=path, e=engine: e.sql(t, path=p, log=False).collect()), "s")
+                a = engine.plan(text, path=path)[0][table]
+                rec.put(f"{name}_joins", a.joins)
+                rec.put(f"{name}_bytes", a.bytes, "B")
         records.append(rec)
     return union(spark, *records)
 
@@ -299,12 +359,12 @@ def w9_exports(spark: SparkSession, sf_dir: str) -> DataFrame:
     base = {k: engine.plan(t)[0]["web"].joins for k, t in SHARDED.items()}
     for k, t in SHARDED.items():
         off.put(f"{k}_joins", base[k])
-        off.put(f"{k}_s", metrics.measured_median(lambda t=t: noop(engine.sql(t, path="base", log=False)), 2), "s")
+        off.put(f"{k}_s", metrics.measured_median(lambda t=t: noop(engine.sql(t, path="base", log=False))), "s")
     columns = {c for t in SHARDED.values() for c in engine.plan(t)[1]["web"].columns}
     engine.materializer.build_view("web", sorted(columns), view_id="all")
     for k, t in SHARDED.items():
         on.put(f"{k}_joins", engine.plan(t)[0]["web"].details["joins_after"])
-        on.put(f"{k}_s", metrics.measured_median(lambda t=t: noop(engine.sql(t, log=False)), 2), "s")
+        on.put(f"{k}_s", metrics.measured_median(lambda t=t: noop(engine.sql(t, log=False))), "s")
     on.put("storage_overhead", metrics.storage_overhead(engine.catalog.snapshot("web")))
     engine.refresh("web", [("src0", "quality"), ("src1", "quality")])
     half.put("compensated_batches", engine.plan(SHARDED["s1"])[0]["web"].details["compensated"])
@@ -342,7 +402,7 @@ def w10_export_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 @workload
 def w11_without_governance(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The ends of both sweeps with background work off, beside those with it on."""
-    volume, width = w2_volume_sweep(spark, sf_dir, (1, 20)), w3_width_sweep(spark, sf_dir, (20, 120))
+    volume, width = w2_volume_sweep(spark, sf_dir, (1, 20), False), w3_width_sweep(spark, sf_dir, (20, 120))
     return volume.where("measure in ('degradation', 'joins_20', 'files_20')").union(width.where("measure like 'success%'")).withColumn("workload", F.lit("w11"))
 
 
@@ -359,30 +419,43 @@ def catalog_latency(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rec.frame(spark)
 
 
+def recovered(spark: SparkSession, sf_dir: str, resume: bool, survive: int = 4) -> tuple[Engine, int, int, int]:
+    """A backfill in the default configuration that dies after some units and is run again, resumed or from scratch.
+
+    The engine, units done by the first run, units computed by the second, units in all.
+    """
+    engine = worlds.fresh(spark, sf_dir, "web", EngineConfig(max_retries=0, concurrency=1), features=False)
+    pairs = tuple((b.name, c) for b in engine.catalog.snapshot("web").batches for c in ("char_len", "word_count"))
+    ran: list[tuple] = []
+
+    def dying(task, attempt):
+        if len(ran) >= survive:
+            raise RuntimeError("killed")
+        ran.append((task.batches, task.columns))
+
+    engine.executor.fail_units = dying
+    engine.executor.run(BackfillRequest("web", pairs, run_id="r1"))
+    before = len(ran)
+    engine.executor.fail_units = lambda t, k: ran.append((t.batches, t.columns))
+    if resume:
+        engine.executor.run(BackfillRequest("web", pairs, run_id="r1"))
+    else:
+        engine.executor.run(BackfillRequest("web", (*pairs, *((b.name, "processed") for b in engine.catalog.snapshot("web").batches)), recompute=True, run_id="r2"))
+    batches = len(engine.catalog.snapshot("web").batches)
+    return engine, before, len(ran) - before, 2 * -(-batches // engine.config.unit_batches)
+
+
 @workload
 def w12_recovery(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A run that dies after some units: what is computed again with checkpoints and without."""
     records = []
     for resume in (True, False):
         rec = Recorder("w12", "resume" if resume else "restart")
-        engine = worlds.fresh(spark, sf_dir, "web", EngineConfig(max_retries=0, concurrency=1, extra={"span": False}), features=False)
-        names = [b.name for b in engine.catalog.snapshot("web").batches][:6]
-        pairs = tuple((b, "char_len") for b in names)
-        ran: list[str] = []
-
-        def dying(task, attempt, ran=ran):
-            if len(ran) >= 7:
-                raise RuntimeError("killed")
-            ran.append(task.batches[0])
-
-        engine.executor.fail_units = dying
-        first = engine.executor.run(BackfillRequest("web", pairs, run_id="r1"))
-        engine.executor.fail_units = lambda t, k, ran=ran: ran.append(t.batches[0])
-        before = len(ran)
-        todo = tuple(p for p in pairs if p in first.failed + first.blocked or engine.catalog.snapshot("web").status.get(p) != "COMPUTED") if resume else pairs
-        engine.executor.run(BackfillRequest("web", todo or pairs, recompute=not resume, run_id="r1" if resume else "r2"))
-        rec.put("units_again", len(ran) - before)
-        rec.put("complete", float(all(engine.catalog.snapshot("web").status[p] == "COMPUTED" for p in pairs)))
+        engine, done, again, total = recovered(spark, sf_dir, resume)
+        rec.put("units", total)
+        rec.put("units_done_before", done)
+        rec.put("units_again", again)
+        rec.put("complete", float(all(engine.catalog.snapshot("web").status.get((b.name, c)) == "COMPUTED" for b in engine.catalog.snapshot("web").batches for c in ("char_len", "word_count"))))
         records.append(rec)
     return union(spark, *records)
 
@@ -417,12 +490,13 @@ def w14_combined(spark: SparkSession, sf_dir: str) -> DataFrame:
     records = []
     for fuse in ("physical", "off"):
         for mode in ("record", "task"):
-            for tune in ("adaptive", "off"):
+            for tune in ("adaptive", "default"):
                 rec = Recorder("w14", f"fuse={fuse},guard={mode},tuning={tune}")
                 engine = worlds.fresh(spark, sf_dir, "sft", EngineConfig(fuse=fuse, guard=mode, tuning=tune))
                 with rec.stage("backfill"):
                     report = engine.backfill("sft", columns=[o for f in worlds.sft_features() for o in f.output_names])
                 rec.put("tasks", len(report.tasks))
+                rec.put("cpu_hours", metrics.cpu_hours(report.cpu_s), "h")
                 records.append(rec)
     return union(spark, *records)
 
@@ -443,51 +517,77 @@ def w15_complementary(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rec.frame(spark)
 
 
-@workload
-def w16_small_files(spark: SparkSession, sf_dir: str, appends: int = 12) -> DataFrame:
-    """Continuous small appends, and what a governance cycle makes of them."""
-    rec = Recorder("w16", "full")
+def appended(spark: SparkSession, sf_dir: str, appends: int) -> tuple[Engine, int, int]:
+    """Events in many small appends, then a governance cycle: the engine, files before and files after."""
     engine = Engine(spark, policy=Policy(min_batch_files=2, target_mb=64))
     path = worlds.path_of(sf_dir, "events")
     mapping = {c.name: c.name for c in worlds.SIGNAL_COLUMNS if c.name != "k"} | {"source_key": "event_id"}
     for i in range(appends):
         source = SourceSpec("parquet", path, transform=lambda d, i=i: d.where(F.col("event_id") % appends == i).repartition(4))
         engine.ingest(source, "signal", f"m{i:03d}", mapping, create=worlds.SIGNAL_COLUMNS, id_strategy=("key", ["event_id"]), mode="append", dedup=False)
-    before = storage_report(engine, "signal").agg(F.sum("files").alias("f")).first().f
-    rows = engine.table("signal").count()
-    began = time.time()
+    files = [storage_report(engine, "signal").agg(F.sum("files").alias("f")).first().f]
     engine.governor.cycle("signal")
-    rec.put("governance_s", time.time() - began, "s")
+    files.append(storage_report(engine, "signal").agg(F.sum("files").alias("f")).first().f)
+    return engine, *files
+
+
+@workload
+def w16_small_files(spark: SparkSession, sf_dir: str, appends: int = 100) -> DataFrame:
+    """Continuous small appends, what a governance cycle makes of them, and its share of the executors' time."""
+    rec = Recorder("w16", "full")
+    began = time.time()
+    engine, before, after = appended(spark, sf_dir, appends)
+    rec.put("run_s", time.time() - began, "s")
+    rec.put("governance_s", engine.governor.seconds, "s")
+    rec.put("governance_share", metrics.governance_share(spark))
     rec.put("files_before", before)
-    rec.put("files_after", storage_report(engine, "signal").agg(F.sum("files").alias("f")).first().f)
-    rec.put("rows_changed", abs(engine.table("signal").count() - rows))
+    rec.put("files_after", after)
+    rec.put("rows_changed", abs(engine.table("signal").count() - spark.read.parquet(worlds.path_of(sf_dir, "events")).count()))
     return rec.frame(spark)
 
 
+def routed_library() -> list:
+    """All features that the library offers."""
+    return [*library.web_features(), library.template("ppl"), library.template("safety"), *library.conversation_features(), *library.token_features()]
+
+
+def routed_lanes() -> list[str]:
+    """The lane of each under an idle cluster."""
+    from .plans.routing import ClusterLoad, OperatorProfile, choose_lane
+
+    return [choose_lane(f.mode, OperatorProfile.of(f), ClusterLoad()) for f in routed_library()]
+
+
 @workload
 def w17_routing_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Lanes of the whole library under an idle cluster."""
-    from .plans.routing import ClusterLoad, OperatorProfile, choose_lane
-
-    specs = [*library.web_features(), library.template("ppl"), library.template("safety"), *library.conversation_features(), *library.token_features()]
-    rec = Recorder("w17", "full")
-    lanes = [choose_lane(f.mode, OperatorProfile.of(f), ClusterLoad()) for f in specs]
+    rec, lanes = Recorder("w17", "full"), routed_lanes()
     for lane in ("sql", "arrow", "gpu"):
         rec.put(f"share_{lane}", lanes.count(lane) / len(lanes))
     return rec.frame(spark)
 
 
+def with_pages(spark: SparkSession, sf_dir: str, strategy: str) -> Engine:
+    """Documents by source and pages by the end of their host, in one table."""
+    engine = Engine(spark)
+    engine.ingest(worlds.documents(sf_dir), "web", "source", worlds.WEB_MAPPING, create=worlds.WEB_COLUMNS, many=True, id_strategy=strategy)
+    mapping = {"raw": "named_struct('body', html, 'url', url, 'source_key', page_id, 'declared_lang', cast(null as string))", "payload": "html", "source_key": "page_id"}
+    engine.ingest(SourceSpec("parquet", worlds.path_of(sf_dir, "pages")), "web", "concat('pages-', regexp_extract(url, '[.]([a-z]+)(/|$|[?#:])', 1))", mapping, many=True, id_strategy=strategy)
+    return engine
+
+
 @workload
 def w18_ingestion(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Ingesting all sources with content and with random ids."""
+    """Ingesting all sources and pages with content and with random ids."""
     records = []
+    given = sum(spark.read.parquet(worlds.path_of(sf_dir, n)).count() for n in ("documents", "pages"))
     for strategy in ("content", "uuid"):
         rec = Recorder("w18", strategy)
-        engine = Engine(spark)
         with rec.stage("ingest"):
-            entries = engine.ingest(worlds.documents(sf_dir), "web", "source", worlds.WEB_MAPPING, create=worlds.WEB_COLUMNS, many=True, id_strategy=strategy)
-        rec.put("rows", sum(e.rows for e in entries))
-        rec.put("kept_share", sum(e.rows for e in entries) / spark.read.parquet(worlds.path_of(sf_dir, "documents")).count())
+            engine = with_pages(spark, sf_dir, strategy)
+        rows = sum(b.rows for b in engine.catalog.snapshot("web").batches)
+        rec.put("rows", rows)
+        rec.put("kept_share", rows / given)
         records.append(rec)
     return union(spark, *records)
 

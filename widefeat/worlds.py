@@ -15,7 +15,7 @@ from .functions import library
 from .model import Column, EngineConfig
 from .sources.adapters import SourceSpec
 
-_built: dict[tuple[str, str, str], Engine] = {}
+_built: dict[tuple[str, str, str], Engine | str] = {}
 _lock = threading.RLock()
 
 WEB_COLUMNS = [Column("raw", "struct<body:string,url:string,source_key:bigint,declared_lang:string>")]
@@ -66,18 +66,31 @@ def build_sft(engine: Engine, sf_dir: str) -> None:
     mapping = {"raw": "named_struct('conv_id', conv_id, 'turns', turns)", "source_key": "conv_id"}
     source = SourceSpec("parquet", path_of(sf_dir, "conversations"), transform=fold)
     engine.ingest(source, "sft", "concat('sft-', conv_id % 8)", mapping, create=SFT_COLUMNS, many=True, id_strategy=("key", ["conv_id"]))
-    for f in sft_features():
+    for f in sft_features(safety_model(engine.spark, sf_dir)):
         engine.add_feature("sft", f)
 
 
-def sft_features() -> list:
+def safety_model(spark: SparkSession, sf_dir: str) -> str:
+    """Weights of the safety score, learned from labelled documents (doc_id not divisible by 5, at most SAFETY_ROWS of them)."""
+    from .functions.models import SAFETY_ROWS, train_safety
+
+    key = (spark.sparkContext.applicationId, sf_dir, "safety")
+    with _lock:
+        if key not in _built:
+            labels = spark.read.parquet(path_of(sf_dir, "labels")).where("toxic is not null and doc_id % 5 <> 0").orderBy(F.xxhash64("doc_id"), "doc_id").limit(SAFETY_ROWS)
+            rows = spark.read.parquet(path_of(sf_dir, "documents")).select("doc_id", "text").join(F.broadcast(labels), "doc_id").orderBy("doc_id").collect()
+            _built[key] = train_safety([r.text for r in rows], [r.toxic for r in rows])
+        return _built[key]
+
+
+def sft_features(weights: str = "") -> list:
+    """Twelve features of conversations; weights are those of the safety score."""
     joined = "array_join(transform(raw.turns, t -> coalesce(t.text, '')), '\\n')"
-    cpu = library.conversation_features()
     gpu = [
-        library.model_feature("safety", "double", ("raw",), "gpu_only", 7000.0, (joined,)), library.model_feature("domain_model", "string", ("raw",), "gpu_only", 7000.0, (joined,)),
+        library.safety_feature(weights, ("raw",), (joined,)), library.model_feature("domain_model", "string", ("raw",), "gpu_only", 7000.0, (joined,)),
         library.model_feature("quality", "double", ("raw", "char_len", "digit_ratio"), "gpu_only", 350.0, ("char_len", "cast(size(raw.turns) as bigint)", "0D", "digit_ratio")),
     ]
-    return cpu + gpu
+    return library.conversation_features() + gpu
 
 
 def build_vec(engine: Engine, sf_dir: str) -> None:
@@ -111,7 +124,7 @@ def web_sql(text: str) -> str:
     """Only the features that the query names are computed."""
     import re
 
-    from .functions.models import QUALITY
+    from .functions.models import MATH, MATH_SIGNS, QUALITY
 
     named = set(re.findall(r"\w+", text))
     if "math_hit" in named:
@@ -124,8 +137,12 @@ def web_sql(text: str) -> str:
     cast = {"bigint": "bigint", "double": "double", "string": "varchar", "boolean": "boolean"}
     cols = "".join(f", cast({e} as {cast[t]}) as {n}" for n, (t, e) in f.items())
     q = f", 1 / (1 + exp(-({b} + {w1} * least(word_count, 1000) + {w2} * (case when char_len > 300 then 1 else 0 end) + {w3} * ngram_rep + {w4} * digit_ratio))) as quality" if "quality" in named else ""
-    hits = "length(plain) - length(regexp_replace(plain, '[0-9+=<>/^%-]', '', 'g'))"
-    math = f", (1 / (1 + exp(-(20.0 * ({hits}) / greatest(1, length(plain)) - 1.0)))) * quality > 0.3 as math_hit" if "math_hit" in named else ""
+    noise, bonus, scale, bias = map(repr, MATH)
+    grams = "list_concat(_m, list_transform(range(1, len(_m)), lambda i: _m[i] || ' ' || _m[i + 1]))"
+    weight = f"((('0x' || substr(md5(g), 1, 4))::int) / 65536.0::double - 0.5) * {noise} + (case when regexp_matches(g, '{MATH_SIGNS.pattern}') then {bonus} else 0 end)"
+    words = r"list_filter(regexp_split_to_array(lower(plain), '[ \t\n\r\f]+'), lambda w: w <> '')"
+    math = f", (1 / (1 + exp(-({scale} * coalesce(list_avg(list_transform({grams}, lambda g: {weight})), 0) + ({bias}))))) * quality > 0.3 as math_hit" if "math_hit" in named else ""
+    cols += f", {words} as _m" if math else ""
     return (
         "web as (with a as materialized (select md5(text) as entity_id, source as batch_name, {'body': text, 'source_key': doc_id, 'declared_lang': lang} as raw, "
         f"{plain} as plain, {library._duck_words(plain)} as _w, row_number() over (partition by md5(text) order by doc_id, source) as n from documents), "
