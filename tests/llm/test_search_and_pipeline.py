@@ -59,6 +59,35 @@ def test_op9_odd(spark):
     assert ann.nearest(frame.where("vec_id in (0, 1, 2)")).count() == 2
 
 
+def test_op9_lists(spark):
+    """Many lists: clustered vectors need few of them, others most, and recall holds either way; a hot vector changes nothing."""
+    rnd = np.random.default_rng(5)
+    centres = rnd.normal(size=(60, 24)) * 2
+    kinds = {"clustered": centres[rnd.integers(60, size=12_000)] + rnd.normal(size=(12_000, 24)) * 0.7, "even": rnd.normal(size=(12_000, 24))}
+    visits = {}
+    for kind, x in kinds.items():
+        x[rnd.random(len(x)) < 0.33] = x[0]
+        rows = [(i, v.tolist()) for i, v in enumerate(x)]
+        frame = spark.createDataFrame(rows, "vec_id long, embedding array<double>").repartition(6)
+        index = ann.fit(ann.valid_vectors(frame))
+        visits[kind] = index.visits / len(index.centres)
+        want = brute_nearest(rows)
+        got = ann.nearest(frame).collect()
+        assert len(got) == 5 * len(want)
+        assert recall(want, got) > 0.95
+        best = {(r.query_id, r["rank"]): r.vec_id for r in got}
+        same = np.flatnonzero((x == x[0]).all(axis=1)).tolist()
+        for q in (i for i in same if i % 50 == 0):
+            assert [best[q, k] for k in range(1, 6)] == [i for i in same if i != q][:5]
+    assert len(index.centres) > 15 and visits["clustered"] < 0.5 and visits["clustered"] < visits["even"]
+
+
+def test_op9_exhaustive(spark, mid_dir):
+    frame = read_table(spark, mid_dir, "embeddings")
+    rows = [(r.vec_id, r.embedding) for r in frame.collect()]
+    assert recall(brute_nearest(rows), ann.nearest(frame, exhaustive=True, rerank=500).collect()) == 1
+
+
 def test_anisotropic_loss_favours_scores():
     rnd = np.random.default_rng(3)
     unit = ann.unit_rows(rnd.normal(size=(2000, 16)) + 1)
