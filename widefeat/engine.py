@@ -23,6 +23,10 @@ from .plans.tuning import History
 from .sources.adapters import SourceSpec
 
 
+#: Up to so many files the rows of a few ids are put together by one task.
+FEW_FILES = 64
+
+
 class Engine:
     """Ingestion, features, exploration and governance over one catalog and one folder."""
 
@@ -82,8 +86,9 @@ class Engine:
         current = version is None
         if need.ids and self.config.use_index and current and path in (None, "index") and self.index.covered(name):
             narrow, with_rows, files = self.index.narrowed(name, snap, need.ids)
-            out = translate.assemble(self.spark, narrow, need.columns, [b for b in with_rows if b in set(batches)], need.ids)
-            out.route, out.reason = "index", f"id equality, {files} files"
+            files += 0 if self.index.coverage(name) == 1 else FEW_FILES  # what isn't indexed is scanned by many tasks
+            out = translate.assemble(self.spark, narrow, need.columns, [b for b in with_rows if b in set(batches)], need.ids, few_files=files <= FEW_FILES)
+            out.route, out.reason = "index", f"id equality, {len(out.tables)} files"
             return out
         if self.config.use_replica and current and path in (None, "replica"):
             ok, why = self.materializer.eligible(need, snap, batches, self.config.max_lag)
@@ -184,8 +189,9 @@ class Engine:
         snap = self.catalog.snapshot(table)
         columns = list(columns or [c.name for c in snap.columns])
         if use_index and self.config.use_index:
-            narrow, batches, _ = self.index.narrowed(table, snap, ids)
-            return translate.assemble(self.spark, narrow, columns, batches, ids).relation
+            narrow, batches, files = self.index.narrowed(table, snap, ids)
+            whole = self.index.coverage(table) == 1
+            return translate.assemble(self.spark, narrow, columns, batches, ids, few_files=whole and files <= FEW_FILES).relation
         return translate.assemble(self.spark, snap, columns, None, ids).relation
 
     def lookup_frame(self, table: str, ids: DataFrame, columns: Sequence[str]) -> DataFrame:

@@ -156,7 +156,7 @@ class EngineConfig:
     max_retries: int = 2
     concurrency: int = 4
     max_lag: int = 0
-    unit_batches: int = 8
+    unit_batches: int = 10
     unit_bytes: int = 1 << 40
     guard_mb: float = 512.0
     write_mb: int = 128

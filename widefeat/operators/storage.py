@@ -83,7 +83,7 @@ def read_physical(spark: SparkSession, tables: Sequence[Physical], types: dict[s
     wanted = [c for c in columns if c not in KEYS]
     ddl = ", ".join([*(f"`{k}` string" for k in KEYS), *dict.fromkeys(f"`{entry[c]}` {types[c]}" for c in wanted)])
     rows = spark.read.schema(ddl).parquet(*(t.path for t in tables))
-    return rows.select(*(F.col(k) for k in KEYS), *(F.col(f"`{entry[c]}`").alias(c) for c in wanted), *(F.expr(x) for x in extra))
+    return rows.selectExpr(*KEYS, *(f"`{entry[c]}` as `{c}`" for c in wanted), *extra)
 
 
 def range_of(column: str = "entity_id"):

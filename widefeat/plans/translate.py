@@ -10,6 +10,7 @@ from __future__ import annotations
 import re
 from collections.abc import Iterable, Iterator, Sequence
 from dataclasses import dataclass, field
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -166,11 +167,12 @@ def prune_ranges(tables: Sequence[Physical], ids: Sequence[str] | None) -> list[
     return [t for t in tables if any(t.lo <= x < t.hi for x in places)]
 
 
-def assemble(spark: SparkSession, snap: CatalogSnapshot, columns: Sequence[str], batches: Sequence[str] | None = None, ids: Sequence[str] | None = None, extra: Sequence[Physical] = ()) -> Assembly:
+def assemble(spark: SparkSession, snap: CatalogSnapshot, columns: Sequence[str], batches: Sequence[str] | None = None, ids: Sequence[str] | None = None, extra: Sequence[Physical] = (), few_files: bool = False) -> Assembly:
     """The logical rows of some columns: per layout one multi-path scan a shard and left joins, then a union of layouts.
 
     Shards without a wanted column aren't read; batches of one layout share scans, so the plan grows with layouts, not
-    batches. extra: other tables (views) that may serve columns instead of base shards, by batch.
+    batches. extra: other tables (views) that may serve columns instead of base shards, by batch. few_files: the index has
+    narrowed everything to the files of a few ids; their shards are then read by one task and folded by key, without joins.
     """
     types = {c.name: c.type for c in snap.columns}
     wanted = [c.name for c in snap.columns if c.name in set(columns) and c.name not in KEYS]
@@ -203,6 +205,18 @@ def assemble(spark: SparkSession, snap: CatalogSnapshot, columns: Sequence[str],
         key = (b in views, *((cs, tuple(stored_layout(t[0], cs)) if t else ()) for (cs, _), t in zip(shards, parts, strict=True)))
         layouts.setdefault(key, []).append((b, parts))
     branches, joins, used = [], 0, []
+    if few_files and any(len(key) > 2 for key in layouts):
+        parts, used = [], []
+        for key, members in layouts.items():
+            for k, (cs, _) in enumerate(key[1:]):
+                if tables := [p for _, of_batch in members for p in of_batch[k]]:
+                    used += tables
+                    scan = read_physical(spark, tables, types, cs).where(F.col(ID).isin(list(ids or ())))
+                    parts.append(scan.selectExpr(*KEYS, f"{k == 0} as _row".lower(), *(f"`{c}`" if c in cs else f"cast(null as {types[c]}) as `{c}`" for c in wanted)))
+        first = ", ".join([f"first(`{c}`, true) as `{c}`" for c in wanted])
+        folded = reduce(DataFrame.union, parts).coalesce(1).groupBy(*KEYS).agg(F.expr(f"struct({first or 'null as _none'}) as _all"), F.expr("max(_row) as _row")).where("_row")
+        folded = folded.selectExpr(*KEYS, *(f"_all.`{c}` as `{c}`" for c in wanted))
+        return Assembly(folded, "base", "files of a few ids", 0, tuple(p.phys_id for p in used), sum(p.bytes for p in used), tuple(batches), {"layouts": len(layouts), "joins_total": 0})
     for key, members in layouts.items():
         relation = None
         for k, (cs, _) in enumerate(key[1:]):

@@ -419,7 +419,7 @@ def catalog_latency(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rec.frame(spark)
 
 
-def recovered(spark: SparkSession, sf_dir: str, resume: bool, survive: int = 4) -> tuple[Engine, int, int, int]:
+def recovered(spark: SparkSession, sf_dir: str, resume: bool, survive: int = 3) -> tuple[Engine, int, int, int]:
     """A backfill in the default configuration that dies after some units and is run again, resumed or from scratch.
 
     The engine, units done by the first run, units computed by the second, units in all.
