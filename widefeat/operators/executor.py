@@ -263,7 +263,7 @@ class Executor:
             if models:
                 with self.peak_lock:
                     peak = spark.sparkContext.accumulator(0.0, Highest())
-                limit = params.worker_mb if engine.config.guard == "task" and engine.config.extra.get("enforce_memory") else limit
+                limit = (params.worker_mb if engine.config.extra.get("enforce_memory") else None) if engine.config.guard == "task" else limit
             try:
                 with metered(spark) as meter:
                     if task.features[0].scope == "table":

@@ -12,6 +12,7 @@ import signal
 import traceback
 from collections.abc import Callable, Iterator
 from contextlib import contextmanager
+from functools import lru_cache
 from typing import Any
 
 import pandas as pd
@@ -47,9 +48,21 @@ class RecordTooLarge(Exception):
     """A record is larger than its cap."""
 
 
+def address_space() -> int:
+    """Bytes of address space that this process has."""
+    with open("/proc/self/statm") as f:
+        return int(f.read().split()[0]) * resource.getpagesize()
+
+
+@lru_cache(maxsize=1)
+def at_start() -> int:
+    """The address space that this worker had when it was first asked, before any model was loaded."""
+    return address_space()
+
+
 @contextmanager
-def limited(seconds: float, max_mb: float | None) -> Iterator[None]:
-    """Within: an alarm after `seconds`, and at most `max_mb` more address space than now."""
+def limited(seconds: float, max_mb: float | None, whole: bool = False) -> Iterator[None]:
+    """Within: an alarm after `seconds`, and at most `max_mb` more address space than now (whole: than the worker began with)."""
 
     def ring(*_):
         raise RecordTimeout(f"over {seconds} s")
@@ -57,9 +70,7 @@ def limited(seconds: float, max_mb: float | None) -> Iterator[None]:
     old = signal.signal(signal.SIGALRM, ring)
     limits = resource.getrlimit(resource.RLIMIT_AS)
     if max_mb:
-        with open("/proc/self/statm") as f:
-            now = int(f.read().split()[0]) * resource.getpagesize()
-        ceiling = int(now + max_mb * (1 << 20))
+        ceiling = int((at_start() if whole else address_space()) + max_mb * (1 << 20))
         resource.setrlimit(resource.RLIMIT_AS, (ceiling if limits[1] in (-1, resource.RLIM_INFINITY) else min(ceiling, limits[1]), limits[1]))
     signal.setitimer(signal.ITIMER_REAL, seconds)
     try:
@@ -111,15 +122,16 @@ def guarded(fn: Callable, returns: str, timeout_s: float = 5.0, max_mb: float |
 def judged(fn: Callable[..., pd.Series], one: Callable, series: tuple[pd.Series, ...], timeout_s: float, max_mb: float | None, max_input_chars: int | None, mode: str) -> pd.DataFrame:
     """A batch as value, error_type and error_stack: whole if it can be, else row by row under the limits.
 
-    mode task: nothing is isolated, and the batch has to do with `max_mb`.
+    mode task: nothing is isolated, and the worker, models and all, has to do with `max_mb`.
     """
+    at_start()
     large = None
     if max_input_chars is not None:
         large = sum((s.str.len().fillna(0) for s in series if s.dtype == object or str(s.dtype).startswith("str")), pd.Series(0, index=series[0].index)) > max_input_chars
     if mode == "task":
         if large is not None and large.any():
             raise RecordTooLarge("a record over the cap")
-        with limited(3600.0, max_mb):
+        with limited(3600.0, max_mb, whole=True):
             return pd.DataFrame({"value": fn(*series), "error_type": None, "error_stack": None})
     try:
         if large is None or not large.any():

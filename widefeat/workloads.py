@@ -261,10 +261,10 @@ def w6_tuning(spark: SparkSession, sf_dir: str, scales: tuple[int, ...] = (1, 4,
     beside an expert's (CPU hours, by Spark's stage metrics, times tries).
     """
     records, cost = [], {}
-    for config in ("expert", "default", "adaptive"):
+    for config in ("warm-up", "expert", "default", "adaptive"):
         rec, history = Recorder("w6", config), History()
-        for k in scales:
-            engine = repeated(spark, sf_dir, k, EngineConfig(tuning=config, guard="task", unit_batches=1000, extra={"enforce_memory": True}))
+        for k in scales if config != "warm-up" else scales[:1]:
+            engine = repeated(spark, sf_dir, k, EngineConfig(tuning=config.replace("warm-up", "expert"), guard="task", unit_batches=1000, extra={"enforce_memory": True}))
             engine.history = history
             engine.add_feature("web", library.model_feature("embedding_norm", "double", ("processed",), "all", 350.0))
             report = engine.backfill("web", columns=["embedding_norm"])
@@ -273,12 +273,12 @@ def w6_tuning(spark: SparkSession, sf_dir: str, scales: tuple[int, ...] = (1, 4,
             rec.put(f"first_submit_{k}", float(bool(runs[0]["ok"])))
             if report.ok:
                 hours = metrics.cpu_hours(runs[-1]["cpu_s"])
-                if config == "expert":
+                if config in ("warm-up", "expert"):
                     cost[k] = hours
                 rec.put(f"cost_{k}", metrics.task_cost(hours, len(runs) - 1, cost[k]))
                 rec.put(f"peak_{k}", runs[-1]["peak_mb"], "MB")
                 rec.put(f"wall_{k}", runs[-1]["wall_s"], "s")
-        records.append(rec)
+        records += [rec] if config != "warm-up" else []
     return union(spark, *records)
 
 
