@@ -84,10 +84,11 @@ TRADE_EXPORT = "select orderkey, linenumber, quantity, price, discount, tax, ret
 
 
 @workload
-def w2_volume_sweep(spark: SparkSession, sf_dir: str, sizes: tuple[int, ...] = (1, 5, 10, 20), legacy: bool = True) -> DataFrame:
+def w2_volume_sweep(spark: SparkSession, sf_dir: str, sizes: tuple[int, ...] = (1, 5, 10, 20), legacy: int = 5) -> DataFrame:
     """Export of 15 columns under 8 predicates over growing batch combinations, and of trade by years.
 
-    NoGov has a shard a feature and as many files as tasks wrote; Legacy a table a source and feature, joined by hand.
+    NoGov has a shard a feature and as many files as tasks wrote; Legacy, for up to `legacy` sources, a table a source and
+    feature, joined by hand.
     """
     good, bad, old, trade = (Recorder("w2", c) for c in ("full", "nogov", "legacy", "trade"))
     tidy = worlds.fresh(spark, sf_dir, "web")
@@ -99,7 +100,7 @@ def w2_volume_sweep(spark: SparkSession, sf_dir: str, sizes: tuple[int, ...] = (
     earlier = Legacy(spark)
     if legacy:
         rows = tidy.table("web", ["raw"])
-        earlier.ingest({b: rows.where(F.col("batch_name") == b).select("entity_id", "raw") for b in names[: max(sizes)]})
+        earlier.ingest({b: rows.where(F.col("batch_name") == b).select("entity_id", "raw") for b in names[:legacy]})
         earlier.backfill(library.web_features(), [f.name for f in library.web_features()])
     for n in sizes:
         wanted = names[:n]
@@ -111,7 +112,7 @@ def w2_volume_sweep(spark: SparkSession, sf_dir: str, sizes: tuple[int, ...] = (
             rec.put(f"throughput_{n}", metrics.throughput_tb_h(a.bytes, s), "TB/h")
             rec.put(f"joins_{n}", a.joins)
             rec.put(f"files_{n}", len(a.tables))
-        if legacy:
+        if n <= legacy:
             columns = [c for c in library.TEXT_FEATURES if c not in ("secret_flag", "license_flag")] + ["quality", "math_hit"]
             part = Legacy(spark, earlier.root, {b: earlier.tables[b] for b in wanted}, earlier.results)
             s = metrics.measured_median(lambda p=part: noop(p.export(columns, EXPORT.partition("where")[2].format(""))), 1)
@@ -152,8 +153,8 @@ def widened(spark: SparkSession, sf_dir: str, width: int, limit: int, governed:
         engine.governor.cycle("web")
     else:
         engine.governor.policy = Policy(column_limit=limit)
-        for i in range(0, width, 20):
-            engine.backfill("web", columns=[*MAIN, *cheap][i : i + 20])
+        for i in range(0, width, 40):
+            engine.backfill("web", columns=[*MAIN, *cheap][i : i + 40])
             for b in engine.catalog.snapshot("web").batches:
                 engine.governor.merge_shards("web", b.name)
     return engine, TEN
@@ -402,7 +403,7 @@ def w10_export_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 @workload
 def w11_without_governance(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The ends of both sweeps with background work off, beside those with it on."""
-    volume, width = w2_volume_sweep(spark, sf_dir, (1, 20), False), w3_width_sweep(spark, sf_dir, (20, 120))
+    volume, width = w2_volume_sweep(spark, sf_dir, (1, 20), 0), w3_width_sweep(spark, sf_dir, (20, 120))
     return volume.where("measure in ('degradation', 'joins_20', 'files_20')").union(width.where("measure like 'success%'")).withColumn("workload", F.lit("w11"))
 
 
@@ -532,7 +533,7 @@ def appended(spark: SparkSession, sf_dir: str, appends: int) -> tuple[Engine, in
 
 
 @workload
-def w16_small_files(spark: SparkSession, sf_dir: str, appends: int = 100) -> DataFrame:
+def w16_small_files(spark: SparkSession, sf_dir: str, appends: int = 50) -> DataFrame:
     """Continuous small appends, what a governance cycle makes of them, and its share of the executors' time."""
     rec = Recorder("w16", "full")
     began = time.time()
