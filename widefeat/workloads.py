@@ -133,13 +133,17 @@ MAIN = ["char_len", "word_count", "lang_guess", "digit_ratio", "ngram_rep", "gar
 TEN = "select entity_id, batch_name, char_len, word_count, lang_guess, round(digit_ratio, 6) as digit_ratio, round(ngram_rep, 6) as ngram_rep, garbage_flag, round(line_rep, 6) as line_rep from web where lang_guess = 'en' and char_len > 500 order by entity_id limit 1000"
 
 
-def widened(spark: SparkSession, sf_dir: str, width: int, limit: int, governed: bool) -> tuple[Engine, str]:
+def widened(spark: SparkSession, sf_dir: str, width: int, limit: int, governed: bool, many: bool = True) -> tuple[Engine, str]:
     """A web table with `width` cheap features; no physical table may hold more than `limit` columns (the catalog sees to that).
 
     Governed: tasks are cut below the limit, and the governor moves columns that no query uses out of tables that come near
-    it. Without: one physical table a batch takes every new column, as a table with a schema of its own would.
+    it. Without: one physical table a batch takes every new column, as a table with a schema of its own would. many: a batch
+    a source, else one in all.
     """
-    engine = worlds.fresh(spark, sf_dir, "web", EngineConfig(governance=governed, column_limit=limit, max_fused=int(0.9 * limit) if governed else 100_000, unit_batches=1000), features=False)
+    engine = Engine(spark, EngineConfig(governance=governed, column_limit=limit, max_fused=int(0.9 * limit) if governed else 100_000, unit_batches=1000))
+    engine.ingest(worlds.documents(sf_dir), "web", "source" if many else "all", worlds.WEB_MAPPING, create=worlds.WEB_COLUMNS, many=many)
+    for f in library.web_features():
+        engine.add_feature("web", f)
     cheap = [f"wide_{i}" for i in range(max(0, width - len(MAIN)))]
     for i in range(0, len(cheap), 20):
         part = cheap[i : i + 20]
@@ -168,13 +172,13 @@ def w3_width_sweep(spark: SparkSession, sf_dir: str, widths: tuple[int, ...] = (
         rec = Recorder("w3", "full" if governed else "nogov")
         for w in widths:
             try:
-                engine, text = widened(spark, sf_dir, w, limit, governed)
+                engine, text = widened(spark, sf_dir, w, limit, governed, False)
             except ColumnLimitError:
                 rec.put(f"success_{w}", 0.0)
                 continue
             noop(engine.sql(text, log=False))
-            times, failed = metrics.replay([lambda e=engine, t=text: noop(e.sql(t, log=False))] * 20, clients=20)
-            rec.put(f"success_{w}", 1 - failed / 20)
+            times, failed = metrics.replay([lambda e=engine, t=text: noop(e.sql(t, log=False))] * 8, clients=8)
+            rec.put(f"success_{w}", 1 - failed / 8)
             rec.put(f"p95_{w}", metrics.percentile(times, 0.95), "s")
             rec.put(f"joins_{w}", engine.plan(text)[0]["web"].joins)
             rec.put(f"widest_{w}", max(len(p.columns) + 2 for p in engine.catalog.snapshot("web").physical))
