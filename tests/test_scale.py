@@ -1,5 +1,6 @@
 """Behaviour that matters at scale: splits, balanced writes, units, memory limits, hot keys, counted models."""
 
+import hashlib
 import math
 import random
 from collections import Counter, defaultdict
@@ -8,7 +9,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from widefeat import metrics, worlds
+from widefeat import metrics, registry, worlds
 from widefeat.engine import Engine
 from widefeat.functions import library, models, sets
 from widefeat.model import Column, ColumnLimitError, ConflictError, EngineConfig, FeatureSpec, Output, PlanningError
@@ -229,6 +230,17 @@ def test_safety_is_learned(spark):
         models.model_of(library.template("safety"))
 
 
+def test_w1_exports_the_same_rows_by_both_workflows(spark, small_dir):
+    got = {(r.config, r.measure): r.value for r in registry.QUERIES["w1_curation_end_to_end"](spark, small_dir).collect()}
+    one = models.safety_with(worlds.safety_model(spark, small_dir)).one
+    turns = defaultdict(list)
+    for r in spark.read.parquet(worlds.path_of(small_dir, "conversations")).collect():
+        turns[r.conv_id].append((r.turn, r.text or ""))
+    safe = {hashlib.md5(str(c).encode()).hexdigest() for c, ts in turns.items() if one("\n".join(t for _, t in sorted(ts))) < 0.5}
+    want = sum(r.entity_id in safe for r in registry.QUERIES["w1_answer"](spark, small_dir).collect())
+    assert got["full", "rows"] == got["legacy", "rows"] == want > 0
+
+
 def test_garbage_flag(spark):
     expr = library.expressions("t")["garbage_flag"][1]
     rows = spark.createDataFrame([("plain words, and more.",), ("a~b^c_d{e}",), ("bad � mark",), ("###",), ("",), (None,), ("naïve “quotes” are few in a long enough line of words",)], "t string")
