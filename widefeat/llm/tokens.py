@@ -11,7 +11,7 @@ import os
 import re
 from collections.abc import Callable, Iterable
 from functools import lru_cache
-from itertools import repeat
+from itertools import chain, repeat
 
 import numpy as np
 
@@ -121,12 +121,18 @@ class WordTable:
         return place, new
 
     def _store(self, points: np.ndarray, start: np.ndarray, end: np.ndarray) -> list[str]:
-        spans = list(zip(start.tolist(), end.tolist(), strict=True))
+        """All words at once: their letters are kept, and taken as one text with a blank after each, which no word holds."""
         sizes = end - start
-        self.first = np.concatenate([self.first, len(self.letters) + np.cumsum(sizes) - sizes])
+        first = np.cumsum(sizes) - sizes
+        of_word = np.repeat(np.arange(len(sizes)), sizes)
+        at = np.arange(len(of_word))
+        letters = points[at + (start - first)[of_word]]
+        spaced = np.full(len(letters) + len(sizes), 32, "<u4")
+        spaced[at + of_word] = letters
+        self.first = np.concatenate([self.first, len(self.letters) + first])
         self.sizes = np.concatenate([self.sizes, sizes])
-        self.letters = np.concatenate([self.letters, *(points[a:b].astype(np.uint16) for a, b in spans)])
-        return [word_at(points, a, b) for a, b in spans]
+        self.letters = np.concatenate([self.letters, letters.astype(np.uint16)])
+        return spaced.tobytes().decode("utf-32-le").split(" ")[:-1]
 
 
 def block_of(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -244,7 +250,7 @@ def library_encoder(path: str) -> WordEncoder:
 
     def encode_words(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
         joined = [" ".join(words[i : i + 200]) for i in range(0, len(words), 200)]
-        ids = np.fromiter((i for x in words_only.encode_batch_fast(joined, add_special_tokens=False) for i in x.ids), np.uint32)
+        ids = np.fromiter(chain.from_iterable(x.ids for x in words_only.encode_batch_fast(joined, add_special_tokens=False)), np.uint32)
         return ids, np.diff(np.flatnonzero(last[ids]), prepend=-1)
 
     def encode_raw(chunks: list[str]) -> list[bytes]:
